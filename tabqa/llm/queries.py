@@ -7,7 +7,8 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tabqa.llm import bpe, packing, quality
+from tabqa.llm import bpe, html_text, language, line_dedup, packing, quality
+from tabqa.llm.common import held_out
 from tabqa.session import ship_package, table
 
 VOCABULARY = "word_bpe_49k.json"
@@ -25,12 +26,27 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "documents")
 
 
+def op2_language_families(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir).withColumn("held_out", held_out("doc_id", 3))
+    return language.predict(docs, language.train(docs.where("NOT held_out")), ["doc_id", "held_out"])
+
+
+def op3_tag_path_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    return html_text.extract_pages(table(spark, sf_dir, "pages"))
+
+
 def op4_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _documents(spark, sf_dir)
     order = quality.cascade_order(quality.RULES, quality.estimate(docs))
     return quality.apply_cascade(docs, order, measures=("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"))
 
 
+def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir).select("doc_id", "text")
+    return line_dedup.dedup_lines(docs, digest=True).withColumnRenamed("text", "kept_sha256")
+
+
 def op8_bpe_merge_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(_documents(spark, sf_dir), vocabulary())
 
@@ -45,4 +61,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_cascade": quality.ORACLE_SQL}
+    return {"op4_quality_cascade": quality.ORACLE_SQL, "op5_line_dedup": line_dedup.ORACLE_SQL}
