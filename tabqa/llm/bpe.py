@@ -24,7 +24,9 @@ from pyspark.sql import functions as F
 from tabqa.llm.common import map_arrow
 
 #: Chunks a worker remembers before it starts afresh.
-CACHE_CHUNKS = 300_000
+CACHE_CHUNKS = 700_000
+#: Vocabulary ids are below 2 to this power.
+_SHIFT = 24
 #: Separators that Python's split() takes for white space and Unicode's White_Space property does not.
 _ODD_SEPARATORS = regex.compile("[\x1c-\x1f]")
 _WHITE = regex.compile(r"\p{White_Space}+")
@@ -44,7 +46,7 @@ def byte_alphabet() -> list[str]:
 
 
 class _Chunks(dict):
-    """Chunk -> (ids as little-endian bytes, decoded tokens)."""
+    """What chunks encode to, made when first asked for."""
 
     def __init__(self, make):
         super().__init__()
@@ -64,17 +66,20 @@ class MergeQueueEncoder:
         self.suffix: str = model.get("end_of_word_suffix") or ""
         self.special = {t["content"]: t["id"] for t in spec.get("added_tokens", [])}
         self.strings = {i: s for s, i in self.vocab.items()} | {i: s for s, i in self.special.items()}
-        self.merges: dict[tuple[int, int], tuple[int, int]] = {}
+        self.ranks: dict[int, int] = {}  # both symbols in one key
+        self.made: list[int] = []
         for rank, pair in enumerate(model["merges"]):
             left, right = pair if isinstance(pair, list) else pair.split(" ")
-            self.merges[self.vocab[left], self.vocab[right]] = (rank, self.vocab[left + right])
+            self.ranks[self.vocab[left] << _SHIFT | self.vocab[right]] = rank
+            self.made.append(self.vocab[left + right])
         letters = byte_alphabet()
         self._inner = [self.vocab.get(c, -1) for c in letters]
         self._last = [self.vocab.get(c + self.suffix, -1) for c in letters]
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self._pieces = regex.compile(split["pattern"]["Regex"].replace(r"\s", r"\p{White_Space}"))
         self._special = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
-        self._chunks = _Chunks(self._chunk)
+        self._whole = min(self._inner + self._last) >= 0
+        self._chunks, self._bare = _Chunks(self._chunk), _Chunks(self._bare_chunk)
 
     @classmethod
     def load(cls, path: str) -> MergeQueueEncoder:
@@ -85,79 +90,103 @@ class MergeQueueEncoder:
         return held
 
     def merge(self, symbols: list[int]) -> list[int]:
-        """Applies the merges to a list of symbol ids, lowest rank first, leftmost first among equals."""
+        """Applies the merges to a list of symbol ids, lowest rank first, leftmost first among equals.
+
+        A heap entry is a rank and a position in one integer. `now` holds each position's present rank with its
+        right neighbour, so an entry that says otherwise is stale.
+        """
         n = len(symbols)
         if n < 2:
             return symbols
-        merges, heap = self.merges, []
+        rank_of, made, none = self.ranks.get, self.made, -1
+        now = [rank_of(a << _SHIFT | b, none) for a, b in zip(symbols, symbols[1:])]
+        heap = [r << 32 | i for i, r in enumerate(now) if r >= 0]
+        if not heap:
+            return symbols
+        heapq.heapify(heap)
         symbols = symbols[:]
+        now.append(none)
         before, after = list(range(-1, n - 1)), list(range(1, n + 1))
-        after[-1] = -1
-        for i in range(n - 1):
-            found = merges.get((symbols[i], symbols[i + 1]))
-            if found:
-                heap.append((found[0], i, found[1]))
-        heapq.heapify(heap)
+        pop, push = heapq.heappop, heapq.heappush
         while heap:
-            _, at, made = heapq.heappop(heap)
-            right = after[at]
-            if symbols[at] < 0 or right < 0:
-                continue
-            found = merges.get((symbols[at], symbols[right]))
-            if not found or found[1] != made:
+            entry = pop(heap)
+            at, rank = entry & 0xFFFFFFFF, entry >> 32
+            if now[at] != rank:
                 continue
-            symbols[at], symbols[right] = made, -1
-            after[at] = beyond = after[right]
-            if beyond >= 0:
-                before[beyond] = at
-                found = merges.get((made, symbols[beyond]))
-                if found:
-                    heapq.heappush(heap, (found[0], at, found[1]))
+            gone = after[at]
+            symbols[at] = new = made[rank]
+            symbols[gone] = now[gone] = none
+            after[at] = right = after[gone]
+            if right < n:
+                before[right] = at
+                now[at] = r = rank_of(new << _SHIFT | symbols[right], none)
+                if r >= 0:
+                    push(heap, r << 32 | at)
+            else:
+                now[at] = none
             left = before[at]
             if left >= 0:
-                found = merges.get((symbols[left], made))
-                if found:
-                    heapq.heappush(heap, (found[0], left, found[1]))
+                now[left] = r = rank_of(symbols[left] << _SHIFT | new, none)
+                if r >= 0:
+                    push(heap, r << 32 | left)
         return [s for s in symbols if s >= 0]
 
     def piece_ids(self, piece: str) -> list[int]:
         """Ids of one piece: its bytes as letters, the last one with the word's end, then the merges."""
         raw = piece.encode("utf-8", "surrogatepass")
-        symbols = [self._inner[b] for b in raw[:-1]] + [self._last[raw[-1]]]
-        return self.merge([s for s in symbols if s >= 0])
+        inner = self._inner
+        symbols = [inner[b] for b in raw]
+        symbols[-1] = self._last[raw[-1]]
+        return self.merge(symbols if self._whole else [s for s in symbols if s >= 0])
+
+    def chunk_ids(self, chunk: str) -> list[int]:
+        """Ids of a stretch of text without white space."""
+        if not chunk.isascii():
+            chunk = unicodedata.normalize("NFC", chunk)
+            if "Σ" in chunk:  # lower-cased letter by letter: no final form of sigma
+                chunk = chunk.replace("Σ", "σ")
+        chunk = chunk.lower()
+        if chunk.isalpha():  # one run of letters, the usual case
+            return self.piece_ids(chunk)
+        return [i for piece in self._pieces.findall(chunk) for i in self.piece_ids(piece)]
 
     def _chunk(self, chunk: str) -> tuple[bytes, str]:
         if len(self._chunks) > CACHE_CHUNKS:
             self._chunks.clear()
-        text = unicodedata.normalize("NFC", chunk)
-        if "Σ" in text:  # lower-cased letter by letter: no final form of sigma
-            text = text.replace("Σ", "σ")
-        ids = [i for piece in self._pieces.findall(text.lower()) for i in self.piece_ids(piece)]
+        ids = self.chunk_ids(chunk)
         return struct.pack(f"<{len(ids)}I", *ids), " ".join([self.strings[i] for i in ids])
 
-    def _plain(self, text: str) -> list[tuple[bytes, str]]:
-        parts = _WHITE.split(text) if _ODD_SEPARATORS.search(text) else text.split()
-        table = self._chunks
-        return [table[c] for c in parts if c]
+    def _bare_chunk(self, chunk: str) -> bytes:
+        if len(self._bare) > CACHE_CHUNKS:
+            self._bare.clear()
+        ids = self.chunk_ids(chunk)
+        return struct.pack(f"<{len(ids)}I", *ids)
+
+    def _found(self, text: str, table: _Chunks, special) -> list:
+        """The table's entries of the text's chunks in order; `special` makes those of special tokens."""
+
+        def plain(part: str) -> list:
+            return [table[c] for c in (_WHITE.split(part) if _ODD_SEPARATORS.search(part) else part.split()) if c]
+
+        if self._special is None or "<|" not in text:
+            return plain(text)
+        found, at = [], 0
+        for m in self._special.finditer(text):
+            found += plain(text[at : m.start()])
+            found.append(special(m[0]))
+            at = m.end()
+        return found + plain(text[at:])
 
     def encoded(self, text: str | None) -> tuple[bytes, str]:
         """(ids as little-endian unsigned 32-bit integers, decoded text) of a whole text."""
         if not text:
             return b"", ""
-        if self._special is None or "<|" not in text:
-            found = self._plain(text)
-        else:
-            found, at = [], 0
-            for m in self._special.finditer(text):
-                found += self._plain(text[at : m.start()])
-                found.append((struct.pack("<I", self.special[m[0]]), m[0]))
-                at = m.end()
-            found += self._plain(text[at:])
+        found = self._found(text, self._chunks, lambda token: (struct.pack("<I", self.special[token]), token))
         return b"".join([f[0] for f in found]), " ".join([f[1] for f in found if f[1]])
 
     def encoded_ids(self, text: str | None) -> bytes:
         """The ids alone."""
-        return self.encoded(text)[0]
+        return b"".join(self._found(text, self._bare, lambda token: struct.pack("<I", self.special[token]))) if text else b""
 
     def encode(self, text: str | None) -> list[int]:
         raw = self.encoded_ids(text)
