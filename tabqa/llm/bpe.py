@@ -16,6 +16,7 @@ import json
 import struct
 import unicodedata
 
+import numpy as np
 import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
@@ -27,6 +28,7 @@ from tabqa.llm.common import map_arrow
 CACHE_CHUNKS = 700_000
 #: Vocabulary ids are below 2 to this power.
 _SHIFT = 24
+_NEVER = 1 << 30
 #: Separators that Python's split() takes for white space and Unicode's White_Space property does not.
 _ODD_SEPARATORS = regex.compile("[\x1c-\x1f]")
 _WHITE = regex.compile(r"\p{White_Space}+")
@@ -78,6 +80,7 @@ class MergeQueueEncoder:
         split = next(p for p in spec["pre_tokenizer"]["pretokenizers"] if p["type"] == "Split")
         self._pieces = regex.compile(split["pattern"]["Regex"].replace(r"\s", r"\p{White_Space}"))
         self._special = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
+        self._slots: tuple[np.ndarray, np.ndarray] | None = None
         self._whole = min(self._inner + self._last) >= 0
         self._chunks, self._bare = _Chunks(self._chunk), _Chunks(self._bare_chunk)
 
@@ -139,6 +142,122 @@ class MergeQueueEncoder:
         symbols[-1] = self._last[raw[-1]]
         return self.merge(symbols if self._whole else [s for s in symbols if s >= 0])
 
+    def merge_many(self, words: list[bytes]) -> list[bytes]:
+        """Ids (as bytes) of many one-piece words at once: in every round each word makes its lowest merge.
+
+        The same merges in the same order as the queue's; only the bookkeeping is laid out in arrays.
+        """
+        if not words:
+            return []
+        lengths = np.fromiter(map(len, words), np.int64, len(words))
+        raw = np.frombuffer(b"".join(words), np.uint8)
+        ends = np.cumsum(lengths) - 1
+        symbols = np.array(self._inner, np.int64)[raw]
+        symbols[ends] = np.array(self._last, np.int64)[raw[ends]]
+        owner = np.repeat(np.arange(len(words)), lengths)
+        ranks = np.full(len(symbols), _NEVER)
+        inner = np.flatnonzero(owner[1:] == owner[:-1])
+        ranks[inner] = self._ranks_of(symbols[inner], symbols[inner + 1])
+        done_owner, done_symbols = [], []
+        made = np.array(self.made, np.int64)
+        while len(symbols):
+            first = np.flatnonzero(np.concatenate(([True], owner[1:] != owner[:-1])))
+            best = np.minimum.reduceat(ranks << 32 | np.arange(len(symbols)), first)
+            alive = (best >> 32) < _NEVER
+            if not alive.all():
+                stay = np.repeat(alive, np.diff(np.append(first, len(symbols))))
+                done_owner.append(owner[~stay])
+                done_symbols.append(symbols[~stay])
+                moved = np.cumsum(stay) - 1
+                at = moved[(best & 0xFFFFFFFF)[alive]]
+                rank = (best >> 32)[alive]
+                symbols, owner, ranks = symbols[stay], owner[stay], ranks[stay]
+                if not len(symbols):
+                    break
+            else:
+                at, rank = best & 0xFFFFFFFF, best >> 32
+            symbols[at] = made[rank]
+            keep = np.ones(len(symbols), bool)
+            keep[at + 1] = False
+            at = at - np.arange(len(at))  # one symbol has gone from each word before
+            symbols, owner, ranks = symbols[keep], owner[keep], ranks[keep]
+            ranks[at] = _NEVER
+            right = at[(at + 1 < len(symbols))]
+            right = right[owner[right] == owner[right + 1]]
+            ranks[right] = self._ranks_of(symbols[right], symbols[right + 1])
+            left = at[at > 0]
+            left = left[owner[left] == owner[left - 1]]
+            ranks[left - 1] = self._ranks_of(symbols[left - 1], symbols[left])
+        owner, symbols = np.concatenate(done_owner), np.concatenate(done_symbols)
+        joined = symbols[np.argsort(owner, kind="stable")].astype("<u4").tobytes()
+        ends = (4 * np.cumsum(np.bincount(owner, minlength=len(words)))).tolist()
+        return [joined[a:b] for a, b in zip([0, *ends], ends)]
+
+    def _ranks_of(self, left: np.ndarray, right: np.ndarray) -> np.ndarray:
+        """Ranks of many pairs from an open-addressed table of the merges."""
+        if self._slots is None:
+            keys = np.fromiter(self.ranks, np.int64, len(self.ranks))
+            size = 1 << (8 * len(keys)).bit_length()
+            slot_keys, slot_ranks = np.full(size, -1), np.full(size, _NEVER)
+            left_over, at = np.arange(len(keys)), self._slot(keys, size)
+            while len(left_over):  # each round places one key per free slot; the others try the next
+                free = slot_keys[at] < 0
+                slot_keys[at[free]] = keys[left_over[free]]
+                slot_ranks[at[free]] = left_over[free]  # the merges are in rank order
+                placed = slot_keys[at] == keys[left_over]
+                slot_ranks[at[placed]] = left_over[placed]
+                left_over, at = left_over[~placed], (at[~placed] + 1) & (size - 1)
+            self._slots = (slot_keys, slot_ranks)
+        slot_keys, slot_ranks = self._slots
+        asked = left << _SHIFT | right
+        at = self._slot(asked, len(slot_keys))
+        held = slot_keys[at]
+        out = slot_ranks[at]
+        off = np.flatnonzero((held != asked) & (held >= 0))
+        out[(held != asked)] = _NEVER
+        while len(off):
+            at[off] = (at[off] + 1) & (len(slot_keys) - 1)
+            held = slot_keys[at[off]]
+            hit = held == asked[off]
+            out[off[hit]] = slot_ranks[at[off[hit]]]
+            off = off[~hit & (held >= 0)]
+        return out
+
+    @staticmethod
+    def _slot(keys: np.ndarray, size: int) -> np.ndarray:
+        with np.errstate(over="ignore"):
+            return ((keys.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15)) >> np.uint64(64 - size.bit_length() + 1)).astype(np.int64)
+
+    def encoded_ids_many(self, texts: list[str | None]) -> list[bytes]:
+        """The ids of many texts; chunks not met before are merged together."""
+        table, parts, spans = self._bare, [], []
+        if len(table) > CACHE_CHUNKS:
+            table.clear()
+        for text in texts:
+            at = len(parts)
+            if text and not (self._special is not None and "<|" in text) and not _ODD_SEPARATORS.search(text):
+                parts += text.split()
+            spans.append((at, len(parts)))
+        values = list(map(table.get, parts))
+        missing = list({p for p, v in zip(parts, values) if v is None})
+        if missing:
+            words, chunks = [], []
+            for chunk in missing:
+                plain = chunk.lower() if chunk.isascii() else unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
+                if plain.isalpha():
+                    words.append(plain.encode())
+                    chunks.append(chunk)
+                elif plain[-1] in ",." and plain[:-1].isalpha():
+                    words.append(plain[:-1].encode())
+                    chunks.append(chunk)
+                else:
+                    table[chunk]  # noqa: B018  made by the table itself
+            tail = {c: struct.pack("<I", *self.piece_ids(c)) for c in ",."}
+            for chunk, ids in zip(chunks, self.merge_many(words), strict=True):
+                table[chunk] = ids + tail[chunk[-1]] if chunk[-1] in tail else ids
+            values = [table[p] if v is None else v for p, v in zip(parts, values)]
+        return [b"".join(values[a:b]) if b > a else self.encoded_ids(text) for (a, b), text in zip(spans, texts, strict=True)]
+
     def chunk_ids(self, chunk: str) -> list[int]:
         """Ids of a stretch of text without white space."""
         if not chunk.isascii():

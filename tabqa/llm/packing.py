@@ -78,8 +78,8 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, end_id: i
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         coder = MergeQueueEncoder.load(vocabulary)
         rows, starts, lengths, sums, totals = [], [], [], [], []
-        for i, text in enumerate(batch.column(1).to_pylist()):
-            raw = coder.encoded_ids(text) + end
+        for i, raw in enumerate(coder.encoded_ids_many(batch.column(1).to_pylist())):
+            raw += end
             n = len(raw) // 4
             for start in range(0, n, capacity):
                 part = raw[4 * start : 4 * (start + capacity)]
