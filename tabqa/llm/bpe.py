@@ -231,7 +231,7 @@ class MergeQueueEncoder:
     def encoded_ids_many(self, texts: list[str | None]) -> list[bytes]:
         """The ids of many texts; chunks not met before are merged together."""
         table, parts, spans = self._bare, [], []
-        if len(table) > CACHE_CHUNKS:
+        if len(table) > 2 * CACHE_CHUNKS:  # ids alone take half the room
             table.clear()
         for text in texts:
             at = len(parts)
@@ -242,20 +242,26 @@ class MergeQueueEncoder:
         missing = list({p for p, v in zip(parts, values) if v is None})
         if missing:
             words, chunks = [], []
+            tail = {c: struct.pack("<I", *self.piece_ids(c)) for c in ",."}
             for chunk in missing:
+                if chunk[-1] in tail and (held := table.get(chunk[:-1])) is not None:
+                    table[chunk] = held + tail[chunk[-1]]
+                    continue
                 plain = chunk.lower() if chunk.isascii() else unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
+                if (held := table.get(plain)) is not None:
+                    table[chunk] = held
+                    continue
                 if plain.isalpha():
                     words.append(plain.encode())
                     chunks.append(chunk)
-                elif plain[-1] in ",." and plain[:-1].isalpha():
+                elif plain[-1] in tail and plain[:-1].isalpha():
                     words.append(plain[:-1].encode())
                     chunks.append(chunk)
                 else:
                     table[chunk]  # noqa: B018  made by the table itself
-            tail = {c: struct.pack("<I", *self.piece_ids(c)) for c in ",."}
             for chunk, ids in zip(chunks, self.merge_many(words), strict=True):
                 table[chunk] = ids + tail[chunk[-1]] if chunk[-1] in tail else ids
-            values = [table[p] if v is None else v for p, v in zip(parts, values)]
+            values = list(map(table.__getitem__, parts)) if len(missing) > len(parts) // 8 else [table[p] if v is None else v for p, v in zip(parts, values)]
         return [b"".join(values[a:b]) if b > a else self.encoded_ids(text) for (a, b), text in zip(spans, texts, strict=True)]
 
     def chunk_ids(self, chunk: str) -> list[int]:
