@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tabqa.llm import bpe, html_text, language, line_dedup, packing, quality
+from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, packing, quality
 from tabqa.llm.common import held_out
 from tabqa.session import ship_package, table
 
@@ -47,6 +47,10 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.dedup_lines(docs, digest=True).withColumnRenamed("text", "kept_sha256")
 
 
+def op7_jaccard_components(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_join.join_documents(_documents(spark, sf_dir), words=4, percent=85)
+
+
 def op8_bpe_merge_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(_documents(spark, sf_dir), vocabulary())
 
@@ -61,4 +65,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op4_quality_cascade": quality.ORACLE_SQL, "op5_line_dedup": line_dedup.ORACLE_SQL}
+    return {"op4_quality_cascade": quality.ORACLE_SQL, "op5_line_dedup": line_dedup.ORACLE_SQL, "op7_jaccard_components": jaccard_join.ORACLE_SQL}
