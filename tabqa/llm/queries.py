@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, packing, quality
+from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, packing, quality, suffix_dedup
 from tabqa.llm.common import held_out
 from tabqa.session import ship_package, table
 
@@ -47,6 +47,11 @@ def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return line_dedup.dedup_lines(docs, digest=True).withColumnRenamed("text", "kept_sha256")
 
 
+def op6_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir).select("doc_id", "text")
+    return suffix_dedup.dedup_substrings(docs, digest=True).select("doc_id", "n_bytes", "n_removed", "n_spans", F.col("text").alias("kept_sha256"))
+
+
 def op7_jaccard_components(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.join_documents(_documents(spark, sf_dir), words=4, percent=85)
 
