@@ -59,6 +59,17 @@ class _Chunks(dict):
         return made
 
 
+class _Gathered(dict):
+    """Chunk -> ids. Chunks it doesn't hold are noted and give None, to be encoded together."""
+
+    def __init__(self):
+        super().__init__()
+        self.pending: list[str] = []
+
+    def __missing__(self, chunk):
+        self.pending.append(chunk)
+
+
 class MergeQueueEncoder:
     """Encodes and decodes with the vocabulary of a tokenizer file that has word ends and byte letters."""
 
@@ -82,7 +93,7 @@ class MergeQueueEncoder:
         self._special = regex.compile("|".join(map(regex.escape, sorted(self.special, key=len, reverse=True)))) if self.special else None
         self._slots: tuple[np.ndarray, np.ndarray] | None = None
         self._whole = min(self._inner + self._last) >= 0
-        self._chunks, self._bare = _Chunks(self._chunk), _Chunks(self._bare_chunk)
+        self._chunks, self._bare, self._gathered = _Chunks(self._chunk), _Chunks(self._bare_chunk), _Gathered()
 
     @classmethod
     def load(cls, path: str) -> MergeQueueEncoder:
@@ -230,7 +241,7 @@ class MergeQueueEncoder:
 
     def encoded_ids_many(self, texts: list[str | None]) -> list[bytes]:
         """The ids of many texts; chunks not met before are merged together."""
-        table, parts, spans = self._bare, [], []
+        table, parts, spans = self._gathered, [], []
         if len(table) > 2 * CACHE_CHUNKS:  # ids alone take half the room
             table.clear()
         for text in texts:
@@ -238,30 +249,29 @@ class MergeQueueEncoder:
             if text and not (self._special is not None and "<|" in text) and not _ODD_SEPARATORS.search(text):
                 parts += text.split()
             spans.append((at, len(parts)))
-        values = list(map(table.get, parts))
-        missing = list({p for p, v in zip(parts, values) if v is None})
-        if missing:
-            words, chunks = [], []
-            tail = {c: struct.pack("<I", *self.piece_ids(c)) for c in ",."}
+        table.pending.clear()
+        values = list(map(table.__getitem__, parts))
+        asked = table.pending[:]
+        if asked:
+            missing = list(set(asked))
+            words, cuts, chunks = [], [0], []
             for chunk in missing:
-                if chunk[-1] in tail and (held := table.get(chunk[:-1])) is not None:
-                    table[chunk] = held + tail[chunk[-1]]
-                    continue
                 plain = chunk.lower() if chunk.isascii() else unicodedata.normalize("NFC", chunk).replace("Σ", "σ").lower()
-                if (held := table.get(plain)) is not None:
-                    table[chunk] = held
-                    continue
                 if plain.isalpha():
                     words.append(plain.encode())
-                    chunks.append(chunk)
-                elif plain[-1] in tail and plain[:-1].isalpha():
-                    words.append(plain[:-1].encode())
-                    chunks.append(chunk)
+                elif plain[-1] in ",." and plain[:-1].isalpha():
+                    words += (plain[:-1].encode(), plain[-1].encode())
                 else:
-                    table[chunk]  # noqa: B018  made by the table itself
-            for chunk, ids in zip(chunks, self.merge_many(words), strict=True):
-                table[chunk] = ids + tail[chunk[-1]] if chunk[-1] in tail else ids
-            values = list(map(table.__getitem__, parts)) if len(missing) > len(parts) // 8 else [table[p] if v is None else v for p, v in zip(parts, values)]
+                    words += [w.encode("utf-8", "surrogatepass") for w in self._pieces.findall(plain)]
+                chunks.append(chunk)
+                cuts.append(len(words))
+            ids = self.merge_many(words)
+            for chunk, a, b in zip(chunks, cuts, cuts[1:]):
+                table[chunk] = ids[a] if b - a == 1 else b"".join(ids[a:b])
+            at = -1
+            for chunk in asked:  # the gaps stand in the order in which the chunks were asked for
+                at = values.index(None, at + 1)
+                values[at] = table[chunk]
         return [b"".join(values[a:b]) if b > a else self.encoded_ids(text) for (a, b), text in zip(spans, texts, strict=True)]
 
     def chunk_ids(self, chunk: str) -> list[int]:

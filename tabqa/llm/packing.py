@@ -91,7 +91,7 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, end_id: i
         return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int32())), *(pa.array(x, pa.int64()) for x in (starts, lengths, sums, totals))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
 
     kind = dict(docs.dtypes)[id_col]
-    return map_arrow(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")), run, f"doc_id {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint", rows=1024)
+    return map_arrow(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")), run, f"doc_id {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint", rows=384)
 
 
 def pack(parts: DataFrame, groups: int, capacity: int = SEQUENCE) -> DataFrame:
