@@ -9,10 +9,11 @@ The distributed plan:
 
 1. One pass makes each document's set id (a digest of the set; equal sets are one from here on) and counts shingles in a
    sketch of fixed size, which gives the frequency classes of the global order.
-2. A second pass emits prefix shingles. Sorted by shingle and size, every run of sets whose sizes can match forms a
-   cluster around its first set, so each candidate pair meets in a cluster; rows grow with the prefixes, not with pairs.
-3. Clusters are cut into blocks; each pair of blocks counts shared prefix shingles, and verifies exactly the pairs
-   that share enough. Of the links of a pair of blocks a spanning forest leaves the task.
+2. A second pass emits prefix shingles. Sorted by shingle and size they form runs of sets whose sizes can match. A short run
+   gives its pairs, counted over all shingles, so only pairs with enough matches go on. A long run gives a cluster, one row for
+   each set.
+3. Pairs gather around one of both, clusters are cut into blocks that meet two by two. Each such group counts shared
+   prefix shingles again, and verifies exactly what shares enough. Of its links a spanning forest leaves the task.
 4. Components come from alternating stars.
 
 A null or empty text, or one without words, has an empty set and links with nothing. Texts with fewer words than a shingle
@@ -140,13 +141,9 @@ def frequency_classes(docs: DataFrame, words: int) -> np.ndarray:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(size, np.int64)
-        for batch in slices(batches):
-            for raw in utf8_rows(batch.column(1)):
-                tokens = shingle_set(raw, words)
-                if len(tokens):
-                    counts += np.bincount((tokens >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), minlength=size) if len(tokens) > 100_000 else 0
-                    if len(tokens) <= 100_000:
-                        np.add.at(counts, (tokens >> np.uint64(64 - SKETCH_BITS)).astype(np.int64), 1)
+        for batch in slices(batches, 1024):
+            places = [shingle_set(raw, words) >> np.uint64(64 - SKETCH_BITS) for raw in utf8_rows(batch.column(1))]
+            counts += np.bincount(np.concatenate(places).astype(np.int64), minlength=size)
         mean = counts.sum() / size
         hot = np.flatnonzero(counts > max(3.0, mean + 4 * np.sqrt(mean)))
         if len(hot):
@@ -159,13 +156,13 @@ def frequency_classes(docs: DataFrame, words: int) -> np.ndarray:
 
 
 def prefixes(docs: DataFrame, words: int, percent: int, classes: np.ndarray) -> DataFrame:
-    """(token, sid, n): the prefix shingles of every set; a task emits a set that it meets again only once."""
+    """(token, sid, n, k): the prefix shingles of every set; a task emits a set that it meets again only once."""
     sent = docs.sparkSession.sparkContext.broadcast(classes)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: set[int] = set()
         for batch in slices(batches):
-            tokens, sids, sizes = [], [], []
+            tokens, sids, sizes, matches = [], [], [], []
             for raw in utf8_rows(batch.column(1)):
                 whole = shingle_set(raw, words)
                 sid = set_id(whole)
@@ -180,39 +177,85 @@ def prefixes(docs: DataFrame, words: int, percent: int, classes: np.ndarray) ->
                 tokens.append(part)
                 sids.append(np.full(len(part), sid, np.int64))
                 sizes.append(np.full(len(part), len(whole), np.int64))
+                matches.append(np.full(len(part), k, np.int64))
             if tokens:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).view(np.int64)) for x in (tokens, sids, sizes)], ["token", "sid", "n"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).view(np.int64)) for x in (tokens, sids, sizes, matches)], ["token", "sid", "n", "k"])
+
+    return docs.mapInArrow(run, "token bigint, sid bigint, n bigint, k bigint")
+
 
-    return docs.mapInArrow(run, "token bigint, sid bigint, n bigint")
+def matches_needed(n: np.ndarray, k: np.ndarray, m: np.ndarray, j: np.ndarray, percent: int) -> np.ndarray:
+    """Prefix shingles that two sets of sizes n and m with multi-matches k and j must share to be similar.
+
+    At least the smaller multi-match. And since all common shingles up to the end of the prefix that ends first are in both
+    prefixes, the overlap is at most the shared ones and the rest of one of the sets.
+    """
+    overlap = (percent * (n + m) + 99 + percent) // (100 + percent)
+    rest = np.maximum(required(n, percent) - k, required(m, percent) - j)
+    return np.maximum(np.minimum(k, j), overlap - rest)
 
 
-def clusters(posts: DataFrame, percent: int) -> DataFrame:
-    """Distinct (pivot, sid) such that two sets with a common prefix shingle and sizes that can match share a pivot.
+def meetings(posts: DataFrame, percent: int) -> DataFrame:
+    """(kind, a, b, need): where sets meet at a prefix shingle.
 
-    The postings are sorted by shingle and size, and streamed: a run ends where the shingle changes or the size
-    leaps by more than the threshold allows. Only the run's first set is remembered.
+    The postings are sorted by shingle and size, and streamed; a run ends where the shingle changes or the size leaps
+    by more than the threshold allows. Runs of up to `BLOCK` sets give their pairs of matching sizes (kind 0), with the
+    matches the pair needs. Longer runs give (first set, set), one row for each set (kind 1): a cluster, whose blocks are
+    compared later. No more than a short run is held.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last = None  # token, n, pivot, told of the run that is open
+        held = [np.zeros(0, np.int64)] * 4
+        crowd = None  # token, size, first set of a long run that is open
+
+        def emit(kind: int, a: np.ndarray, b: np.ndarray, need: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(x.astype(np.int64)) for x in (a, b, need))], ["kind", "a", "b", "need"])
+
+        def pairs(token: np.ndarray, n: np.ndarray, sid: np.ndarray, k: np.ndarray, run_of: np.ndarray) -> Iterator[pa.RecordBatch]:
+            for d in range(1, BLOCK):
+                i = np.flatnonzero(run_of[d:] == run_of[:-d]) if len(run_of) > d else np.zeros(0, np.int64)
+                if not len(i):
+                    return
+                j = i + d
+                i, j = i[fit := (100 * n[i] >= percent * n[j]) & (sid[i] != sid[j])], j[fit]
+                if len(i):
+                    yield emit(0, np.minimum(sid[i], sid[j]), np.maximum(sid[i], sid[j]), matches_needed(n[i], k[i], n[j], k[j], percent))
+
         for batch in batches:
-            token, n, sid = (batch.column(i).to_numpy() for i in range(3))
+            token, n, sid, k = (np.concatenate((h, batch.column(c).to_numpy())) for c, h in enumerate(held))
             if not len(token):
                 continue
-            before_token = np.concatenate(([last[0] if last else token[0] ^ 1], token[:-1]))
-            before_n = np.concatenate(([last[1] if last else 0], n[:-1]))
-            fresh = (token != before_token) | (100 * before_n < percent * n)
-            if last is None:
-                fresh[0] = True
-            start = np.maximum.accumulate(np.where(fresh, np.arange(len(token)), -1))
-            pivot = np.where(start < 0, last[2] if last else 0, sid[np.maximum(start, 0)])
-            own = sid != pivot
-            if own.any():
-                yield pa.RecordBatch.from_arrays([pa.array(pivot[own]), pa.array(sid[own])], ["pivot", "sid"])
-            last = (token[-1], n[-1], pivot[-1])
-
-    sorted_posts = posts.select("token", "n", "sid").repartition("token").sortWithinPartitions("token", "n", "sid")
-    return sorted_posts.mapInArrow(run, "pivot bigint, sid bigint").distinct()
+            fresh = np.concatenate(([True], (token[1:] != token[:-1]) | (100 * n[:-1] < percent * n[1:])))
+            if crowd is not None and token[0] == crowd[0] and 100 * crowd[1] >= percent * n[0]:
+                own = int(np.flatnonzero(fresh[1:])[0]) + 1 if fresh[1:].any() else len(token)
+                yield emit(1, np.full(own, crowd[2]), sid[:own], np.ones(own))
+                crowd = (token[own - 1], n[own - 1], crowd[2])
+                token, n, sid, k, fresh = (x[own:] for x in (token, n, sid, k, fresh))
+                if not len(token):
+                    held = [np.zeros(0, np.int64)] * 4
+                    continue
+            crowd = None
+            starts = np.flatnonzero(fresh)
+            lengths = np.diff(np.append(starts, len(token)))
+            run_of = np.repeat(np.arange(len(starts)), lengths)
+            open_at = int(starts[-1])
+            long = lengths > BLOCK
+            if long.any():
+                own = long[run_of]
+                yield emit(1, sid[starts][run_of[own]], sid[own], np.ones(int(own.sum())))
+            if long[-1]:
+                crowd, held = (token[-1], n[-1], sid[open_at]), [np.zeros(0, np.int64)] * 4
+            else:
+                held = [x[open_at:] for x in (token, n, sid, k)]
+            own = ~long[run_of]
+            own[open_at:] = False
+            yield from pairs(*(x[own] for x in (token, n, sid, k, run_of)))
+        if len(held[0]):
+            yield from pairs(*held, np.zeros(len(held[0]), np.int64))
+
+    sorted_posts = posts.select("token", "n", "sid", "k").repartition("token").sortWithinPartitions("token", "n", "sid")
+    found = sorted_posts.mapInArrow(run, "kind int, a bigint, b bigint, need bigint")
+    return found.groupBy("kind", "a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("need").alias("need")).where("kind = 1 OR shared >= need")
 
 
 def _pairs(rows: np.ndarray, tokens: np.ndarray, n: int) -> np.ndarray:
@@ -244,7 +287,7 @@ def block_links(group: pd.DataFrame, percent: int, classes: np.ndarray) -> list[
     parts = [o[: len(o) - int(required(len(o), percent)) + m] for o, m in zip(ordered, k, strict=True)]
     shared = _pairs(np.repeat(np.arange(n), [len(p) for p in parts]), np.concatenate(parts), n)
     small, large = np.minimum.outer(sizes, sizes), np.maximum.outer(sizes, sizes)
-    asked = (shared >= np.minimum.outer(k, k)) & (100 * small >= percent * large)
+    asked = (shared >= matches_needed(sizes[:, None], k[:, None], sizes[None, :], k[None, :], percent)) & (100 * small >= percent * large)
     asked &= ((sides[:, None] & 1) > 0) & ((sides[None, :] & 2) > 0)
     asked |= asked.T
     np.fill_diagonal(asked, False)
@@ -274,28 +317,34 @@ def block_links(group: pd.DataFrame, percent: int, classes: np.ndarray) -> list[
 def links(docs: DataFrame, table: DataFrame, words: int, percent: int) -> DataFrame:
     """(a, b): links between sets whose components are those of all links."""
     classes = frequency_classes(docs, words)
-    pairs = written(clusters(prefixes(docs, words, percent, classes), percent), "join-clusters")
-    members = written(pairs.unionByName(pairs.select("pivot", F.col("pivot").alias("sid")).distinct()), "join-members")
+    met = written(meetings(prefixes(docs, words, percent, classes), percent), "join-meetings")
+    # pairs: a set against all its partners; the left side is the set itself
+    few = met.where("kind = 0")
+    stars = few.select(F.col("a").alias("pivot"), F.col("b").alias("sid"), F.lit(False).alias("left")).unionByName(few.select(F.col("a").alias("pivot"), F.col("a").alias("sid"), F.lit(True).alias("left")).distinct())
+    stars = stars.select("pivot", "sid", F.lit(-1).cast("bigint").alias("i"), F.lit(-1).cast("bigint").alias("j"), "left", (~F.col("left")).alias("right"))
+    # clusters: a member of block i meets blocks i..last as the left side, and 0..i as the right one
+    members = written(met.where("kind = 1").select(F.col("a").alias("pivot"), F.col("b").alias("sid")), "join-members")
     blocks = written(members.groupBy("pivot").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("blocks")), "join-blocks")
     placed = members.join(blocks, "pivot").withColumn("block", F.pmod(F.xxhash64("sid", "pivot"), F.col("blocks")))
-    # a member of block i meets blocks i..last as the left side, and 0..i as the right one
-    met = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1))).select(
+    crowds = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1))).select(
         "pivot", "sid", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), (F.col("block") <= F.col("other")).alias("left"), (F.col("block") >= F.col("other")).alias("right")
     )
     holders = table.groupBy("sid").agg(F.min("doc_id").alias("doc_id"))
-    needed = written(members.select("sid").distinct().join(holders, "sid"), "join-needed")
+    asked = met.where("kind = 0").select(F.explode(F.array("a", "b")).alias("sid")).unionByName(members.select("sid")).distinct()
+    needed = written(asked.join(holders, "sid"), "join-needed")
 
     def to_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array([shingle_set(raw, words).tobytes() for raw in utf8_rows(batch.column(1))], pa.binary())], ["sid", "tokens"])
+        made = [(sid, s.tobytes()) for sid, raw in zip(batch.column(0).to_pylist(), utf8_rows(batch.column(1)), strict=True) if set_id(s := shingle_set(raw, words)) == sid]
+        return pa.RecordBatch.from_arrays([pa.array([m[0] for m in made], pa.int64()), pa.array([m[1] for m in made], pa.binary())], ["sid", "tokens"])
 
     texts = docs.join(needed, "doc_id").select("sid", "text")
-    sets = written(map_arrow(texts, to_sets, "sid bigint, tokens binary").dropDuplicates(["sid"]), "join-sets")
+    sets = written(map_arrow(texts, to_sets, "sid bigint, tokens binary"), "join-sets")
     sent = docs.sparkSession.sparkContext.broadcast(classes)
 
     def verify(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame(block_links(group, percent, sent.value), columns=["a", "b"], dtype=np.int64)
+        return pd.DataFrame(block_links(group.drop_duplicates("sid"), percent, sent.value), columns=["a", "b"], dtype=np.int64)
 
-    return met.join(sets, "sid").groupBy("pivot", "i", "j").applyInPandas(verify, "a bigint, b bigint")
+    return stars.unionByName(crowds).join(sets, "sid").groupBy("pivot", "i", "j").applyInPandas(verify, "a bigint, b bigint")
 
 
 def join_documents(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
