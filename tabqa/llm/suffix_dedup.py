@@ -279,29 +279,80 @@ def settle_blocks(contexts: DataFrame, window: int) -> DataFrame:
     return dealt.mapInArrow(run, "g bigint, c bigint, runs array<int>")
 
 
+#: Crowded contexts to a shard, about.
+SHARD_CONTEXTS = 2_000
+_PLACED = "shard bigint, a binary, b binary, c binary, d binary"
+
+
+def _dealt(shard: np.ndarray, *columns: np.ndarray) -> pa.RecordBatch:
+    """Rows of numbers packed by shard: one row of the frame for each shard that has any."""
+    order = np.argsort(shard, kind="stable")
+    shard = shard[order]
+    first = np.flatnonzero(np.concatenate(([True], shard[1:] != shard[:-1])))
+    last = np.append(first[1:], len(shard))
+    packed = [[x[order][i:j].tobytes() for i, j in zip(first, last, strict=True)] for x in columns]
+    packed += [[b""] * len(first)] * (4 - len(columns))
+    return pa.RecordBatch.from_arrays([pa.array(shard[first].astype(np.int64)), *(pa.array(x, pa.binary()) for x in packed)], ["shard", "a", "b", "c", "d"])
+
+
+def _by_shard(packed: DataFrame, work, schema: str) -> DataFrame:
+    """Gathers each shard's numbers in one task and hands them to `work`."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            if held and (made := work(*(np.frombuffer(b"".join(h[k] for h in held), np.int64) for k in range(1, 5)))) is not None:
+                yield made
+
+        for batch in batches:
+            for row in zip(*(batch.column(i).to_pylist() for i in range(5)), strict=True):
+                if held and row[0] != held[-1][0]:
+                    yield from flush()
+                    held = []
+                held.append(row)
+        yield from flush()
+
+    return packed.repartition("shard").sortWithinPartitions("shard").mapInArrow(run, schema)
+
+
 def settle_crowded(contexts: DataFrame, window: int) -> DataFrame:
-    """The same for grams of very many contexts: every window's hash is counted over all tasks."""
+    """The same for grams of very many contexts: every window's hash meets its equals in a shard.
 
-    def run(batch: pa.RecordBatch) -> pa.RecordBatch | None:
+    Windows and repeated places travel as packed arrays, a row for each shard and batch.
+    """
+    contexts = contexts.select("g", "c", "known", "context")
+    shards = max(64, contexts.count() // SHARD_CONTEXTS)
+
+    def spread(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         rows, hashes, places = [], [], []
-        for i, context in enumerate(batch.column(2).to_pylist()):
+        for i, (known, context) in enumerate(zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True)):
             starts = np.arange(len(context) - window + 1)
-            hashes.append(Prints(context).of(starts, starts + window))
-            places.append(starts)
+            hashes.append(Prints(context).of(starts, starts + window).view(np.int64))
+            places.append(np.full(len(starts), -1) if known else starts)
             rows.append(np.full(len(starts), i))
         if not rows:
             return None
-        owner = pa.array(np.concatenate(rows))
-        return pa.RecordBatch.from_arrays([batch.column(0).take(owner), batch.column(1).take(owner), _longs(np.concatenate(hashes)), pa.array(np.concatenate(places).astype(np.int32))], ["g", "c", "h", "place"])
-
-    windows = map_arrow(contexts.select("g", "c", "context"), run, "g bigint, c bigint, h bigint, place int")
-    known = contexts.where("known").select("g", "c")
-    twice = written(windows.groupBy("h").count().where("count > 1").select("h"), "suffix-windows")
-    found = windows.join(twice, "h").join(known, ["g", "c"], "left_anti").groupBy("g", "c").agg(F.array_sort(F.collect_list("place")).alias("places"))
-    # first and last place of each run of neighbours
-    has = lambda p, d: F.exists("places", lambda q: q == p + d)
-    ends = lambda d: F.filter("places", lambda p: ~has(p, d))
-    return found.select("g", "c", F.flatten(F.zip_with(ends(-1), ends(1), lambda a, b: F.array(a, b))).alias("runs"))
+        row, h = np.concatenate(rows), np.concatenate(hashes)
+        g, c = batch.column(0).to_numpy()[row], batch.column(1).to_numpy()[row]
+        return _dealt(h % shards, h, g, c, np.concatenate(places))
+
+    def repeated(h: np.ndarray, g: np.ndarray, c: np.ndarray, place: np.ndarray) -> pa.RecordBatch | None:
+        order = np.argsort(h, kind="stable")
+        ordered = h[order]
+        same = ordered[1:] == ordered[:-1]
+        hit = order[np.append(same, False) | np.concatenate(([False], same))]
+        hit = hit[place[hit] >= 0]
+        return _dealt((g[hit] ^ c[hit]) % shards, g[hit], c[hit], place[hit]) if len(hit) else None
+
+    def gathered(g: np.ndarray, c: np.ndarray, place: np.ndarray, _: np.ndarray) -> pa.RecordBatch:
+        order = np.lexsort((place, c, g))
+        g, c, place = g[order], c[order], place[order]
+        first = np.flatnonzero(np.concatenate(([True], (g[1:] != g[:-1]) | (c[1:] != c[:-1]))))
+        runs = [_runs(np.unique(x)) for x in np.split(place, first[1:])]
+        return pa.RecordBatch.from_arrays([pa.array(g[first]), pa.array(c[first]), pa.array(runs, pa.list_(pa.int32()))], ["g", "c", "runs"])
+
+    return _by_shard(_by_shard(map_arrow(contexts, spread, _PLACED, 1024), repeated, _PLACED), gathered, "g bigint, c bigint, runs array<int>")
 
 
 def removals(docs: DataFrame, window: int = WINDOW) -> DataFrame:
