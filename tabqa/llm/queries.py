@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, packing, quality, suffix_dedup
+from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, ngram_model, packing, quality, suffix_dedup
 from tabqa.llm.common import held_out
 from tabqa.session import ship_package, table
 
@@ -60,6 +60,11 @@ def op8_bpe_merge_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
     return bpe.encode_digests(_documents(spark, sf_dir), vocabulary())
 
 
+def op9_trie_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = _documents(spark, sf_dir).withColumn("held_out", held_out("doc_id", 5))
+    return ngram_model.score_documents(docs, ngram_model.train(docs.where("NOT held_out")), ["doc_id", "held_out"])
+
+
 def op10_pack_first_fit(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_documents(spark, sf_dir), vocabulary())
 
