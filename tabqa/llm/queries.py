@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, ngram_model, packing, quality, suffix_dedup
+from tabqa.llm import bpe, html_text, jaccard_join, language, line_dedup, ngram_model, packing, prefix_forest, quality, suffix_dedup
 from tabqa.llm.common import held_out
 from tabqa.session import ship_package, table
 
@@ -26,6 +26,12 @@ def _documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return table(spark, sf_dir, "documents")
 
 
+def op1_prefix_forest(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ship_package(spark)
+    vectors = table(spark, sf_dir, "embeddings")
+    return prefix_forest.nearest(vectors, vectors.where("vec_id % 20 = 0"))
+
+
 def op2_language_families(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _documents(spark, sf_dir).withColumn("held_out", held_out("doc_id", 3))
     return language.predict(docs, language.train(docs.where("NOT held_out")), ["doc_id", "held_out"])
