@@ -9,11 +9,12 @@ The distributed plan:
 
 1. One pass makes each document's set id (a digest of the set; equal sets are one from here on) and counts shingles in a
    sketch of fixed size, which gives the frequency classes of the global order.
-2. A second pass emits prefix shingles. Sorted by shingle and size they form runs of sets whose sizes can match. A short run
-   gives its pairs, counted over all shingles, so only pairs with enough matches go on. A long run gives a cluster, one row for
-   each set.
-3. Pairs gather around one of both, clusters are cut into blocks that meet two by two. Each such group counts shared
-   prefix shingles again, and verifies exactly what shares enough. Of its links a spanning forest leaves the task.
+2. A second pass emits prefix shingles. Sorted by shingle and size they form runs of sets whose sizes can match; runs of one
+   set end here. The first set of a run is its pivot. Pivots and sets that meet often enough are verified, and
+   the links found give first components. So a large group of near copies costs a comparison for each of its sets.
+3. Only sets of different first components are compared further. A short run gives its pairs, counted over all shingles, so
+   only pairs with enough matches go on. A long run gives a cluster, cut into blocks that meet two by two. All are verified
+   exactly on whole sets; of the links of a group a spanning forest leaves the task.
 4. Components come from alternating stars.
 
 A null or empty text, or one without words, has an empty set and links with nothing. Texts with fewer words than a shingle
@@ -26,7 +27,6 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -195,44 +195,81 @@ def matches_needed(n: np.ndarray, k: np.ndarray, m: np.ndarray, j: np.ndarray, p
     return np.maximum(np.minimum(k, j), overlap - rest)
 
 
+def shared_posts(posts: DataFrame, percent: int) -> DataFrame:
+    """The postings of shingles that two or more sets of matching sizes have, with the run's first set, size and match.
+
+    The postings are sorted by shingle and size, and streamed; a run ends where the shingle changes or the size leaps by
+    more than the threshold allows.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros((4, 0), np.int64)  # the last posting, whose run may go on
+        first = None  # the first posting of that run, once it has been passed on
+        for batch in batches:
+            rows = np.hstack([held, np.stack([c.to_numpy() for c in batch.columns])])
+            if not rows.shape[1]:
+                continue
+            token, n, sid, _ = rows
+            fresh = np.concatenate(([True], (token[1:] != token[:-1]) | (100 * n[:-1] < percent * n[1:])))
+            start = np.maximum.accumulate(np.where(fresh, np.arange(len(token)), 0))
+            lead = rows[:, start]
+            if first is not None:  # the run at the front began earlier
+                lead[:, : int(np.flatnonzero(fresh[1:])[0]) + 1 if fresh[1:].any() else None] = first[:, None]
+            alone = fresh & np.append(fresh[1:], True)
+            alone[0] &= first is None
+            alone[-1] = True  # told with the next batch, or at the end
+            out = ~alone
+            if out.any():
+                yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x[out])) for x in (*rows, *lead[1:])], _SHARED)
+            held = rows[:, -1:]
+            first = lead[:, -1] if not fresh[-1] or (first is not None and rows.shape[1] == 1) else None
+        if first is not None:
+            yield pa.RecordBatch.from_arrays([pa.array(np.ascontiguousarray(x)) for x in (*held, *first[1:, None])], _SHARED)
+
+    sorted_posts = posts.select("token", "n", "sid", "k").repartition("token").sortWithinPartitions("token", "n", "sid")
+    return sorted_posts.mapInArrow(run, ", ".join(f"{c} bigint" for c in _SHARED))
+
+
+_SHARED = ["token", "n", "sid", "k", "pivot_n", "pivot", "pivot_k"]
+
+
 def meetings(posts: DataFrame, percent: int) -> DataFrame:
-    """(kind, a, b, need): where sets meet at a prefix shingle.
+    """(kind, a, b, label, need) of sets of different labels, from (token, n, sid, k, label).
 
-    The postings are sorted by shingle and size, and streamed; a run ends where the shingle changes or the size leaps
-    by more than the threshold allows. Runs of up to `BLOCK` sets give their pairs of matching sizes (kind 0), with the
-    matches the pair needs. Longer runs give (first set, set), one row for each set (kind 1): a cluster, whose blocks are
-    compared later. No more than a short run is held.
+    Runs of up to `BLOCK` sets give their pairs (kind 0) with the matches the pair needs. Longer runs give (first set, set,
+    label), a row for each set (kind 1). No more than a short run is held.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [np.zeros(0, np.int64)] * 4
+        held = [np.zeros(0, np.int64)] * 5
         crowd = None  # token, size, first set of a long run that is open
 
-        def emit(kind: int, a: np.ndarray, b: np.ndarray, need: np.ndarray) -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(x.astype(np.int64)) for x in (a, b, need))], ["kind", "a", "b", "need"])
+        def emit(kind: int, a: np.ndarray, b: np.ndarray, label: np.ndarray, need: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(a), kind, np.int32)), *(pa.array(x.astype(np.int64)) for x in (a, b, label, need))], ["kind", "a", "b", "label", "need"])
 
-        def pairs(token: np.ndarray, n: np.ndarray, sid: np.ndarray, k: np.ndarray, run_of: np.ndarray) -> Iterator[pa.RecordBatch]:
+        def pairs(token: np.ndarray, n: np.ndarray, sid: np.ndarray, k: np.ndarray, label: np.ndarray, run_of: np.ndarray) -> Iterator[pa.RecordBatch]:
             for d in range(1, BLOCK):
                 i = np.flatnonzero(run_of[d:] == run_of[:-d]) if len(run_of) > d else np.zeros(0, np.int64)
                 if not len(i):
                     return
                 j = i + d
-                i, j = i[fit := (100 * n[i] >= percent * n[j]) & (sid[i] != sid[j])], j[fit]
+                fit = (100 * n[i] >= percent * n[j]) & (label[i] != label[j])
+                i, j = i[fit], j[fit]
                 if len(i):
-                    yield emit(0, np.minimum(sid[i], sid[j]), np.maximum(sid[i], sid[j]), matches_needed(n[i], k[i], n[j], k[j], percent))
+                    yield emit(0, np.minimum(sid[i], sid[j]), np.maximum(sid[i], sid[j]), np.zeros(len(i)), matches_needed(n[i], k[i], n[j], k[j], percent))
 
         for batch in batches:
-            token, n, sid, k = (np.concatenate((h, batch.column(c).to_numpy())) for c, h in enumerate(held))
+            token, n, sid, k, label = (np.concatenate((h, batch.column(c).to_numpy())) for c, h in enumerate(held))
             if not len(token):
                 continue
             fresh = np.concatenate(([True], (token[1:] != token[:-1]) | (100 * n[:-1] < percent * n[1:])))
             if crowd is not None and token[0] == crowd[0] and 100 * crowd[1] >= percent * n[0]:
                 own = int(np.flatnonzero(fresh[1:])[0]) + 1 if fresh[1:].any() else len(token)
-                yield emit(1, np.full(own, crowd[2]), sid[:own], np.ones(own))
+                yield emit(1, np.full(own, crowd[2]), sid[:own], label[:own], np.ones(own))
                 crowd = (token[own - 1], n[own - 1], crowd[2])
-                token, n, sid, k, fresh = (x[own:] for x in (token, n, sid, k, fresh))
+                token, n, sid, k, label, fresh = (x[own:] for x in (token, n, sid, k, label, fresh))
                 if not len(token):
-                    held = [np.zeros(0, np.int64)] * 4
+                    held = [np.zeros(0, np.int64)] * 5
                     continue
             crowd = None
             starts = np.flatnonzero(fresh)
@@ -242,20 +279,20 @@ def meetings(posts: DataFrame, percent: int) -> DataFrame:
             long = lengths > BLOCK
             if long.any():
                 own = long[run_of]
-                yield emit(1, sid[starts][run_of[own]], sid[own], np.ones(int(own.sum())))
+                yield emit(1, sid[starts][run_of[own]], sid[own], label[own], np.ones(int(own.sum())))
             if long[-1]:
-                crowd, held = (token[-1], n[-1], sid[open_at]), [np.zeros(0, np.int64)] * 4
+                crowd, held = (token[-1], n[-1], sid[open_at]), [np.zeros(0, np.int64)] * 5
             else:
-                held = [x[open_at:] for x in (token, n, sid, k)]
+                held = [x[open_at:] for x in (token, n, sid, k, label)]
             own = ~long[run_of]
             own[open_at:] = False
-            yield from pairs(*(x[own] for x in (token, n, sid, k, run_of)))
+            yield from pairs(*(x[own] for x in (token, n, sid, k, label, run_of)))
         if len(held[0]):
             yield from pairs(*held, np.zeros(len(held[0]), np.int64))
 
-    sorted_posts = posts.select("token", "n", "sid", "k").repartition("token").sortWithinPartitions("token", "n", "sid")
-    found = sorted_posts.mapInArrow(run, "kind int, a bigint, b bigint, need bigint")
-    return found.groupBy("kind", "a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("need").alias("need")).where("kind = 1 OR shared >= need")
+    sorted_posts = posts.select("token", "n", "sid", "k", "label").repartition("token").sortWithinPartitions("token", "n", "sid")
+    found = sorted_posts.mapInArrow(run, "kind int, a bigint, b bigint, label bigint, need bigint")
+    return found.groupBy("kind", "a", "b", "label").agg(F.count(F.lit(1)).alias("shared"), F.max("need").alias("need")).where("kind = 1 OR shared >= need")
 
 
 def _pairs(rows: np.ndarray, tokens: np.ndarray, n: int) -> np.ndarray:
@@ -275,22 +312,34 @@ def _pairs(rows: np.ndarray, tokens: np.ndarray, n: int) -> np.ndarray:
     return out
 
 
-def block_links(group: pd.DataFrame, percent: int, classes: np.ndarray) -> list[tuple[int, int]]:
-    """A spanning forest of the links between the block pair's two sides."""
-    sides = np.where(group["left"], 1, 0) + np.where(group["right"], 2, 0)
-    sids = group["sid"].to_numpy(np.int64)
-    sets = [np.frombuffer(t, np.uint64) for t in group["tokens"]]
-    sizes = np.array([len(s) for s in sets])
+def star_links(pivot: np.ndarray, sids: list[int], sets: list[np.ndarray], percent: int) -> list[int]:
+    """Which of the sets are linked with the pivot."""
+    out = []
+    for sid, own in zip(sids, sets, strict=True):
+        at = np.minimum(np.searchsorted(pivot, own), len(pivot) - 1)
+        overlap = int((pivot[at] == own).sum())
+        if 100 * overlap >= percent * (len(pivot) + len(own) - overlap):
+            out.append(sid)
+    return out
+
+
+def block_links(sids: np.ndarray, labels: np.ndarray, left: np.ndarray, right: np.ndarray, sets: list[np.ndarray], percent: int, classes: np.ndarray) -> list[tuple[int, int]]:
+    """A spanning forest of the links between sets of different labels on the block pair's two sides."""
     n = len(sets)
+    sizes = np.array([len(s) for s in sets])
+    small, large = np.minimum.outer(sizes, sizes), np.maximum.outer(sizes, sizes)
+    asked = (left[:, None] & right[None, :]) & (labels[:, None] != labels[None, :]) & (100 * small >= percent * large)
+    asked |= asked.T
+    touched = np.flatnonzero(asked.any(axis=1))
+    if not len(touched):
+        return []
+    asked = asked[np.ix_(touched, touched)]
+    sids, sizes, sets, n = sids[touched], sizes[touched], [sets[i] for i in touched], len(touched)
     ordered = [global_order(s, classes) for s in sets]
     k = np.array([choose_matches(o, classes, percent) for o in ordered])
     parts = [o[: len(o) - int(required(len(o), percent)) + m] for o, m in zip(ordered, k, strict=True)]
     shared = _pairs(np.repeat(np.arange(n), [len(p) for p in parts]), np.concatenate(parts), n)
-    small, large = np.minimum.outer(sizes, sizes), np.maximum.outer(sizes, sizes)
-    asked = (shared >= matches_needed(sizes[:, None], k[:, None], sizes[None, :], k[None, :], percent)) & (100 * small >= percent * large)
-    asked &= ((sides[:, None] & 1) > 0) & ((sides[None, :] & 2) > 0)
-    asked |= asked.T
-    np.fill_diagonal(asked, False)
+    asked &= shared >= matches_needed(sizes[:, None], k[:, None], sizes[None, :], k[None, :], percent)
     touched = np.flatnonzero(asked.any(axis=1))
     if not len(touched):
         return []
@@ -314,37 +363,109 @@ def block_links(group: pd.DataFrame, percent: int, classes: np.ndarray) -> list[
     return out
 
 
-def links(docs: DataFrame, table: DataFrame, words: int, percent: int) -> DataFrame:
-    """(a, b): links between sets whose components are those of all links."""
-    classes = frequency_classes(docs, words)
-    met = written(meetings(prefixes(docs, words, percent, classes), percent), "join-meetings")
-    # pairs: a set against all its partners; the left side is the set itself
-    few = met.where("kind = 0")
-    stars = few.select(F.col("a").alias("pivot"), F.col("b").alias("sid"), F.lit(False).alias("left")).unionByName(few.select(F.col("a").alias("pivot"), F.col("a").alias("sid"), F.lit(True).alias("left")).distinct())
-    stars = stars.select("pivot", "sid", F.lit(-1).cast("bigint").alias("i"), F.lit(-1).cast("bigint").alias("j"), "left", (~F.col("left")).alias("right"))
-    # clusters: a member of block i meets blocks i..last as the left side, and 0..i as the right one
-    members = written(met.where("kind = 1").select(F.col("a").alias("pivot"), F.col("b").alias("sid")), "join-members")
-    blocks = written(members.groupBy("pivot").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("blocks")), "join-blocks")
-    placed = members.join(blocks, "pivot").withColumn("block", F.pmod(F.xxhash64("sid", "pivot"), F.col("blocks")))
-    crowds = placed.withColumn("other", F.explode(F.sequence(F.lit(0).cast("bigint"), F.col("blocks") - 1))).select(
-        "pivot", "sid", F.least("block", "other").alias("i"), F.greatest("block", "other").alias("j"), (F.col("block") <= F.col("other")).alias("left"), (F.col("block") >= F.col("other")).alias("right")
-    )
-    holders = table.groupBy("sid").agg(F.min("doc_id").alias("doc_id"))
-    asked = met.where("kind = 0").select(F.explode(F.array("a", "b")).alias("sid")).unionByName(members.select("sid")).distinct()
-    needed = written(asked.join(holders, "sid"), "join-needed")
-
-    def to_sets(batch: pa.RecordBatch) -> pa.RecordBatch:
-        made = [(sid, s.tobytes()) for sid, raw in zip(batch.column(0).to_pylist(), utf8_rows(batch.column(1)), strict=True) if set_id(s := shingle_set(raw, words)) == sid]
-        return pa.RecordBatch.from_arrays([pa.array([m[0] for m in made], pa.int64()), pa.array([m[1] for m in made], pa.binary())], ["sid", "tokens"])
-
-    texts = docs.join(needed, "doc_id").select("sid", "text")
-    sets = written(map_arrow(texts, to_sets, "sid bigint, tokens binary"), "join-sets")
+def stars(pairs: DataFrame) -> DataFrame:
+    """Group rows of pairs (a, b): each a with up to about `BLOCK` of its partners."""
+    degree = written(pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("parts")), "join-degrees")
+    dealt = pairs.join(degree, "a").select("a", "b", F.pmod(F.xxhash64("b", F.lit(9)), F.col("parts")).alias("i"))
+    zero = F.lit(0).cast("bigint")
+    row = lambda sid, left: (F.col("a").alias("pivot"), "i", F.lit(-1).cast("bigint").alias("j"), F.col(sid).alias("sid"), zero.alias("label"), F.lit(left).alias("left"), F.lit(not left).alias("right"))
+    return dealt.select(*row("b", False)).unionByName(dealt.select("a", "i").distinct().select(*row("a", True)))
+
+
+def block_pairs(members: DataFrame) -> DataFrame:
+    """Group rows of clusters (pivot, sid, label): their blocks, two by two.
+
+    A label with many members has blocks of its own, and two such blocks of one label don't meet.
+    """
+    counts = written(members.groupBy("pivot", "label").agg(F.count(F.lit(1)).alias("n")), "join-labels")
+    large = F.col("n") * 2 >= BLOCK
+    sizes = written(counts.groupBy("pivot").agg(F.sum(F.when(~large, F.col("n")).otherwise(0)).alias("mixed"), F.count(F.lit(1)).alias("labels")).where("labels > 1"), "join-mixed")
+    parts = F.ceil(F.when(large, F.col("n")).otherwise(F.col("mixed")) / F.lit(BLOCK))
+    own = F.when(large, F.col("label")).otherwise(F.lit(0))
+    placed = members.join(counts, ["pivot", "label"]).join(sizes, "pivot").select("pivot", "sid", "label", own.alias("pure"), F.xxhash64(own, F.pmod(F.xxhash64("sid", "pivot"), parts)).alias("block"))
+    placed = written(placed, "join-placed")
+    blocks = written(placed.select("pivot", "block", "pure").distinct(), "join-blocks")
+    other = blocks.select("pivot", F.col("block").alias("j"), F.col("pure").alias("other"))
+    met = blocks.withColumnRenamed("block", "i").join(other, "pivot").where("i <= j AND (pure = 0 OR other = 0 OR pure <> other)").select("pivot", "i", "j")
+    met = written(met, "join-block-pairs")
+    one = placed.join(met.withColumn("block", F.col("i")), ["pivot", "block"]).select("pivot", "i", "j", "sid", "label", F.lit(True).alias("left"), (F.col("i") == F.col("j")).alias("right"))
+    two = placed.join(met.where("i <> j").withColumn("block", F.col("j")), ["pivot", "block"]).select("pivot", "i", "j", "sid", "label", F.lit(False).alias("left"), F.lit(True).alias("right"))
+    return one.unionByName(two)
+
+
+#: Bits of the filter that tells which documents' sets are wanted; a fixed size, and only a first sieve before an exact join.
+SIEVE_BITS = 22
+
+
+def fetch_sets(docs: DataFrame, needed: DataFrame, words: int) -> DataFrame:
+    """(sid, tokens) of the needed (sid, doc_id), and of some others that the sieve lets pass."""
+    sieve = np.zeros(1 << SIEVE_BITS, bool)
+    sieve[needed.select(F.pmod(F.xxhash64("doc_id"), F.lit(1 << SIEVE_BITS)).alias("bit")).distinct().toPandas()["bit"].to_numpy(np.int64)] = True
+    sent = docs.sparkSession.sparkContext.broadcast(np.packbits(sieve))
+    passing = docs.select("doc_id", "text", F.pmod(F.xxhash64("doc_id"), F.lit(1 << SIEVE_BITS)).alias("bit"))
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch | None:
+        bit = batch.column(2).to_numpy()
+        wanted = (sent.value[bit >> 3] >> (7 - (bit & 7))) & 1 == 1
+        if not wanted.any():
+            return None
+        sets = [shingle_set(raw, words) for raw in utf8_rows(batch.column(1).filter(pa.array(wanted)))]
+        return pa.RecordBatch.from_arrays([pa.array([set_id(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], ["sid", "tokens"])
+
+    return map_arrow(passing, run, "sid bigint, tokens binary").join(needed.select("sid"), "sid", "left_semi")
+
+
+def verify(groups: DataFrame, docs: DataFrame, holders: DataFrame, words: int, percent: int, classes: np.ndarray) -> DataFrame:
+    """(a, b): the links that the groups' exact comparisons find."""
+    groups = written(groups, "join-groups")
+    needed = written(groups.select("sid").distinct().join(holders, "sid"), "join-needed")
+    sets = fetch_sets(docs, needed, words)
     sent = docs.sparkSession.sparkContext.broadcast(classes)
 
-    def verify(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame(block_links(group.drop_duplicates("sid"), percent, sent.value), columns=["a", "b"], dtype=np.int64)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[tuple] = []
+
+        def flush() -> pa.RecordBatch:
+            once = list({h[3]: h for h in held}.values())
+            sets = [np.frombuffer(h[7], np.uint64) for h in once]
+            if held[0][2] == -1:
+                at = next(i for i, h in enumerate(once) if h[5])
+                pivot, pivot_set = once[at][3], sets[at]
+                links = [(pivot, sid) for sid in star_links(pivot_set, [h[3] for h in once if not h[5]], [s for h, s in zip(once, sets, strict=True) if not h[5]], percent)]
+            else:
+                links = block_links(np.array([h[3] for h in once]), np.array([h[4] for h in once]), np.array([h[5] for h in once]), np.array([h[6] for h in once]), sets, percent, sent.value)
+            return pa.RecordBatch.from_arrays([pa.array([x[0] for x in links], pa.int64()), pa.array([x[1] for x in links], pa.int64())], ["a", "b"])
+
+        for batch in slices(batches, 256):
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                if held and row[:3] != held[0][:3]:
+                    yield flush()
+                    held = []
+                held.append(row)
+        if held:
+            yield flush()
 
-    return stars.unionByName(crowds).join(sets, "sid").groupBy("pivot", "i", "j").applyInPandas(verify, "a bigint, b bigint")
+    whole = groups.join(sets, "sid").select("pivot", "i", "j", "sid", "label", "left", "right", "tokens")
+    return whole.repartition("pivot", "i", "j").sortWithinPartitions("pivot", "i", "j").mapInArrow(run, "a bigint, b bigint")
+
+
+def links(docs: DataFrame, table: DataFrame, words: int, percent: int) -> DataFrame:
+    """(a, b): links between sets whose components are those of all links."""
+    classes = frequency_classes(docs, words)
+    shared = written(shared_posts(prefixes(docs, words, percent, classes), percent), "join-shared")
+    holders = written(table.where("n > 0").groupBy("sid").agg(F.min("doc_id").alias("doc_id")), "join-holders")
+    # first round: pivots. The matches of other runs aren't seen here, so half of those needed let a pair pass
+    overlap = f"({percent} * (n + pivot_n) + {99 + percent}) div {100 + percent}"
+    rest = f"greatest(({percent} * n + 99) div 100 - k, ({percent} * pivot_n + 99) div 100 - pivot_k)"
+    met = shared.where("sid <> pivot").groupBy("pivot", "sid", "n", "k", "pivot_n", "pivot_k").agg(F.count(F.lit(1)).alias("shared"))
+    near = met.where(f"2 * shared >= greatest(least(k, pivot_k), {overlap} - {rest}) AND 100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)")
+    first = written(verify(stars(written(near.select(F.col("pivot").alias("a"), F.col("sid").alias("b")), "join-near")), docs, holders, words, percent, classes), "join-links")
+    labels = written(connected(first).select(F.col("node").alias("sid"), F.col("component").alias("label")), "join-first")
+    labelled = shared.select("token", "n", "sid", "k").join(labels, "sid", "left").withColumn("label", F.coalesce("label", "sid"))
+    second = written(meetings(labelled, percent), "join-meetings")
+    members = second.where("kind = 1").select(F.col("a").alias("pivot"), F.col("b").alias("sid"), "label").distinct()
+    groups = stars(second.where("kind = 0").select("a", "b")).unionByName(block_pairs(written(members, "join-members")))
+    return first.unionByName(verify(groups, docs, holders, words, percent, classes))
 
 
 def join_documents(docs: DataFrame, words: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
