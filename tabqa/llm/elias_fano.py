@@ -1,8 +1,8 @@
 """Elias-Fano sequences of ascending integers, searched for many values at once.
 
 The lower bits of every value are packed one after another; the upper parts are a bit vector in which each value is a one
-and each step of the upper part a zero. A search finds the zero before its upper part from sampled positions and compares the
-lower bits of the few values behind it. The arrays may lie in a memory-mapped file.
+and each step of the upper part a zero. A search finds the zeros around its upper part from sampled positions and halves the values
+between them by their lower bits, so that it stays short where values crowd. The arrays may lie in a memory-mapped file.
 """
 
 from __future__ import annotations
@@ -87,21 +87,24 @@ class EliasFano:
         if not self.n or not len(inside):
             return out
         h = high[inside]
-        bit = np.where(h > 0, self._zero(np.maximum(h - 1, 0)) + 1, 0)
-        index = bit - h
+        first = np.where(h > 0, self._zero(np.maximum(h - 1, 0)) + 1, 0) - h
+        end = self._zero(h) - h
         low = values[inside].astype(_U) & _U((1 << self.low_bits) - 1)
-        while len(inside):
-            one = (self.uppers[bit >> 6] >> (bit & 63).astype(_U)) & _U(1) == 1
-            own = self._low(np.minimum(index, self.n - 1))
-            if at_least:
-                done = ~one | (own >= low)
-                out[inside[done]] = index[done]
-            else:
-                hit = one & (own == low)
-                out[inside[hit]] = index[hit]
-                done = ~one | (own >= low)
-            stay = ~done
-            inside, bit, index, low = inside[stay], bit[stay] + 1, index[stay] + 1, low[stay]
+        left, right = first.copy(), end.copy()
+        open_ = np.flatnonzero(left < right)
+        while len(open_):  # halves what is left of each upper part's values, which ascend
+            a, b = left[open_], right[open_]
+            middle = (a + b) >> 1
+            below = self._low(middle) < low[open_]
+            a, b = np.where(below, middle + 1, a), np.where(below, b, middle)
+            left[open_], right[open_] = a, b
+            open_ = open_[a < b]
+        if at_least:
+            out[inside] = left
+        else:
+            held = np.flatnonzero(left < end)
+            held = held[self._low(left[held]) == low[held]]
+            out[inside[held]] = left[held]
         return out
 
     def values(self) -> np.ndarray:

@@ -96,7 +96,7 @@ def _publish(folder: str, arrays: list[np.ndarray]) -> str:
 def _open(folder: str, name: str) -> list[np.ndarray]:
     """The file's arrays: memory-mapped from a mounted folder, read from any other store."""
     where, base = _store(folder)
-    raw = np.memmap(f"{base}/{name}", np.uint8, "r") if isinstance(where, fs.LocalFileSystem) else np.frombuffer(where.open_input_file(f"{base}/{name}").read(), np.uint8)
+    raw = np.asarray(np.memmap(f"{base}/{name}", np.uint8, "r")) if isinstance(where, fs.LocalFileSystem) else np.frombuffer(where.open_input_file(f"{base}/{name}").read(), np.uint8)
     head = raw[:512].view(np.int64)
     out, at = [], 512
     for k in range(int(head[0])):
@@ -133,13 +133,13 @@ def _summed(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndar
     return keys[first], np.add.reduceat(counts[order].astype(np.int64), first) if len(first) else counts.astype(np.int64)
 
 
-def count_keys(docs: DataFrame, keys_of: Callable[[list[np.ndarray]], np.ndarray], shards: int, least: int = 1) -> DataFrame:
-    """(key, count) over all documents; `keys_of` takes the word hashes of some documents."""
+def count_keys(rows: DataFrame, keys_of: Callable[[pa.RecordBatch], np.ndarray], shards: int, least: int = 1) -> DataFrame:
+    """(key, count) over all rows; `keys_of` gives the keys of a batch."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held, counts, size = [], [], 0
         for batch in slices(batches, 512):
-            keys = keys_of([word_hashes(raw) for raw in utf8_rows(batch.column(0))])
+            keys = keys_of(batch)
             if len(keys):
                 k, c = _summed(keys)
                 held.append(k)
@@ -170,7 +170,7 @@ def count_keys(docs: DataFrame, keys_of: Callable[[list[np.ndarray]], np.ndarray
         if held:
             yield from flush()
 
-    return docs.select("text").mapInArrow(run, _COUNTED).repartition("shard").sortWithinPartitions("shard").mapInArrow(merge, "key bigint, count bigint")
+    return rows.mapInArrow(run, _COUNTED).repartition("shard").sortWithinPartitions("shard").mapInArrow(merge, "key bigint, count bigint")
 
 
 # Levels ------------------------------------------------------------------------------------------------------------
@@ -309,6 +309,14 @@ def _joined(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(texts), np.concatenate(([0], np.cumsum([len(t) for t in texts])[:-1]))
 
 
+def _numbers(column: pa.Array) -> list[np.ndarray]:
+    return [np.frombuffer(v, np.int32) for v in column.to_pylist()]
+
+
+def _packed(values: np.ndarray, begins: np.ndarray) -> pa.Array:
+    return pa.array([v.tobytes() for v in np.split(values.astype(np.int32), begins[1:])], pa.binary())
+
+
 @dataclass
 class NgramModel:
     """Three levels, the rests of two, and the corpus counts."""
@@ -320,65 +328,95 @@ class NgramModel:
     pair_rests: Rests
     tokens: int
 
-    def pair_keys(self, texts: list[np.ndarray]) -> np.ndarray:
-        """Keys of the neighbouring words of some texts; words that the model lacks give none."""
-        joined, begins = _joined(texts)
-        ids = self.words.find(joined, 0)[0]
+    def ids(self, hashes: np.ndarray) -> np.ndarray:
+        """The words' places, -1 for words the model lacks; each distinct word is searched once."""
+        distinct, back = np.unique(hashes, return_inverse=True)
+        return self.words.find(distinct, 0)[0][back]
+
+    def pair_keys(self, ids: np.ndarray, begins: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Second tokens of the neighbouring known words, and the pairs' keys."""
         inside = np.ones(len(ids), bool)
         inside[begins] = False
         second = np.flatnonzero(inside)
         second = second[(ids[second] >= 0) & (ids[second - 1] >= 0)]
-        return ids[second - 1] * self.words.size + ids[second]
-
-    def triple_keys(self, texts: list[np.ndarray]) -> np.ndarray:
-        """Keys of the triples whose two pairs are both in the model."""
-        joined, begins = _joined(texts)
-        ids = self.words.find(joined, 0)[0]
-        place = self._pair_places(ids, begins)[0]
-        third = np.flatnonzero(place >= 0)
-        third = third[place[third - 1] >= 0]
-        return place[third - 1] * self.words.size + ids[third]
-
-    def _pair_places(self, ids: np.ndarray, begins: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """For each token the place and code of its pair with the token before, -1 where there is none."""
-        inside = np.ones(len(ids), bool)
-        inside[begins] = False
-        asked = np.flatnonzero(inside)
-        asked = asked[(ids[asked] >= 0) & (ids[asked - 1] >= 0)]
-        place, code = np.full(len(ids), -1, np.int64), np.zeros(len(ids), np.int64)
-        place[asked], (code[asked],) = self.pairs.find(ids[asked - 1] * self.words.size + ids[asked], 1)
-        return place, code
+        return second, ids[second - 1] * self.words.size + ids[second]
+
+    def places(self, ids: np.ndarray, begins: np.ndarray) -> np.ndarray:
+        """For each token the place of its pair with the token before, -1 where the model has none."""
+        second, keys = self.pair_keys(ids, begins)
+        out = np.full(len(ids), -1, np.int64)
+        out[second] = self.pairs.find(keys, 0)[0]
+        return out
 
-    def score(self, texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    def triple_keys(self, ids: np.ndarray, places: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Third tokens whose first two are a pair of the model, and the triples' keys, -1 for unknown words."""
+        third = np.flatnonzero(places[:-1] >= 0) + 1 if len(places) else np.zeros(0, np.int64)
+        return third, np.where(ids[third] >= 0, places[third - 1] * self.words.size + ids[third], -1)
+
+    def score(self, ids: np.ndarray, places: np.ndarray, begins: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """For each text: known tokens, the base score, and the model's log10 probability."""
-        joined, begins = _joined(texts)
-        ids, (counts,) = self.words.find(joined, 1)
+        known = np.flatnonzero(ids >= 0)
+        counts = np.zeros(len(ids))
+        counts[known] = self.words.at(ids[known], 0)
         single = (counts + 0.5) / (self.tokens + 0.5 * (self.words.size + 1))
-        place, code = self._pair_places(ids, begins)
         inside = np.ones(len(ids), bool)
         inside[begins] = False
-        double = single.copy()
+        p = single.copy()
         after = np.flatnonzero(inside)
         after = after[ids[after - 1] >= 0]
-        double[after] *= 10.0 ** restore(self.word_rests.at(ids[after - 1]))
-        found = place >= 0
-        double[found] += 10.0 ** restore(code[found])
-        third = np.flatnonzero(inside)
-        third = third[place[third - 1] >= 0]
-        context = place[third - 1]
-        triple = double.copy()
-        triple[third] *= 10.0 ** restore(self.pair_rests.at(context))
-        known = np.flatnonzero(ids[third] >= 0)
-        at, (codes,) = self.triples.find(context[known] * self.words.size + ids[third[known]], 1)
-        hit = at >= 0
-        triple[third[known[hit]]] += 10.0 ** restore(codes[hit])
-        sums = [np.add.reduceat(x, begins) for x in ((ids >= 0).astype(np.int64), np.log10(single), np.log10(np.minimum(triple, 1.0)))]
+        p[after] *= 10.0 ** restore(self.word_rests.at(ids[after - 1]))
+        found = np.flatnonzero(places >= 0)
+        p[found] += 10.0 ** restore(self.pairs.at(places[found], 0))
+        third, keys = self.triple_keys(ids, places)
+        own = inside[third]
+        third, keys = third[own], keys[own]
+        p[third] *= 10.0 ** restore(self.pair_rests.at(places[third - 1]))
+        at, (codes,) = self.triples.find(keys, 1)
+        p[third[at >= 0]] += 10.0 ** restore(codes[at >= 0])
+        sums = [np.add.reduceat(x, begins) for x in ((ids >= 0).astype(np.int64), np.log10(single), np.log10(np.minimum(p, 1.0)))]
         return sums[0], sums[1], sums[2]
 
 
-def train(docs: DataFrame, text_col: str = "text", discount: float = DISCOUNT, least_pairs: int = LEAST_PAIRS, least_triples: int = LEAST_TRIPLES) -> NgramModel:
-    """Counts all documents and writes the levels to the shared folder."""
-    docs = docs.select(F.col(text_col).cast("string").alias("text"))
+def _with_ids(docs: DataFrame, model: NgramModel, keep: list[str], text_col: str) -> DataFrame:
+    """The kept columns and the documents as word ids."""
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        hashes, begins = _joined([word_hashes(raw) for raw in utf8_rows(batch.column(0))])
+        return pa.RecordBatch.from_arrays([*batch.columns[1:], _packed(model.ids(hashes), begins)], [*keep, "ids"])
+
+    chosen = docs.select(F.col(text_col).cast("string").alias("__text"), *keep)
+    return map_arrow(chosen, run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[1:]), "ids binary"]))
+
+
+def _with_places(rows: DataFrame, model: NgramModel) -> DataFrame:
+    """The rows with the places of their pairs."""
+    at = rows.columns.index("ids")
+
+    def run(batch: pa.RecordBatch) -> pa.RecordBatch:
+        ids, begins = _joined(_numbers(batch.column(at)))
+        return pa.RecordBatch.from_arrays([*batch.columns, _packed(model.places(ids.astype(np.int64), begins), begins)], [*batch.schema.names, "places"])
+
+    return map_arrow(rows, run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields), "places binary"]))
+
+
+def _values(context_of: Callable[[np.ndarray], np.ndarray], discount: float, words: int, with_counts: bool) -> Callable[[np.ndarray, np.ndarray], list[np.ndarray]]:
+    """A level's columns: quantised discounted shares, counts where a lower level needs them, and the pointers."""
+
+    def make(keys: np.ndarray, counts: np.ndarray) -> list[np.ndarray]:
+        context = keys // words
+        begins = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
+        share = quantise(np.log10((counts - discount) / context_of(context)))
+        return [share, *([counts.astype(np.int32)] if with_counts else []), *EliasFano.build(begins).arrays()]
+
+    return make
+
+
+def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: str = "text", discount: float = DISCOUNT, least_pairs: int = LEAST_PAIRS, least_triples: int = LEAST_TRIPLES) -> tuple[NgramModel, DataFrame]:
+    """The model of the documents for which `training` (SQL over the kept columns) holds, and the scores of all.
+
+    The scores have the kept columns, n_tokens, n_known, train_tokens, base_score and score. The documents as word ids, and then
+    with the places of their pairs, are written to the shared folder, so that each text is read twice and each pair searched once.
+    """
     spark = docs.sparkSession
     folder = f"{shared_folder(spark)}/tabqa/ngrams-{spark.sparkContext.applicationId}-{np.random.default_rng().integers(1 << 62)}"
     shards = max(64, docs.count() // 4_000)
@@ -387,45 +425,50 @@ def train(docs: DataFrame, text_col: str = "text", discount: float = DISCOUNT, l
         row = counted.agg(F.count(F.lit(1)), F.sum("count")).first()
         return row[0], row[1] or 0
 
-    singles = written(count_keys(docs, np.concatenate, shards), "ngram-words")
+    learned = docs.where(training).select(F.col(text_col).cast("string").alias("text"))
+    singles = written(count_keys(learned, lambda batch: np.concatenate([word_hashes(raw) for raw in utf8_rows(batch.column(0))]), shards), "ngram-words")
     n, tokens = total(singles)
-    words = build_level(singles, folder, n, lambda keys, counts: [counts])
-    empty = Level(folder)
-    if not n:
-        return NgramModel(words, empty, empty, Rests(words), Rests(empty), 0)
+    words, empty = build_level(singles, folder, n, lambda keys, counts: [counts]), Level(folder)
     model = NgramModel(words, empty, empty, Rests(words), Rests(empty), tokens)
-    doubles = written(count_keys(docs, model.pair_keys, shards, least_pairs), "ngram-pairs")
+    rows = written(_with_ids(docs, model, keep, text_col), "ngram-ids")
 
-    def pair_values(keys: np.ndarray, counts: np.ndarray) -> list[np.ndarray]:
-        context = keys // words.size
-        begins = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
-        return [quantise(np.log10((counts - discount) / words.at(context, 0))), counts.astype(np.int32), *EliasFano.build(begins).arrays()]
+    def pair_keys(batch: pa.RecordBatch) -> np.ndarray:
+        ids, begins = _joined(_numbers(batch.column(0)))
+        return model.pair_keys(ids.astype(np.int64), begins)[1]
 
+    doubles = written(count_keys(rows.where(training).select("ids"), pair_keys, shards, least_pairs), "ngram-pairs")
     n, _ = total(doubles)
-    if n * words.size >= 1 << 62:
-        raise ValueError("too many pairs for 63-bit keys: raise least_pairs")
-    pairs = build_level(doubles, folder, n, pair_values)
-    word_rests = build_rests(doubles, words.size, words, 0, discount)
-    model = NgramModel(words, pairs, empty, word_rests, Rests(pairs), tokens)
-    threes = written(count_keys(docs, model.triple_keys, shards, least_triples), "ngram-triples")
-
-    def triple_values(keys: np.ndarray, counts: np.ndarray) -> list[np.ndarray]:
-        context = keys // words.size
-        begins = np.flatnonzero(np.concatenate(([True], context[1:] != context[:-1])))
-        return [quantise(np.log10((counts - discount) / pairs.at(context, 1))), *EliasFano.build(begins).arrays()]
+    if max(words.size, n) >= 1 << 31 or n * words.size >= 1 << 62:
+        raise ValueError("too many words or pairs for the keys: raise least_pairs")
+    pairs = build_level(doubles, folder, n, _values(lambda context: words.at(context, 0), discount, max(1, words.size), True))
+    paired = NgramModel(words, pairs, empty, build_rests(doubles, words.size, words, 0, discount), Rests(pairs), tokens)
+    rows = written(_with_places(rows, paired), "ngram-places")
 
-    triples = build_level(threes, folder, total(threes)[0], triple_values)
-    return NgramModel(words, pairs, triples, word_rests, build_rests(threes, words.size, pairs, 1, discount), tokens)
+    def triple_keys(batch: pa.RecordBatch) -> np.ndarray:
+        ids, begins = _joined(_numbers(batch.column(0)))
+        places = _joined(_numbers(batch.column(1)))[0].astype(np.int64)
+        third, keys = paired.triple_keys(ids.astype(np.int64), places)
+        return keys[places[third] >= 0]  # a triple that counts has two pairs that count; a text's first token has none
 
+    threes = written(count_keys(rows.where(training).select("ids", "places"), triple_keys, shards, least_triples), "ngram-triples")
+    triples = build_level(threes, folder, total(threes)[0], _values(lambda context: pairs.at(context, 1), discount, max(1, words.size), False))
+    whole = NgramModel(words, pairs, triples, paired.word_rests, build_rests(threes, words.size, pairs, 1, discount), tokens)
+    return whole, _scores(rows, whole, keep)
 
-def score_documents(docs: DataFrame, model: NgramModel, keep: list[str], text_col: str = "text") -> DataFrame:
-    """The kept columns with n_tokens, n_known, train_tokens, base_score and score."""
 
+def _scores(rows: DataFrame, model: NgramModel, keep: list[str]) -> DataFrame:
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts = [word_hashes(raw) for raw in utf8_rows(batch.column(0))]
-        known, base, score = model.score(texts)
-        return pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array([len(t) for t in texts], pa.int64()), pa.array(known), pa.array(np.full(len(texts), model.tokens)), pa.array(base), pa.array(score)], [*keep, "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-
-    chosen = docs.select(F.col(text_col).cast("string").alias("__text"), *keep)
-    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[1:])
+        ids, begins = _joined(_numbers(batch.column(0)))
+        places = _joined(_numbers(batch.column(1)))[0].astype(np.int64)
+        known, base, score = model.score(ids.astype(np.int64), places, begins)
+        lengths = np.diff(np.append(begins, len(ids)))
+        return pa.RecordBatch.from_arrays([*batch.columns[2:], pa.array(lengths), pa.array(known), pa.array(np.full(len(begins), model.tokens)), pa.array(base), pa.array(score)], [*keep, "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+
+    chosen = rows.select("ids", "places", *keep)
+    fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in chosen.schema.fields[2:])
     return map_arrow(chosen, run, f"{fields}, n_tokens bigint, n_known bigint, train_tokens bigint, base_score double, score double")
+
+
+def score_documents(docs: DataFrame, model: NgramModel, keep: list[str], text_col: str = "text") -> DataFrame:
+    """Scores of further documents by a model there is."""
+    return _scores(_with_places(_with_ids(docs, model, keep, text_col), model), model, keep)
