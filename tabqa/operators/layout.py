@@ -33,7 +33,7 @@ def _first_change(masks: Column, max_period: int, share: float) -> Column:
     def repeats(i: Column, period: int) -> Column:
         rest = F.sequence(i, n - 1 - period)
         same = F.size(F.filter(rest, lambda k: F.get(masks, k) == F.get(masks, k + period)))
-        return F.when(n - period > i, same >= share * F.size(rest)).otherwise(F.lit(False))
+        return F.when(n - period > i, (F.get(masks, i) == F.get(masks, i + period)) & (same >= share * F.size(rest))).otherwise(F.lit(False))
 
     found = F.filter(places, lambda i: (F.get(masks, i - 1) != F.get(masks, i)) & F.coalesce(_any([repeats(i, p) for p in range(1, max_period + 1)]), F.lit(False)))
     return F.get(found, F.lit(0))
@@ -47,15 +47,15 @@ def _any(conditions: list[Column]) -> Column:
 
 
 def _majority_start(masks: Column, theta: float) -> Column:
-    """First place from which on the commonest mask has at least the share theta."""
+    """First place where the mask changes and from which on it has at least the share theta."""
     n = F.size(masks)
     places = F.when(n > 1, F.sequence(F.lit(1), n - 1)).otherwise(F.array().cast("array<int>"))
 
     def share(i: Column) -> Column:
         rest = F.slice(masks, i + 1, n - i)
-        return F.array_max(F.transform(F.array_distinct(rest), lambda m: F.size(F.filter(rest, lambda x: x == m)))) / F.size(rest)
+        return F.size(F.filter(rest, lambda x: x == F.get(masks, i))) / F.size(rest)
 
-    return F.get(F.filter(places, lambda i: (share(i) >= theta) & (F.get(masks, i - 1) != F.get(masks, i))), F.lit(0))
+    return F.get(F.filter(places, lambda i: (F.get(masks, i - 1) != F.get(masks, i)) & (share(i) >= theta)), F.lit(0))
 
 
 def data_start(grid: Column, rule: str = "repeat", theta: float = 0.8, max_period: int = 3, share: float = 0.5) -> Column:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from tabqa.plans import relational  # noqa: F401
+from tabqa.plans import methods, relational  # noqa: F401
 from tabqa.plans.registry import PLANS, SQL
 
 __all__ = ["PLANS", "SQL"]
