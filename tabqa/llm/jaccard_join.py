@@ -37,7 +37,7 @@ from tabqa.session import written
 
 NULL_ID = -(1 << 63)
 #: Counters of the frequency sketch, in bits.
-SKETCH_BITS = 20
+SKETCH_BITS = 21
 #: Sets in a block; a task compares two blocks.
 BLOCK = 64
 #: Longest multi-match considered.
@@ -134,25 +134,36 @@ def set_table(docs: DataFrame, words: int) -> DataFrame:
 def frequency_classes(docs: DataFrame, words: int) -> np.ndarray:
     """The class of each sketch counter: the binary logarithm of how far it stands above its share of rare shingles.
 
-    Every task counts all shingles of its documents and passes on the counters that stand out; at most 2**20 rows, the
-    sketch's fixed size, reach the driver however large the table is.
+    Every task counts all shingles of its documents in one sketch of fixed size; the sketches are added up piece by piece.
+    What reaches the driver is one sketch, however large the table is.
     """
-    size = 1 << SKETCH_BITS
+    size, piece = 1 << SKETCH_BITS, 1 << 15
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         counts = np.zeros(size, np.int64)
         for batch in slices(batches, 1024):
             places = [shingle_set(raw, words) >> np.uint64(64 - SKETCH_BITS) for raw in utf8_rows(batch.column(1))]
             counts += np.bincount(np.concatenate(places).astype(np.int64), minlength=size)
-        mean = counts.sum() / size
-        hot = np.flatnonzero(counts > max(3.0, mean + 4 * np.sqrt(mean)))
-        if len(hot):
-            yield pa.RecordBatch.from_arrays([pa.array(hot), pa.array(np.round(counts[hot] - mean).astype(np.int64))], ["counter", "above"])
-
-    above = docs.mapInArrow(run, "counter bigint, above bigint").groupBy("counter").agg(F.sum("above").alias("above")).toPandas()
-    classes = np.zeros(size, np.uint8)
-    classes[above["counter"].to_numpy(np.int64)] = np.log2(1 + above["above"].to_numpy(np.float64)).astype(np.uint8)
-    return classes
+        if counts.any():  # a byte is enough for what a task adds to telling frequent from rare
+            small = np.minimum(counts, 255).astype(np.uint8)
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(size // piece)), pa.array([small[i : i + piece].tobytes() for i in range(0, size, piece)], pa.binary())], ["piece", "counts"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for k, raw in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                sums[k] = sums.get(k, 0) + np.frombuffer(raw, np.uint8).astype(np.int64)
+        for k, total in sums.items():
+            yield pa.RecordBatch.from_arrays([pa.array([k]), pa.array([total.tobytes()], pa.binary())], ["piece", "counts"])
+
+    kind = "piece bigint, counts binary"
+    rows = docs.mapInArrow(count, kind).repartition("piece").mapInArrow(add, kind).collect()
+    counts = np.zeros(size, np.int64)
+    for r in rows:
+        counts[r["piece"] * piece : (r["piece"] + 1) * piece] = np.frombuffer(r["counts"], np.int64)
+    mean = counts.sum() / size
+    above = np.where(counts > max(3.0, mean + 4 * np.sqrt(mean)), counts - mean, 0)
+    return np.log2(1 + above).astype(np.uint8)
 
 
 def prefixes(docs: DataFrame, words: int, percent: int, classes: np.ndarray) -> DataFrame:
