@@ -23,7 +23,6 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -34,7 +33,7 @@ from tabqa.session import written
 TREES = 28
 #: Axes that a digit chooses from; a digit has twice as many values.
 AXES = 32
-DIGITS = 4
+DIGITS = 3
 #: Candidates, over all trees, at which the ascent stops.
 CANDIDATES = 6_000
 BLOCK = 256
@@ -93,22 +92,25 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else np.zeros((0, 0))
 
 
-def hash_strings(vectors: DataFrame, forest: Forest, query: bool, with_vector: bool) -> DataFrame:
-    """(tree, string, vec_id[, vector as bytes of doubles]) for every tree."""
+def hash_strings(vectors: DataFrame, forest: Forest, query: bool, single: bool) -> DataFrame:
+    """(vec_id, vector as bytes, strings): each vector with its hash string in every tree.
+
+    The bytes are single precision where that is what the vectors came in.
+    """
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         x = _matrix(batch.column(1))
-        strings = forest.strings(x, query)
-        columns = [pa.array(np.repeat(np.arange(forest.trees, dtype=np.int32), len(x))), pa.array(strings.ravel()), pa.concat_arrays([batch.column(0)] * forest.trees)]
-        if with_vector:
-            columns.append(pa.array([v.tobytes() for v in x] * forest.trees, pa.binary()))
-        return pa.RecordBatch.from_arrays(columns, ["tree", "string", "vec_id", "vector"][: len(columns)])
+        strings = forest.strings(x, query).T
+        raw = [v.tobytes() for v in (x.astype(np.float32) if single else x)]
+        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary()), pa.array(list(strings), pa.list_(pa.int64()))], ["vec_id", "vector", "strings"])
 
-    return map_arrow(vectors, run, "tree int, string bigint, vec_id bigint" + ", vector binary" * with_vector, rows=2048)
+    return map_arrow(vectors, run, "vec_id bigint, vector binary, strings array<bigint>", rows=2048)
 
 
 def stop_depths(points: DataFrame, queries: DataFrame, forest: Forest, candidates: int) -> DataFrame:
     """(query_id, depth): the deepest level at which the query's subtrees in all trees hold enough vectors, or 0."""
+    points = points.select(F.posexplode("strings").alias("tree", "string"))
+    queries = queries.select("vec_id", F.posexplode("strings").alias("tree", "string"))
     deepest = points.groupBy("tree", "string").agg(F.count(F.lit(1)).alias("n"))
     sizes = None
     for depth in range(forest.digits, 0, -1):
@@ -126,17 +128,24 @@ def blocks(rows: DataFrame, size: int) -> DataFrame:
     """(tree, prefix, ids, vectors): sorted rows packed, at most `size` of one subtree to a block."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[tuple] = []
+        held: list[tuple[int, int, int, bytes, bytes]] = []  # pieces of the block that is open
 
         def flush() -> pa.RecordBatch:
-            return pa.RecordBatch.from_arrays([pa.array([held[0][0]], pa.int32()), pa.array([held[0][1]], pa.int64()), pa.array([np.array([h[2] for h in held], np.int64).tobytes()], pa.binary()), pa.array([b"".join(h[3] for h in held)], pa.binary())], ["tree", "prefix", "ids", "vectors"])
+            return pa.RecordBatch.from_arrays([pa.array([held[0][0]], pa.int32()), pa.array([held[0][1]], pa.int64()), pa.array([b"".join(h[3] for h in held)], pa.binary()), pa.array([b"".join(h[4] for h in held)], pa.binary())], ["tree", "prefix", "ids", "vectors"])
 
         for batch in batches:
-            for row in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
-                if held and (len(held) >= size or row[:2] != held[0][:2]):
-                    yield flush()
-                    held = []
-                held.append(row)
+            tree, prefix, ids = (batch.column(i).to_numpy() for i in range(3))
+            vectors = batch.column(3)
+            fresh = np.flatnonzero(np.concatenate(([True], (tree[1:] != tree[:-1]) | (prefix[1:] != prefix[:-1])))) if len(tree) else np.zeros(0, int)
+            for first, last in zip(fresh.tolist(), [*fresh[1:].tolist(), len(tree)], strict=True):
+                key = (int(tree[first]), int(prefix[first]))
+                while first < last:
+                    if held and (held[0][:2] != key or sum(h[2] for h in held) >= size):
+                        yield flush()
+                        held = []
+                    n = min(last - first, size - sum(h[2] for h in held))
+                    held.append((*key, n, ids[first : first + n].tobytes(), b"".join(vectors.slice(first, n).to_pylist())))
+                    first += n
         if held:
             yield flush()
 
@@ -145,14 +154,16 @@ def blocks(rows: DataFrame, size: int) -> DataFrame:
     return rows.select("tree", "prefix", "vec_id", "vector").repartitionByRange(parts, *order).sortWithinPartitions(*order).mapInArrow(run, "tree int, prefix bigint, ids binary, vectors binary")
 
 
-def score_blocks(pairs: DataFrame, k: int, width: int) -> DataFrame:
+def score_blocks(pairs: DataFrame, k: int, width: int, single: bool) -> DataFrame:
     """(query_id, vec_id, score): the k best of each block pair for each of its queries."""
 
+    kind = np.float32 if single else np.float64
+
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         queries, found, scores = [], [], []
         for q_ids, q_raw, p_ids, p_raw in zip(*(batch.column(i).to_pylist() for i in range(4)), strict=True):
             q_ids, p_ids = np.frombuffer(q_ids, np.int64), np.frombuffer(p_ids, np.int64)
-            q, p = np.frombuffer(q_raw, np.float64).reshape(-1, width), np.frombuffer(p_raw, np.float64).reshape(-1, width)
+            q, p = (np.frombuffer(raw, kind).reshape(-1, width).astype(np.float64) for raw in (q_raw, p_raw))
             near = q @ p.T
             near[q_ids[:, None] == p_ids[None, :]] = -np.inf
             take = min(k, len(p_ids))
@@ -191,7 +202,7 @@ def _first_copies(vectors: DataFrame, keep: int) -> DataFrame:
 def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, candidates: int = CANDIDATES) -> DataFrame:
     """query_id, rank, vec_id, score: each query's k nearest found, nearest first."""
     points = usable(vectors, id_col, vector_col).distinct()
-    asked = written(usable(queries, id_col, vector_col).distinct(), "forest-queries")
+    asked = usable(queries, id_col, vector_col).distinct()
     shape = points.agg(F.max(F.size("vector")).alias("width"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda s, x: s + x * x))).alias("longest"), F.min(F.size("vector")).alias("narrow")).first()
     if shape["width"] is None or not asked.head(1):
         return vectors.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
@@ -199,24 +210,21 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "
         raise ValueError("vectors of different widths")
     width = shape["width"]
     forest = Forest(width, shape["longest"] or 1.0, trees)
-    points = written(_first_copies(points, k + 1), "forest-points")
-    strings = written(hash_strings(points, forest, False, False), "forest-strings")
-    question = written(hash_strings(asked, forest, True, False), "forest-question")
-    depths = written(stop_depths(strings, question, forest, candidates), "forest-depths")
+    single = dict(vectors.dtypes)[vector_col] == "array<float>"
+    points = written(hash_strings(_first_copies(points, k + 1), forest, False, single), "forest-points")
+    question = written(hash_strings(asked, forest, True, single), "forest-question")
+    depths = written(stop_depths(points, question, forest, candidates), "forest-depths")
     found = None
     for depth in sorted(r["depth"] for r in depths.select("depth").distinct().collect()):  # at most one for each digit, and the root
         scale = forest.base ** (forest.digits - depth)
-        own = depths.where(F.col("depth") == depth).select(F.col("query_id").alias("vec_id"))
+        own = question.join(depths.where(F.col("depth") == depth).select(F.col("query_id").alias("vec_id")), "vec_id", "left_semi")
         if depth:
-            prefix = F.expr(f"string div {scale}").alias("prefix")
-            p = hash_strings(points, forest, False, True).select("tree", prefix, "vec_id", "vector")
-            q = hash_strings(asked.join(own, "vec_id", "left_semi"), forest, True, True).select("tree", prefix, "vec_id", "vector")
+            at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).withColumn("prefix", F.expr(f"string div {scale}"))  # noqa: B023, E731
         else:  # the root: one tree holds everything
-            pack = lambda df: map_arrow(df, lambda b: pa.RecordBatch.from_arrays([pa.array(np.zeros(b.num_rows, np.int32)), pa.array(np.zeros(b.num_rows, np.int64)), b.column(0), pa.array([v.tobytes() for v in _matrix(b.column(1))], pa.binary())], ["tree", "prefix", "vec_id", "vector"]), "tree int, prefix bigint, vec_id bigint, vector binary")
-            p, q = pack(points), pack(asked.join(own, "vec_id", "left_semi"))
-        p_blocks = written(blocks(p, BLOCK), "forest-blocks")
-        q_blocks = written(blocks(q, QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "vectors": "q_vectors"}), "forest-asked")
-        part = score_blocks(p_blocks.join(q_blocks, ["tree", "prefix"]), k, width)
+            at = lambda df: df.withColumns({"tree": F.lit(0), "prefix": F.lit(0).cast("bigint")})
+        p_blocks = blocks(at(points), BLOCK)
+        q_blocks = blocks(at(own), QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "vectors": "q_vectors"})
+        part = score_blocks(p_blocks.join(q_blocks, ["tree", "prefix"]), k, width, single)
         found = part if found is None else found.unionByName(part)
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     distinct = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
