@@ -8,14 +8,18 @@ from pyspark.sql import functions as F
 from tabqa.session import written
 
 
-def _stars(edges: DataFrame, large: bool) -> DataFrame:
+#: Edges to a file of a round, about.
+FILE_EDGES = 50_000
+
+
+def _stars(edges: DataFrame, large: bool, files: int) -> DataFrame:
     """One pass. Large: a node's greater neighbours are tied to the least of its neighbourhood; small: the others."""
     if large:
         sides = edges.select(F.col("a").alias("u"), F.col("b").alias("v")).unionByName(edges.select(F.col("b").alias("u"), F.col("a").alias("v")))
     else:
         sides = edges.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v"))
-    sides = written(sides.distinct(), "star-sides")
-    least = written(sides.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")), "star-least")
+    sides = written(sides.distinct().coalesce(2 * files), "star-sides")
+    least = written(sides.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m")).coalesce(files), "star-least")
     tied = sides.join(least, "u")
     if large:
         out = tied.where("v > u").select(F.col("v").alias("a"), F.col("m").alias("b"))
@@ -33,10 +37,11 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
     edges = written(edges.where("a <> b").select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).distinct(), "star-edges")
     print_of = [F.count(F.lit(1)), F.sum(F.xxhash64("a", "b").cast("decimal(38,0)"))]
     seen = tuple(edges.agg(*print_of).first())
+    files = max(1, seen[0] // FILE_EDGES)
     for _ in range(rounds):
         if not seen[0]:
             break
-        edges = written(_stars(_stars(edges, True), False), "star-edges")
+        edges = written(_stars(_stars(edges, True, files), False, files).coalesce(files), "star-edges")
         now = tuple(edges.agg(*print_of).first())
         if now == seen:
             break

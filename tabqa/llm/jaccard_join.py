@@ -374,9 +374,15 @@ def block_links(sids: np.ndarray, labels: np.ndarray, left: np.ndarray, right: n
     return out
 
 
+def _files(rows: DataFrame) -> int:
+    """How many files so many rows of a few numbers are worth."""
+    return max(1, rows.count() // 50_000)
+
+
 def stars(pairs: DataFrame) -> DataFrame:
     """Group rows of pairs (a, b): each a with up to about `BLOCK` of its partners."""
-    degree = written(pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("parts")), "join-degrees")
+    files = _files(pairs)
+    degree = written(pairs.groupBy("a").agg(F.ceil(F.count(F.lit(1)) / F.lit(BLOCK)).alias("parts")).coalesce(files), "join-degrees")
     dealt = pairs.join(degree, "a").select("a", "b", F.pmod(F.xxhash64("b", F.lit(9)), F.col("parts")).alias("i"))
     zero = F.lit(0).cast("bigint")
     row = lambda sid, left: (F.col("a").alias("pivot"), "i", F.lit(-1).cast("bigint").alias("j"), F.col(sid).alias("sid"), zero.alias("label"), F.lit(left).alias("left"), F.lit(not left).alias("right"))
@@ -388,17 +394,18 @@ def block_pairs(members: DataFrame) -> DataFrame:
 
     A label with many members has blocks of its own, and two such blocks of one label don't meet.
     """
-    counts = written(members.groupBy("pivot", "label").agg(F.count(F.lit(1)).alias("n")), "join-labels")
+    files = _files(members)
+    counts = written(members.groupBy("pivot", "label").agg(F.count(F.lit(1)).alias("n")).coalesce(files), "join-labels")
     large = F.col("n") * 2 >= BLOCK
-    sizes = written(counts.groupBy("pivot").agg(F.sum(F.when(~large, F.col("n")).otherwise(0)).alias("mixed"), F.count(F.lit(1)).alias("labels")).where("labels > 1"), "join-mixed")
+    sizes = written(counts.groupBy("pivot").agg(F.sum(F.when(~large, F.col("n")).otherwise(0)).alias("mixed"), F.count(F.lit(1)).alias("labels")).where("labels > 1").coalesce(files), "join-mixed")
     parts = F.ceil(F.when(large, F.col("n")).otherwise(F.col("mixed")) / F.lit(BLOCK))
     own = F.when(large, F.col("label")).otherwise(F.lit(0))
     placed = members.join(counts, ["pivot", "label"]).join(sizes, "pivot").select("pivot", "sid", "label", own.alias("pure"), F.xxhash64(own, F.pmod(F.xxhash64("sid", "pivot"), parts)).alias("block"))
-    placed = written(placed, "join-placed")
-    blocks = written(placed.select("pivot", "block", "pure").distinct(), "join-blocks")
+    placed = written(placed.coalesce(files), "join-placed")
+    blocks = written(placed.select("pivot", "block", "pure").distinct().coalesce(files), "join-blocks")
     other = blocks.select("pivot", F.col("block").alias("j"), F.col("pure").alias("other"))
     met = blocks.withColumnRenamed("block", "i").join(other, "pivot").where("i <= j AND (pure = 0 OR other = 0 OR pure <> other)").select("pivot", "i", "j")
-    met = written(met, "join-block-pairs")
+    met = written(met.coalesce(files), "join-block-pairs")
     one = placed.join(met.withColumn("block", F.col("i")), ["pivot", "block"]).select("pivot", "i", "j", "sid", "label", F.lit(True).alias("left"), (F.col("i") == F.col("j")).alias("right"))
     two = placed.join(met.where("i <> j").withColumn("block", F.col("j")), ["pivot", "block"]).select("pivot", "i", "j", "sid", "label", F.lit(False).alias("left"), F.lit(True).alias("right"))
     return one.unionByName(two)
@@ -429,7 +436,7 @@ def fetch_sets(docs: DataFrame, needed: DataFrame, words: int) -> DataFrame:
 def verify(groups: DataFrame, docs: DataFrame, holders: DataFrame, words: int, percent: int, classes: np.ndarray) -> DataFrame:
     """(a, b): the links that the groups' exact comparisons find."""
     groups = written(groups, "join-groups")
-    needed = written(groups.select("sid").distinct().join(holders, "sid"), "join-needed")
+    needed = written(groups.select("sid").distinct().join(holders, "sid").coalesce(_files(groups)), "join-needed")
     sets = fetch_sets(docs, needed, words)
     sent = docs.sparkSession.sparkContext.broadcast(classes)
 
@@ -475,7 +482,7 @@ def links(docs: DataFrame, table: DataFrame, words: int, percent: int) -> DataFr
     labelled = shared.select("token", "n", "sid", "k").join(labels, "sid", "left").withColumn("label", F.coalesce("label", "sid"))
     second = written(meetings(labelled, percent), "join-meetings")
     members = second.where("kind = 1").select(F.col("a").alias("pivot"), F.col("b").alias("sid"), "label").distinct()
-    groups = stars(second.where("kind = 0").select("a", "b")).unionByName(block_pairs(written(members, "join-members")))
+    groups = stars(second.where("kind = 0").select("a", "b")).unionByName(block_pairs(written(members.coalesce(_files(second)), "join-members")))
     return first.unionByName(verify(groups, docs, holders, words, percent, classes))
 
 
