@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from tabqa.plans import methods, relational  # noqa: F401
+from tabqa.plans import answers, methods, relational  # noqa: F401
+from tabqa.plans.answers import flagship
 from tabqa.plans.registry import PLANS, SQL
 
-__all__ = ["PLANS", "SQL"]
+__all__ = ["PLANS", "SQL", "flagship"]

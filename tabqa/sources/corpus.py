@@ -124,8 +124,8 @@ def training_grids(spark: SparkSession, sf_dir: str) -> DataFrame:
         out.append(grids.select(F.concat(F.lit(family + ":"), F.col("table_id").cast("string")).alias("table_id"), F.lit(family).alias("family"), "grid"))
 
     def spread(df: DataFrame, n: int, key: str) -> DataFrame:
-        """n overlapping slices: a row is in slice i when its hash leaves one of three neighbours of i."""
-        place = F.pmod(F.xxhash64(key), F.lit(n)).cast("int")
+        """n overlapping slices: a row is in slice i when its key's number leaves i or one of two neighbours."""
+        place = F.pmod(F.regexp_extract(F.col(key), r"(\d+)", 1).cast("int"), F.lit(n))
         return df.withColumn("i", F.explode(F.array(*(F.pmod(place + d, F.lit(n)) for d in range(3)))))
 
     codes = pair_codes(spark, sf_dir)
