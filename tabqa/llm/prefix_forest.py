@@ -222,7 +222,10 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "
             at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).withColumn("prefix", F.expr(f"string div {scale}"))  # noqa: B023, E731
         else:  # the root: one tree holds everything
             at = lambda df: df.withColumns({"tree": F.lit(0), "prefix": F.lit(0).cast("bigint")})
-        p_blocks = blocks(at(points), BLOCK)
+        p = at(points)
+        if depth > 1:  # deep down most subtrees are nobody's
+            p = p.join(at(own).select("tree", "prefix").distinct(), ["tree", "prefix"], "left_semi")
+        p_blocks = blocks(p, BLOCK)
         q_blocks = blocks(at(own), QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "vectors": "q_vectors"})
         part = score_blocks(p_blocks.join(q_blocks, ["tree", "prefix"]), k, width, single)
         found = part if found is None else found.unionByName(part)
