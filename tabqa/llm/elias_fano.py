@@ -1,7 +1,7 @@
 """Elias-Fano sequences of ascending integers, searched for many values at once.
 
 The lower bits of every value are packed one after another; the upper parts are a bit vector in which each value is a one
-and each step of the upper part a zero. A search finds the zeros around its upper part from sampled positions and halves the values
+and each step of the upper part a zero. A search finds the zeros around its upper part from counts by block and halves the values
 between them by their lower bits, so that it stays short where values crowd. The arrays may lie in a memory-mapped file.
 """
 
@@ -10,7 +10,7 @@ from __future__ import annotations
 import numpy as np
 
 _U = np.uint64
-_SAMPLE = 6  # a position is kept for every 2**6 zeros
+_BLOCK = 7  # the zeros before every 2**7 bits are counted
 
 
 def _load(words: np.ndarray, bit: np.ndarray) -> np.ndarray:
@@ -33,7 +33,8 @@ class EliasFano:
         steps = int(highs[-1]) + 1 if n else 1
         bits = np.zeros((n + steps + 64 + 63) // 64 * 64 + 64, np.uint8)
         bits[highs + np.arange(n)] = 1
-        zeros = np.flatnonzero(bits[: n + steps] == 0)[:: 1 << _SAMPLE].astype(np.int64)
+        per_block = np.add.reduceat((bits == 0).astype(np.int64), np.arange(0, len(bits), 1 << _BLOCK))
+        zeros = np.cumsum(per_block) - per_block
         lows = np.zeros((n * low_bits + 63) // 64 + 2, _U)
         if low_bits:
             low = values.astype(_U) & _U((1 << low_bits) - 1)
@@ -55,10 +56,9 @@ class EliasFano:
 
     def _zero(self, k: np.ndarray) -> np.ndarray:
         """Bit place of the k-th zero."""
-        place = self.zeros[k >> _SAMPLE].copy()
-        rest = k & ((1 << _SAMPLE) - 1)
-        open_ = np.flatnonzero(rest > 0)
-        at, left = place[open_] + 1, rest[open_] - 1
+        block = np.searchsorted(self.zeros, k, "right") - 1
+        at, left = block << _BLOCK, k - self.zeros[block]
+        place, open_ = np.zeros(len(k), np.int64), np.arange(len(k))
         while len(open_):
             word = ~_load(self.uppers, at)
             count = np.bitwise_count(word).astype(np.int64)

@@ -40,7 +40,7 @@ LEAST_TRIPLES = 2
 #: Keys of one file of a level, about.
 FILE_KEYS = 2_000_000
 #: Counted entries a task holds before it passes them on.
-HELD_KEYS = 3_000_000
+HELD_KEYS = 1_500_000
 END = np.int64(1)
 _LEAST_LOG = -12.0
 _SCALE = 65535 / _LEAST_LOG
