@@ -125,12 +125,16 @@ def _pack(keys: np.ndarray, counts: np.ndarray, shards: int) -> pa.RecordBatch:
 
 
 def _summed(keys: np.ndarray, counts: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray]:
-    order = np.argsort(keys)
-    keys = keys[order]
-    first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, np.int64)
+    """Distinct keys ascending, with how often they occur, or the sums of their counts."""
+    if not len(keys):
+        return keys, np.zeros(0, np.int64)
     if counts is None:
-        return keys[first], np.diff(np.append(first, len(keys)))
-    return keys[first], np.add.reduceat(counts[order].astype(np.int64), first) if len(first) else counts.astype(np.int64)
+        keys = np.sort(keys)
+    else:
+        order = np.argsort(keys)
+        keys, counts = keys[order], counts[order].astype(np.int64)
+    first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1])))
+    return keys[first], np.diff(np.append(first, len(keys))) if counts is None else np.add.reduceat(counts, first)
 
 
 def count_keys(rows: DataFrame, keys_of: Callable[[pa.RecordBatch], np.ndarray], shards: int, least: int = 1) -> DataFrame:
