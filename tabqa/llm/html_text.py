@@ -2,8 +2,8 @@
 
 A page's text falls into blocks; a block's tag path runs from the root to the element that holds it. For every path
 the length of text and the count of punctuation, each per block and lessened by linked text, are gathered; the
-series of both along the page is smoothed with a Gaussian, the two are fused, and blocks above a threshold that the
-page itself sets are content. Paths through elements that never hold an article's text count nothing, and paths
+series of both along the page is smoothed with a Gaussian, smoothed and plain ones are fused, and blocks above a threshold that
+the page itself sets are content. A heading goes with the content it stands before. Paths through elements that never hold an article's text count nothing, and paths
 through an element that declares itself the article outweigh the threshold.
 
 A null or empty page gives an empty text. Markup may be broken: unclosed elements end with their parent, stray end tags
@@ -41,6 +41,7 @@ MARKS = frozenset(
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>|<[!?][^>]*>", re.S)
 _MARKED = re.compile(r"(?<![\w-])(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _HIDDEN = re.compile(r"(?<![\w-])hidden(?![\w-])|display\s*:\s*none", re.I)
+_HEADING = re.compile(r"/h[1-6][^/]*$")
 _PUNCTUATION = re.compile(r"[.,;:!?…。，、！？]")
 
 
@@ -165,14 +166,17 @@ def content_blocks(blocks: list[Block], share: float = 0.8) -> list[Block]:
     own = np.array([max(0, len(b.text) - b.linked) for b in blocks], float)
     marks = np.array([len(_PUNCTUATION.findall(b.text)) * (own[i] / max(1, len(b.text))) for i, b in enumerate(blocks)])
     n = np.bincount(path)
-    text_ratio = _smooth((np.bincount(path, own) / n)[path])
-    mark_ratio = _smooth((np.bincount(path, marks) / n)[path])
-    fused = np.sqrt(text_ratio * (mark_ratio + 0.1))
+    text_ratio, mark_ratio = (np.bincount(path, own) / n)[path], (np.bincount(path, marks) / n)[path]
+    plain = np.sqrt(text_ratio * (mark_ratio + 0.1))
+    fused = np.sqrt(plain * np.sqrt(_smooth(text_ratio) * (_smooth(mark_ratio) + 0.1)))
     threshold = share * float(np.std(fused)) if len(blocks) > 1 else 0.0
     if weight.max() > 1:  # the page declares its article: nothing else competes
         weight = np.where(weight > 1, weight, 0.0)
     score = np.bincount(path, fused)[path] / n[path] * weight
-    return [b for b, w, s in zip(blocks, weight, score, strict=True) if w > 0 and s >= threshold]
+    chosen = (weight > 0) & (score >= threshold)
+    for i in range(len(blocks) - 2, -1, -1):  # a heading goes with what it heads
+        chosen[i] |= bool(chosen[i + 1] and weight[i] > 0 and _HEADING.search(blocks[i].path))
+    return [b for b, c in zip(blocks, chosen, strict=True) if c]
 
 
 def main_text(page: str | None) -> str:
