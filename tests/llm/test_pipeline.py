@@ -24,7 +24,7 @@ def test_pipeline(spark, sf):
     assert first == {i: t for i, t in rows if not any(r.rejects(quality.Measured((t or "").encode())) for r in quality.RULES)}
     second = corpus_pipeline.repeated_lines(spark, spark.createDataFrame([(i, t, "x", "y", 0) for i, t in first.items()], docs.schema), sf)
     got = second.collect()
-    assert sorted((r["doc_id"], len(r["text"].split("\n"))) for r in got if r["text"]) == sorted((i, n - d) for i, n, d, _ in lines_without_repeats(first.items()) if n > d and dict(((r["doc_id"], r["text"]) for r in got))[i])
+    assert sorted((r["doc_id"], len(r["text"].split("\n"))) for r in got if r["text"]) == sorted((i, n - d) for i, n, d, _ in lines_without_repeats(first.items()) if n > d and dict((r["doc_id"], r["text"]) for r in got).get(i))
     assert all(r["n_chars"] == len(r["text"]) for r in got)
     lines = [(r["doc_id"], r["text"]) for r in got]
     third = corpus_pipeline.near_duplicates(spark, second, sf)
