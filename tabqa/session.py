@@ -74,9 +74,18 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def written(df: DataFrame, name: str) -> DataFrame:
+def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     """Writes a frame as Parquet in the shared folder and reads it back: smaller than a checkpoint."""
     spark = df.sparkSession
     path = f"{shared_folder(spark)}/tabqa/{name}-{uuid.uuid4().hex}"
-    df.write.parquet(path)
-    return spark.read.parquet(path)
+    df.write.option("compression", compression).parquet(path)
+    out = spark.read.parquet(path)
+    out._tabqa_path = path
+    return out
+
+
+def discard(df: DataFrame) -> None:
+    """Deletes the files of a written frame that nothing will read again."""
+    spark = df.sparkSession
+    path = spark._jvm.org.apache.hadoop.fs.Path(df._tabqa_path)
+    path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
