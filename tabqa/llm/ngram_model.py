@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from tabqa.llm.anchors import Prints
 from tabqa.llm.common import ascii_lower, map_arrow, slices, utf8_rows
 from tabqa.llm.elias_fano import EliasFano
-from tabqa.session import shared_folder, written
+from tabqa.session import discard, shared_folder, written
 
 DISCOUNT = 0.75
 LEAST_PAIRS = 2
@@ -60,8 +60,12 @@ def quantise(log10: np.ndarray) -> np.ndarray:
     return np.clip(np.round(log10 * _SCALE), 0, 65535).astype(np.uint16)
 
 
-def restore(codes: np.ndarray) -> np.ndarray:
-    return codes / _SCALE
+_SHARES = 10.0 ** (np.arange(1 << 16) / _SCALE)
+
+
+def share_of(codes: np.ndarray) -> np.ndarray:
+    """The probabilities that quantised logarithms stand for."""
+    return _SHARES[codes]
 
 
 # Files -------------------------------------------------------------------------------------------------------------
@@ -314,11 +318,12 @@ def _joined(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 
 
 def _numbers(column: pa.Array) -> list[np.ndarray]:
-    return [np.frombuffer(v, np.int32) for v in column.to_pylist()]
+    return [np.ascontiguousarray(np.frombuffer(v, np.uint8).reshape(4, -1).T).view(np.int32)[:, 0] for v in column.to_pylist()]
 
 
 def _packed(values: np.ndarray, begins: np.ndarray) -> pa.Array:
-    return pa.array([v.tobytes() for v in np.split(values.astype(np.int32), begins[1:])], pa.binary())
+    """Each text's numbers, all first bytes, then all second ones and so on: the upper bytes compress to little."""
+    return pa.array([v.view(np.uint8).reshape(-1, 4).T.tobytes() for v in np.split(values.astype(np.int32), begins[1:])], pa.binary())
 
 
 @dataclass
@@ -368,15 +373,15 @@ class NgramModel:
         p = single.copy()
         after = np.flatnonzero(inside)
         after = after[ids[after - 1] >= 0]
-        p[after] *= 10.0 ** restore(self.word_rests.at(ids[after - 1]))
+        p[after] *= share_of(self.word_rests.at(ids[after - 1]))
         found = np.flatnonzero(places >= 0)
-        p[found] += 10.0 ** restore(self.pairs.at(places[found], 0))
+        p[found] += share_of(self.pairs.at(places[found], 0))
         third, keys = self.triple_keys(ids, places)
         own = inside[third]
         third, keys = third[own], keys[own]
-        p[third] *= 10.0 ** restore(self.pair_rests.at(places[third - 1]))
+        p[third] *= share_of(self.pair_rests.at(places[third - 1]))
         at, (codes,) = self.triples.find(keys, 1)
-        p[third[at >= 0]] += 10.0 ** restore(codes[at >= 0])
+        p[third[at >= 0]] += share_of(codes[at >= 0])
         sums = [np.add.reduceat(x, begins) for x in ((ids >= 0).astype(np.int64), np.log10(single), np.log10(np.minimum(p, 1.0)))]
         return sums[0], sums[1], sums[2]
 
@@ -434,7 +439,7 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
     n, tokens = total(singles)
     words, empty = build_level(singles, folder, n, lambda keys, counts: [counts]), Level(folder)
     model = NgramModel(words, empty, empty, Rests(words), Rests(empty), tokens)
-    rows = written(_with_ids(docs, model, keep, text_col), "ngram-ids")
+    rows = ids = written(_with_ids(docs, model, keep, text_col), "ngram-ids", "zstd")
 
     def pair_keys(batch: pa.RecordBatch) -> np.ndarray:
         ids, begins = _joined(_numbers(batch.column(0)))
@@ -446,7 +451,8 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
         raise ValueError("too many words or pairs for the keys: raise least_pairs")
     pairs = build_level(doubles, folder, n, _values(lambda context: words.at(context, 0), discount, max(1, words.size), True))
     paired = NgramModel(words, pairs, empty, build_rests(doubles, words.size, words, 0, discount), Rests(pairs), tokens)
-    rows = written(_with_places(rows, paired), "ngram-places")
+    rows = written(_with_places(rows, paired), "ngram-places", "zstd")
+    discard(ids)
 
     def triple_keys(batch: pa.RecordBatch) -> np.ndarray:
         ids, begins = _joined(_numbers(batch.column(0)))
