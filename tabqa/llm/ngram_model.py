@@ -317,13 +317,17 @@ def _joined(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
     return np.concatenate(texts), np.concatenate(([0], np.cumsum([len(t) for t in texts])[:-1]))
 
 
-def _numbers(column: pa.Array) -> list[np.ndarray]:
-    return [np.ascontiguousarray(np.frombuffer(v, np.uint8).reshape(4, -1).T).view(np.int32)[:, 0] for v in column.to_pylist()]
+def _read(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """All numbers of a column as `_packed` wrote them, and where each text begins."""
+    column = column.cast(pa.binary())
+    ends = np.frombuffer(column.buffers()[1], np.int32)[column.offset : column.offset + len(column) + 1]
+    return np.frombuffer(column.buffers()[2], np.uint8)[ends[0] : ends[-1]].view(np.int32).astype(np.int64), ((ends[:-1] - ends[0]) // 4).astype(np.int64)
 
 
 def _packed(values: np.ndarray, begins: np.ndarray) -> pa.Array:
-    """Each text's numbers, all first bytes, then all second ones and so on: the upper bytes compress to little."""
-    return pa.array([v.view(np.uint8).reshape(-1, 4).T.tobytes() for v in np.split(values.astype(np.int32), begins[1:])], pa.binary())
+    """Each text's numbers as bytes, cut from one buffer."""
+    ends = np.append(begins, len(values)).astype(np.int32) * 4
+    return pa.Array.from_buffers(pa.binary(), len(begins), [None, pa.py_buffer(ends), pa.py_buffer(values.astype(np.int32))])
 
 
 @dataclass
@@ -402,8 +406,8 @@ def _with_places(rows: DataFrame, model: NgramModel) -> DataFrame:
     at = rows.columns.index("ids")
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        ids, begins = _joined(_numbers(batch.column(at)))
-        return pa.RecordBatch.from_arrays([*batch.columns, _packed(model.places(ids.astype(np.int64), begins), begins)], [*batch.schema.names, "places"])
+        ids, begins = _read(batch.column(at))
+        return pa.RecordBatch.from_arrays([*batch.columns, _packed(model.places(ids, begins), begins)], [*batch.schema.names, "places"])
 
     return map_arrow(rows, run, ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields), "places binary"]))
 
@@ -439,11 +443,11 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
     n, tokens = total(singles)
     words, empty = build_level(singles, folder, n, lambda keys, counts: [counts]), Level(folder)
     model = NgramModel(words, empty, empty, Rests(words), Rests(empty), tokens)
-    rows = ids = written(_with_ids(docs, model, keep, text_col), "ngram-ids", "zstd")
+    rows = ids = written(_with_ids(docs, model, keep, text_col), "ngram-ids")
 
     def pair_keys(batch: pa.RecordBatch) -> np.ndarray:
-        ids, begins = _joined(_numbers(batch.column(0)))
-        return model.pair_keys(ids.astype(np.int64), begins)[1]
+        ids, begins = _read(batch.column(0))
+        return model.pair_keys(ids, begins)[1]
 
     doubles = written(count_keys(rows.where(training).select("ids"), pair_keys, shards, least_pairs), "ngram-pairs")
     n, _ = total(doubles)
@@ -451,13 +455,13 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
         raise ValueError("too many words or pairs for the keys: raise least_pairs")
     pairs = build_level(doubles, folder, n, _values(lambda context: words.at(context, 0), discount, max(1, words.size), True))
     paired = NgramModel(words, pairs, empty, build_rests(doubles, words.size, words, 0, discount), Rests(pairs), tokens)
-    rows = written(_with_places(rows, paired), "ngram-places", "zstd")
+    rows = written(_with_places(rows, paired), "ngram-places")
     discard(ids)
 
     def triple_keys(batch: pa.RecordBatch) -> np.ndarray:
-        ids, begins = _joined(_numbers(batch.column(0)))
-        places = _joined(_numbers(batch.column(1)))[0].astype(np.int64)
-        third, keys = paired.triple_keys(ids.astype(np.int64), places)
+        ids, begins = _read(batch.column(0))
+        places = _read(batch.column(1))[0]
+        third, keys = paired.triple_keys(ids, places)
         return keys[places[third] >= 0]  # a triple that counts has two pairs that count; a text's first token has none
 
     threes = written(count_keys(rows.where(training).select("ids", "places"), triple_keys, shards, least_triples), "ngram-triples")
@@ -468,9 +472,9 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
 
 def _scores(rows: DataFrame, model: NgramModel, keep: list[str]) -> DataFrame:
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        ids, begins = _joined(_numbers(batch.column(0)))
-        places = _joined(_numbers(batch.column(1)))[0].astype(np.int64)
-        known, base, score = model.score(ids.astype(np.int64), places, begins)
+        ids, begins = _read(batch.column(0))
+        places = _read(batch.column(1))[0]
+        known, base, score = model.score(ids, places, begins)
         lengths = np.diff(np.append(begins, len(ids)))
         return pa.RecordBatch.from_arrays([*batch.columns[2:], pa.array(lengths), pa.array(known), pa.array(np.full(len(begins), model.tokens)), pa.array(base), pa.array(score)], [*keep, "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
