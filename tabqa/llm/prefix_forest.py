@@ -5,6 +5,10 @@ vector lies nearest to. A tree is its vectors' hash strings in sorted order. A q
 prefix match; then all trees ascend together, a digit at a time, until the subtrees they stand at hold enough
 candidates. At the root of a tree stand all vectors, so a small table is searched whole.
 
+How deep a query may stop is measured: for a sample of the queries the true nearest are found by one pass over all vectors, with the
+depth down to which each shares a subtree with its query. No query stops deeper than where the sample's recall, less two standard
+errors, is what was asked for; where no depth has that recall, all vectors are searched.
+
 The distributed plan: the strings of all trees are one frame. Subtree sizes at each depth are one aggregation of it, and a
 query's depth follows from the sizes at its own prefixes. Then, for the depths that queries stop at, vectors and queries
 are sorted by tree and prefix, packed into blocks of bounded size, and joined block by block; a block pair scores its queries
@@ -31,11 +35,13 @@ from tabqa.llm.common import map_arrow
 from tabqa.session import written
 
 TREES = 28
-#: Axes that a digit chooses from; a digit has twice as many values.
-AXES = 32
-DIGITS = 3
-#: Candidates, over all trees, at which the ascent stops.
+#: Axes that each digit chooses from; a digit has twice as many values. The later digits are small, so that levels are fine.
+AXES = (32, 4, 4, 4, 4, 4)
+#: Candidates, over all trees, at which the ascent stops, if the measured recall lets it go as deep.
 CANDIDATES = 6_000
+RECALL = 0.9
+#: Queries on which recall is measured.
+SAMPLE = 128
 BLOCK = 256
 QUERY_BLOCK = 256
 
@@ -50,15 +56,15 @@ def usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
 class Forest:
     """The rotations of all trees, from a seed; `longest` is the greatest vector length."""
 
-    def __init__(self, width: int, longest: float, trees: int = TREES, axes: int = AXES, digits: int = DIGITS, seed: int = 17):
-        self.width, self.longest, self.trees, self.axes, self.digits, self.seed = width, longest, trees, min(axes, width + 1), digits, seed
+    def __init__(self, width: int, longest: float, trees: int = TREES, axes: tuple[int, ...] = AXES, seed: int = 17):
+        self.width, self.longest, self.trees, self.axes, self.digits, self.seed = width, longest, trees, [min(a, width + 1) for a in axes], len(axes), seed
         self._turns: list[np.ndarray] | None = None
 
     def turns(self) -> list[np.ndarray]:
         if self._turns is None:
             rng = np.random.default_rng(self.seed)
             n = self.width + 1
-            self._turns = [np.linalg.qr(rng.normal(size=(n, n)))[0][:, : self.axes].astype(np.float32) for _ in range(self.trees * self.digits)]
+            self._turns = [np.linalg.qr(rng.normal(size=(n, n)))[0][:, :axes].astype(np.float32) for _ in range(self.trees) for axes in self.axes]
         return self._turns
 
     def augmented(self, x: np.ndarray, query: bool) -> np.ndarray:
@@ -76,15 +82,22 @@ class Forest:
             for d in range(self.digits):
                 turned = full @ self.turns()[t * self.digits + d]
                 axis = np.abs(turned).argmax(axis=1)
-                out[t] = out[t] * (2 * self.axes) + 2 * axis + (turned[np.arange(len(x)), axis] > 0)
+                out[t] = out[t] * (2 * self.axes[d]) + 2 * axis + (turned[np.arange(len(x)), axis] > 0)
         return out
 
     def __getstate__(self):
         return self.__dict__ | {"_turns": None}
 
-    @property
-    def base(self) -> int:
-        return 2 * self.axes
+    def scale(self, depth: int) -> int:
+        """What a string is divided by for its prefix of `depth` digits."""
+        return int(np.prod([2 * a for a in self.axes[depth:]], dtype=np.int64))
+
+    def shared(self, one: np.ndarray, other: np.ndarray) -> np.ndarray:
+        """The deepest level at which strings share a subtree in any tree; trees are the last axis."""
+        depth = np.zeros(np.broadcast_shapes(one.shape, other.shape)[:-1], np.int64)
+        for d in range(1, self.digits + 1):
+            depth[(one // self.scale(d) == other // self.scale(d)).any(axis=-1)] = d
+        return depth
 
 
 def _matrix(column: pa.Array) -> np.ndarray:
@@ -107,19 +120,82 @@ def hash_strings(vectors: DataFrame, forest: Forest, query: bool, single: bool)
     return map_arrow(vectors, run, "vec_id bigint, vector binary, strings array<bigint>", rows=2048)
 
 
-def stop_depths(points: DataFrame, queries: DataFrame, forest: Forest, candidates: int) -> DataFrame:
-    """(query_id, depth): the deepest level at which the query's subtrees in all trees hold enough vectors, or 0."""
-    points = points.select(F.posexplode("strings").alias("tree", "string"))
-    queries = queries.select("vec_id", F.posexplode("strings").alias("tree", "string"))
-    deepest = points.groupBy("tree", "string").agg(F.count(F.lit(1)).alias("n"))
+def deepest_level(points: DataFrame, queries: DataFrame, forest: Forest, k: int, single: bool, recall: float = RECALL, sample: int = SAMPLE) -> int:
+    """The deepest level at which a sample of the queries finds enough of its true k nearest; 0 where none does.
+
+    One pass over the points; a task passes on one row, the sample's best of all its points.
+    """
+    kind = np.float32 if single else np.float64
+    chosen = queries.orderBy(F.xxhash64("vec_id"), "vec_id").limit(sample).collect()
+    q_ids = np.array([r["vec_id"] for r in chosen], np.int64)
+    q = np.array([np.frombuffer(r["vector"], kind) for r in chosen]).astype(np.float64)
+    q_strings = np.array([r["strings"] for r in chosen], np.int64)
+    n = len(chosen)
+
+    def best(held: tuple[np.ndarray, ...] | None, more: tuple[np.ndarray, ...]) -> tuple[np.ndarray, ...]:
+        """Scores, ids and depths of each query's k best; equal scores go to the smaller id."""
+        joined = more if held is None else tuple(np.hstack(pair) for pair in zip(held, more, strict=True))
+        order = np.lexsort((joined[1], -joined[0]), axis=1)[:, :k]
+        return tuple(np.take_along_axis(x, order, axis=1) for x in joined)
+
+    def packed(held: tuple[np.ndarray, ...] | None) -> Iterator[pa.RecordBatch]:
+        if held is not None:
+            yield pa.RecordBatch.from_arrays([pa.array([x.tobytes()], pa.binary()) for x in held], ["scores", "ids", "depths"])
+
+    def opened(row: tuple[bytes, ...]) -> tuple[np.ndarray, ...]:
+        return tuple(np.frombuffer(raw, t).reshape(n, -1) for raw, t in zip(row, (np.float64, np.int64, np.int64), strict=True))
+
+    def search(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                ids, p = part.column(0).to_numpy(), np.frombuffer(b"".join(part.column(1).to_pylist()), kind).reshape(part.num_rows, -1).astype(np.float64)
+                near = q @ p.T
+                near[q_ids[:, None] == ids[None, :]] = -np.inf
+                take = np.argpartition(-near, min(k, len(ids)) - 1, axis=1)[:, :k]
+                strings = part.column(2).flatten().to_numpy().reshape(part.num_rows, -1)
+                held = best(held, (np.take_along_axis(near, take, axis=1), ids[take], forest.shared(q_strings[:, None, :], strings[take])))
+        yield from packed(held)
+
+    def merge(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = None
+        for batch in batches:
+            for row in zip(*(batch.column(i).to_pylist() for i in range(3)), strict=True):
+                held = best(held, opened(row))
+        yield from packed(held)
+
+    fields = "scores binary, ids binary, depths binary"
+    rows = points.select("vec_id", "vector", "strings").mapInArrow(search, fields).repartition(8).mapInArrow(merge, fields).collect()
+    held = None
+    for row in rows:
+        held = best(held, opened(tuple(map(bytes, row))))
+    if held is None:
+        return 0
+    true = held[0] > -np.inf
+    for level in range(forest.digits, 0, -1):
+        found = ((held[2] >= level) & true).sum(axis=1)[true.any(axis=1)] / true.sum(axis=1)[true.any(axis=1)]
+        if len(found) > 1 and found.mean() - 2 * found.std(ddof=1) / np.sqrt(len(found)) >= recall:
+            return level
+    return 0
+
+
+def stop_depths(points: DataFrame, queries: DataFrame, forest: Forest, candidates: int, deepest: int) -> DataFrame:
+    """(query_id, depth): the deepest level, at most `deepest`, at which the query's subtrees in all trees hold enough vectors, or 0."""
+    if not deepest:
+        return queries.select(F.col("vec_id").alias("query_id"), F.lit(0).alias("depth"))
+    shorten = F.expr(f"string div {forest.scale(deepest)}").alias("string")
+    points = points.select(F.posexplode("strings").alias("tree", "string")).select("tree", shorten)
+    queries = queries.select("vec_id", F.posexplode("strings").alias("tree", "string")).select("vec_id", "tree", shorten)
+    lowest = points.groupBy("tree", "string").agg(F.count(F.lit(1)).alias("n"))
+    scale_of = {depth: forest.scale(depth) // forest.scale(deepest) for depth in range(1, deepest + 1)}
     sizes = None
-    for depth in range(forest.digits, 0, -1):
-        scale = forest.base ** (forest.digits - depth)
-        level = deepest.groupBy("tree", F.expr(f"string div {scale}").alias("prefix")).agg(F.sum("n").alias("n")).withColumn("depth", F.lit(depth))
+    for depth, scale in scale_of.items():
+        level = lowest.groupBy("tree", F.expr(f"string div {scale}").alias("prefix")).agg(F.sum("n").alias("n")).withColumn("depth", F.lit(depth))
         sizes = level if sizes is None else sizes.unionByName(level)
-    asked = queries.select("tree", F.col("vec_id").alias("query_id"), "string", F.explode(F.array(*(F.lit(d) for d in range(1, forest.digits + 1)))).alias("depth"))
-    scales = F.element_at(F.array(*(F.lit(forest.base ** (forest.digits - d)) for d in range(1, forest.digits + 1))), F.col("depth"))
-    asked = asked.withColumn("prefix", F.floor(F.col("string") / scales).cast("bigint"))
+    asked = queries.select("tree", F.col("vec_id").alias("query_id"), "string", F.explode(F.array(*(F.lit(d) for d in scale_of))).alias("depth"))
+    scales = F.element_at(F.array(*(F.lit(s).cast("bigint") for s in scale_of.values())), F.col("depth"))
+    asked = asked.withColumn("scale", scales).withColumn("prefix", F.expr("string div scale"))
     held = asked.join(sizes, ["tree", "prefix", "depth"]).groupBy("query_id", "depth").agg(F.sum("n").alias("n"))
     return queries.select(F.col("vec_id").alias("query_id")).distinct().join(held.where(F.col("n") >= candidates).groupBy("query_id").agg(F.max("depth").alias("depth")), "query_id", "left").select("query_id", F.coalesce("depth", F.lit(0)).alias("depth"))
 
@@ -199,8 +275,8 @@ def _first_copies(vectors: DataFrame, keep: int) -> DataFrame:
     return rest.unionByName(best)
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, candidates: int = CANDIDATES) -> DataFrame:
-    """query_id, rank, vec_id, score: each query's k nearest found, nearest first."""
+def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, candidates: int = CANDIDATES, recall: float = RECALL) -> DataFrame:
+    """query_id, rank, vec_id, score: each query's k nearest found, nearest first; at least `recall` of the true ones on the average."""
     points = usable(vectors, id_col, vector_col).distinct()
     asked = usable(queries, id_col, vector_col).distinct()
     shape = points.agg(F.max(F.size("vector")).alias("width"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda s, x: s + x * x))).alias("longest"), F.min(F.size("vector")).alias("narrow")).first()
@@ -213,10 +289,12 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "
     single = dict(vectors.dtypes)[vector_col] == "array<float>"
     points = written(hash_strings(_first_copies(points, k + 1), forest, False, single), "forest-points")
     question = written(hash_strings(asked, forest, True, single), "forest-question")
-    depths = written(stop_depths(points, question, forest, candidates), "forest-depths")
+    # where not even all vectors of all trees are enough candidates, every query ends at the root
+    deepest = deepest_level(points, question, forest, k, single, recall) if points.count() * trees >= candidates else 0
+    depths = written(stop_depths(points, question, forest, candidates, deepest), "forest-depths")
     found = None
     for depth in sorted(r["depth"] for r in depths.select("depth").distinct().collect()):  # at most one for each digit, and the root
-        scale = forest.base ** (forest.digits - depth)
+        scale = forest.scale(depth)
         own = question.join(depths.where(F.col("depth") == depth).select(F.col("query_id").alias("vec_id")), "vec_id", "left_semi")
         if depth:
             at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).withColumn("prefix", F.expr(f"string div {scale}"))  # noqa: B023, E731

@@ -427,3 +427,28 @@ def test_nearest_neighbours(spark):
             if candidates == 6000:
                 assert [r["vec_id"] for r in mine] == want
         assert hit >= 0.9 * 75
+
+
+def test_recall_is_held_where_small_subtrees_have_enough_candidates(spark):
+    """Unstructured vectors: the second level's subtrees hold the candidates asked for, but few of the nearest."""
+    x = np.random.default_rng(21).normal(size=(4000, 64)).astype(np.float32)
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    vectors = spark.createDataFrame([(i, row.tolist()) for i, row in enumerate(x)], "vec_id long, embedding array<float>")
+    got = prefix_forest.nearest(vectors, vectors.where("vec_id % 80 = 0"), k=10, candidates=20).collect()
+    near = x[::80] @ x.T
+    near[np.arange(50), np.arange(0, 4000, 80)] = -np.inf
+    true = {(80 * q, v) for q, row in enumerate(np.argsort(-near, axis=1)[:, :10].tolist()) for v in row}
+    assert len(true & {(r["query_id"], r["vec_id"]) for r in got}) >= 0.9 * len(true)
+
+
+def test_recall_measured_on_a_sample_sets_the_level(spark):
+    """Near copies share deep subtrees, so queries may go down; unstructured vectors keep them near the root."""
+    rng = np.random.default_rng(22)
+    centres = np.repeat(rng.normal(size=(300, 64)), 10, axis=0)
+    levels = []
+    for x in (centres + 0.001 * rng.normal(size=centres.shape), rng.normal(size=centres.shape)):
+        frame = prefix_forest.usable(spark.createDataFrame([(i, row.tolist()) for i, row in enumerate(x / np.linalg.norm(x, axis=1, keepdims=True))], "vec_id long, embedding array<double>"), "vec_id", "embedding")
+        forest = prefix_forest.Forest(64, 1.0)
+        points, asked = prefix_forest.hash_strings(frame, forest, False, False), prefix_forest.hash_strings(frame.where("vec_id % 30 = 0"), forest, True, False)
+        levels.append(prefix_forest.deepest_level(points, asked, forest, 9, False))
+    assert levels[0] > 1 >= levels[1]
