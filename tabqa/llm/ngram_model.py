@@ -7,8 +7,8 @@ size by key; the files lie in the shared folder, and the tasks that score map th
 bounds pass through the driver.
 
 Smoothing is interpolated absolute discounting: p(w|h) = max(c - D, 0) / c(h) + rest(h) * p(w|h'), where rest(h) is
-what the kept successors leave. Pairs count from two occurrences on, and triples from two whose pairs both count
-(parameters, the same at every size); words always. A word's own probability is the smoothed one of the base score.
+what the kept successors leave. Pairs count from `least_pairs` occurrences on, and triples from `least_triples` whose pairs both count;
+words always. The registered query counts every pair and triple from its first occurrence on. A word's own probability is the smoothed one of the base score.
 
 Counting passes over all training documents. Each task counts its documents' keys, and passes them on in sorted,
 delta-coded arrays by shard; a shard's arrays are merged in one task.

@@ -68,7 +68,7 @@ def op8_bpe_merge_queue(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_trie_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = _documents(spark, sf_dir).withColumn("held_out", held_out("doc_id", 5))
-    return ngram_model.train_and_score(docs, "NOT held_out", ["doc_id", "held_out"])[1]
+    return ngram_model.train_and_score(docs, "NOT held_out", ["doc_id", "held_out"], least_pairs=1, least_triples=1)[1]
 
 
 def op10_pack_first_fit(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -349,6 +349,29 @@ def test_ngram_scores(docs):
         assert (r["n_known"], r["train_tokens"]) == (known, n) and abs(r["base_score"] - base) < 1e-6 and abs(r["score"] - full) < 3e-4 * r["n_tokens"] + 1e-6
 
 
+def test_registered_scores_know_pairs_and_triples_seen_once(spark, sf):
+    got = queries()["op9_trie_scores"](spark, sf).collect()
+    texts_of = {r["doc_id"]: [*WORD.findall(lower((r["text"] or "").encode())), None] for r in spark.read.parquet(f"{sf}/documents.parquet").collect()}
+    one, two, three = (collections.Counter(g for r in got if not r["held_out"] for g in zip(*(texts_of[r["doc_id"]][k:] for k in range(n)))) for n in (1, 2, 3))
+    total, d = sum(one.values()), ngram_model.DISCOUNT
+    after1, after2 = collections.Counter(g[:1] for g in two), collections.Counter(g[:2] for g in three)
+    before1, before2 = collections.Counter(), collections.Counter()
+    for g, c in two.items():
+        before1[g[:1]] += c
+    for g, c in three.items():
+        before2[g[:2]] += c
+    for r in got:
+        x, full = texts_of[r["doc_id"]], 0.0
+        for k in range(len(x)):
+            p = (one[(x[k],)] + 0.5) / (total + 0.5 * (len(one) + 1))
+            for n, mine, less, kept, held in ((1, two, one, before1, after1), (2, three, two, before2, after2)):
+                h = tuple(x[k - n : k])
+                if k >= n and h in less:
+                    p = (1 - (kept[h] - d * held[h]) / less[h]) * p + (max(mine[(*h, x[k])] - d, 0) / less[h])
+            full += math.log10(p)
+        assert r["n_tokens"] == len(x) and abs(r["score"] - full) < 3e-4 * len(x) + 1e-6
+
+
 # Languages
 
 
