@@ -3,8 +3,8 @@
 A page's text falls into blocks; a block's tag path runs from the root to the element that holds it. For every path
 the length of text and the count of punctuation, each per block and lessened by linked text, are gathered; the
 series of both along the page is smoothed with a Gaussian, smoothed and plain ones are fused, and blocks above a threshold that
-the page itself sets are content. A heading goes with the content it stands before. Paths through elements that never hold an article's text count nothing, and paths
-through an element that declares itself the article outweigh the threshold.
+the page itself sets are content. A heading goes with the content it stands before. Paths through elements that never hold an article's text count nothing, and the score of paths
+through an element that declares itself the article is raised; the ratios decide there, too.
 
 A null or empty page gives an empty text. Markup may be broken: unclosed elements end with their parent, stray end tags
 are passed over, and an unclosed script runs to the end of the page. Repeated rows are treated each on its own.
@@ -38,6 +38,8 @@ MARKS = frozenset(
     "cookie cookies consent gdpr notice notices newsletter subscribe subscription signup share sharing social related recommended comment comments reply replies respond disqus "
     "discussion popup modal overlay login search widget pagination pager toc copyright legal disclaimer byline-share complementary contentinfo topbar".split()
 )
+#: What the score of a path through a declared article is multiplied by.
+RAISED = 2.0
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>|<[!?][^>]*>", re.S)
 _MARKED = re.compile(r"(?<![\w-])(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.I)
 _HIDDEN = re.compile(r"(?<![\w-])hidden(?![\w-])|display\s*:\s*none", re.I)
@@ -140,7 +142,7 @@ def blocks_of(page: str) -> list[Block]:
         if name in ASIDE or (name == "header" and not inside) or marks & MARKS and name not in ("body", "html") or m[3] and _HIDDEN.search(m[3]):
             weight = 0.0
         elif weight and (name in ARTICLE or "main" in marks and name != "body"):
-            weight = 50.0
+            weight = RAISED
         stack.append((name, path if name in INLINE else f"{path}/{name}" + "".join(f".{k}" for k in sorted(marks)), weight, name == "a"))
     add(page[at:])
     end_block()
@@ -170,8 +172,6 @@ def content_blocks(blocks: list[Block], share: float = 0.8) -> list[Block]:
     plain = np.sqrt(text_ratio * (mark_ratio + 0.1))
     fused = np.sqrt(plain * np.sqrt(_smooth(text_ratio) * (_smooth(mark_ratio) + 0.1)))
     threshold = share * float(np.std(fused)) if len(blocks) > 1 else 0.0
-    if weight.max() > 1:  # the page declares its article: nothing else competes
-        weight = np.where(weight > 1, weight, 0.0)
     score = np.bincount(path, fused)[path] / n[path] * weight
     chosen = (weight > 0) & (score >= threshold)
     for i in range(len(blocks) - 2, -1, -1):  # a heading goes with what it heads

@@ -427,6 +427,21 @@ def test_page_without_article_by_ratio():
     assert got.count("sentence") == 5 and "Item" not in got and "Short" not in got
 
 
+_STORY = "".join(f"<p>This is sentence {i}, which has a clause, and ends here. Another follows; it is long enough.</p>" for i in range(5))
+
+
+@pytest.mark.parametrize("body", [f"<div id=x>{_STORY}</div>", f"<section>{_STORY}</section>"])
+def test_article_teasers_beside_a_longer_body(body):
+    for page in (f"<body><article><p>A teaser, short.</p></article>{body}", f"<body>{body}<article><a href=x>Read more</a></article><article><a href=y>And more</a></article>", f"<body><main><p>A lead, in short.</p></main>{body}<footer>c</footer>"):
+        assert html_text.main_text(page).count("sentence") == 5
+
+
+def test_given_pages_without_article_tags(spark, sf):
+    for r in spark.read.parquet(f"{sf}/pages.parquet").collect():
+        bare = re.sub("</?article>", "", r["html"])
+        assert bare != r["html"] and html_text.main_text(bare) == html_text.main_text(r["html"]) != ""
+
+
 # Neighbours
 
 
