@@ -7,7 +7,8 @@ the page itself sets are content. A heading goes with the content it stands befo
 through an element that declares itself the article is raised; the ratios decide there, too.
 
 A null or empty page gives an empty text. Markup may be broken: unclosed elements end with their parent, stray end tags
-are passed over, and an unclosed script runs to the end of the page. Repeated rows are treated each on its own.
+are passed over, and an unclosed script or style runs to the end of the page. A head ends where something stands that no head holds. Of elements
+without article text (drawings, choices, embedded objects) nothing is read; one that is never closed is passed over as a mere tag. Repeated rows are treated each on its own.
 """
 
 from __future__ import annotations
@@ -26,7 +27,12 @@ from tabqa.llm.common import map_arrow
 # Element names by their part in a page.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 INLINE = frozenset("a abbr acronym b bdi bdo big cite code data del dfn em font i ins kbd label mark q s samp small span strike strong sub sup time tt u var wbr br img".split())
-RAW = frozenset("script style textarea noscript template svg math iframe object select title head".split())
+#: Their content is no markup.
+RAW = frozenset("script style textarea iframe title".split())
+#: Their content is markup, and no text of the page; those of FRAGILE end where a block begins.
+SKIPPED = frozenset("noscript template svg math object select".split())
+FRAGILE = frozenset("svg math select".split())
+IN_HEAD = frozenset("base link meta title style script noscript template".split())
 ASIDE = frozenset("nav footer aside form button menu dialog fieldset".split())
 ARTICLE = frozenset("article main".split())
 CLOSES_P = frozenset("address article aside blockquote div dl fieldset figure footer form h1 h2 h3 h4 h5 h6 header hr main nav ol p pre section table ul".split())
@@ -62,14 +68,21 @@ def _attributes(tag: str) -> set[str]:
 def blocks_of(page: str) -> list[Block]:
     """The page's text blocks in order."""
     out: list[Block] = []
-    stack: list[tuple[str, str, float, bool]] = []  # name, path, weight, link
+    stack: list[tuple[str, str | None, float, bool]] = []  # name, path (none where nothing is read), weight, link
     parts: list[str] = []
     linked, at = 0, 0
+    lower = re.sub("[A-Z]+", lambda m: m[0].lower(), page)
+    last: dict[str, int] = {}  # where the last end tag of a name stands
+
+    def never_closed(name: str) -> bool:
+        if name not in last:
+            last[name] = max((m.start() for m in re.finditer(rf"</{name}(?=[\s/>])", lower)), default=-1)
+        return last[name] < at
 
     def top() -> tuple[str, float]:
         """Path and weight of the innermost element that isn't inline."""
         for name, path, weight, _ in reversed(stack):
-            if name not in INLINE:
+            if name not in INLINE and path is not None:
                 return path, weight
         return "", 1.0
 
@@ -85,13 +98,15 @@ def blocks_of(page: str) -> list[Block]:
 
     def add(text: str) -> None:
         nonlocal linked
-        if text:
+        if stack and stack[-1][0] == "head" and text.strip():
+            close(len(stack) - 1)
+        if text and not (stack and stack[-1][1] is None):
             parts.append(text)
             if any(s[3] for s in stack):
                 linked += len(text)
 
     def close(depth: int) -> None:
-        if any(s[0] not in INLINE for s in stack[depth:]):
+        if any(s[0] not in INLINE and s[1] is not None for s in stack[depth:]):
             end_block()
         del stack[depth:]
 
@@ -109,16 +124,35 @@ def blocks_of(page: str) -> list[Block]:
                 if stack[depth][0] in CONTAINERS and name not in CONTAINERS:
                     break
             continue
+        # what ends a part of which nothing is read: a head's end by its content, a body, a block in a drawing or a choice
+        unread = next((depth for depth, s in enumerate(stack) if s[1] is None), None)
+        if unread is not None:
+            if name == "body" or stack[unread][0] in FRAGILE and name in CLOSES_P and not any(s[0] == "foreignobject" for s in stack[unread:]):
+                close(unread)
+            elif stack[-1][0] == "head" and name not in IN_HEAD:
+                close(len(stack) - 1)
+            unread = next((depth for depth, s in enumerate(stack) if s[1] is None), None)
         if name in VOID:
             if name == "br":
                 add(" ")
-            elif name == "hr":
+            elif name == "hr" and unread is None:
                 end_block()
             continue
         if name in RAW:
             if not m[3].rstrip().endswith("/"):
-                ended = re.compile(rf"</{name}\s*>", re.I).search(page, at)
-                at = ended.end() if ended else len(page)
+                if ended := None if never_closed(name) else re.compile(rf"</{name}[\s/][^>]*>|</{name}>").search(lower, at):
+                    at = ended.end()
+                elif name in ("script", "style"):
+                    at = len(page)
+                else:  # up to the next tag
+                    following = _TOKEN.search(page, at)
+                    at = following.start() if following else len(page)
+            continue
+        if unread is not None or name == "head" or name in SKIPPED:
+            if stack and stack[-1][1] is None and stack[-1][0] in SAME_CLOSES.get(name, ()):
+                stack.pop()
+            if not m[3].rstrip().endswith("/") and not (name in SKIPPED and never_closed(name)):
+                stack.append((name, None, 0.0, False))
             continue
         if name not in INLINE:
             if name in CLOSES_P:

@@ -442,6 +442,26 @@ def test_given_pages_without_article_tags(spark, sf):
         assert bare != r["html"] and html_text.main_text(bare) == html_text.main_text(r["html"]) != ""
 
 
+@pytest.mark.parametrize(
+    "page,want",
+    [
+        ("<html><head><meta charset=utf-8><title>x</title><body><p>One, two.</p>", "One, two."),
+        ("<html><head><title>x</title><p>One, two.</p>", "One, two."),
+        ("<head><title>x</title>One, two.", "One, two."),
+        ("<head><title>x<body><p>One, two.</p>", "One, two."),
+        ("<head><noscript><link rel=x></noscript><style>p{}</style></head><body><p>One.</p>", "One."),
+        *((f"<article><p>One, {tag} two.</p><p>Three.</p></article>", "One, two.\n\nThree.") for tag in ("<svg>", "<select>", "<object>", "<math>", "<noscript>", "<template>", "<SVG viewBox='0 0 1 1'>")),
+        ("<article><p>One.</p><svg><path d=x><p>Two.</p><p>Three.</p></article>", "One.\n\nTwo.\n\nThree."),
+        ("<article><p>One <svg><text>no</text></p><p>Two.</p><svg><text>no</text></svg><p>Three.</p></article>", "One\n\nTwo.\n\nThree."),
+        ("<article><p>One <select><option>no<option>no</select> two.</p><p>Three.</p></article>", "One two.\n\nThree."),
+        ("<article><div><noscript><div>no</div></noscript><p>One.</p></div><object><p>no</p></object><p>Two.</p></article>", "One.\n\nTwo."),
+        ("<article><p>One.</p><iframe src=x><p>Two.</p></article>", "One.\n\nTwo."),
+    ],
+)
+def test_unclosed_heads_drawings_and_choices(page, want):
+    assert html_text.main_text(page) == want
+
+
 # Neighbours
 
 
