@@ -93,21 +93,30 @@ def find_fds(df: DataFrame, max_lhs: int = 2, attrs: Sequence[str] | None = None
         rows.unpersist()
 
 
-def minimal_keys_batch(cells: DataFrame, max_size: int = 3) -> DataFrame:
+def minimal_keys_batch(cells: DataFrame, max_size: int | None = None) -> DataFrame:
     """(table_id, key_id, attr_id, is_composite): minimal keys of many printed tables, each lattice in one task.
 
-    A printed table is one document's page or so; its values come as codes.
+    A printed table is one document's page or so; its values come as codes. All minimal keys are found, or those up to
+    `max_size`; a table that has none so small gets one larger minimal key.
     """
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
         wide = group.pivot_table(index="row_id", columns="attr_id", values="val_norm", aggfunc="first", dropna=False).fillna("\x00").drop_duplicates()
-        attrs, n, keys = sorted(wide.columns), len(wide), []
-        for size in range(1, max_size + 1):
-            for c in combinations(attrs, size):
-                if not any(set(k) <= set(c) for k in keys) and (n <= 1 and size == 1 or n > 1 and len(wide.drop_duplicates(list(c))) == n):
-                    keys.append(c)
-        if not keys:  # the whole row is one
-            keys = [tuple(attrs)]
+        attrs, n = sorted(wide.columns), len(wide)
+        tells = lambda c: n <= 1 or len(wide.drop_duplicates(list(c))) == n
+        keys, asked = [], [(a,) for a in attrs]
+        while asked and (max_size is None or len(asked[0]) <= max_size):
+            told = {c: tells(c) for c in asked}
+            keys += [c for c, is_told in told.items() if is_told]
+            rest = {c for c, is_told in told.items() if not is_told}  # only sets without a key in them go on
+            larger = [(*c, a) for c in rest for a in attrs if a > c[-1]]
+            asked = sorted(c for c in larger if all(c[:i] + c[i + 1 :] in rest for i in range(len(c))))
+        if not keys:
+            key_attrs = tuple(attrs)
+            for a in reversed(attrs):
+                if tells(less := tuple(x for x in key_attrs if x != a)):
+                    key_attrs = less
+            keys = [key_attrs]
         return pd.DataFrame([(key[0], f"{key[0]}#k{i}", a, len(k) > 1) for i, k in enumerate(keys) for a in k], columns=["table_id", "key_id", "attr_id", "is_composite"])
 
     return cells.select("table_id", "row_id", "attr_id", F.coalesce("val_norm", F.lit("\x00")).alias("val_norm")).groupBy("table_id").applyInPandas(run, "table_id string, key_id string, attr_id string, is_composite boolean")
@@ -210,7 +219,7 @@ def inclusion_error(r: DataFrame, u: Sequence[str], s: DataFrame, v: Sequence[st
 # Catalog -------------------------------------------------------------------------------------------------------------
 
 
-def build_catalog(store: Store, max_size: int = 3, scope: str = "document") -> Store:
+def build_catalog(store: Store, max_size: int | None = None, scope: str = "document") -> Store:
     """The store with its keys and inclusions, found once, offline."""
     from tabqa.session import written
 

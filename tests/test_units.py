@@ -170,3 +170,18 @@ def test_families_are_told_apart(spark, sf):
     theirs = dict(family_model._ml_predict(test, train, "gnb", 1).collect())
     assert sum(ours[k] == theirs[k] for k in ours) >= 18
     folded.unpersist()
+
+
+def test_printed_tables_have_all_minimal_keys_of_any_size(spark):
+    """Four parts make one key of the wide table, and a value column is no part of it; the other has a short and a long key."""
+    from itertools import product
+
+    wide = [(*r, "v") for r in product("ab", repeat=4)]
+    both = [(str(i), *r) for i, r in enumerate(product("ab", repeat=4))]
+    cells = [(t, f"{t}{i}", f"a{k}", v) for t, rows in (("wide", wide), ("both", both)) for i, r in enumerate(rows) for k, v in enumerate(r)]
+    frame = spark.createDataFrame(cells, "table_id string, row_id string, attr_id string, val_norm string")
+    for max_size, want in ((None, {("wide", ("a0", "a1", "a2", "a3")), ("both", ("a0",)), ("both", ("a1", "a2", "a3", "a4"))}), (3, {("wide", ("a0", "a1", "a2", "a3")), ("both", ("a0",))})):
+        keys = {}
+        for r in deps.minimal_keys_batch(frame, max_size).collect():
+            keys.setdefault((r["table_id"], r["key_id"]), []).append(r["attr_id"])
+        assert {(t, tuple(sorted(k))) for (t, _), k in keys.items()} == want
