@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import gc
 import io
 import os
 import tempfile
@@ -55,12 +56,14 @@ def ship_package(spark: SparkSession) -> None:
 
 
 def shared_folder(spark: SparkSession) -> str:
-    """The folder all executors share. Only where the session names none (tests) is a local one made."""
+    """The folder all executors share. Only where a local session names none (tests) is one made on this machine."""
     folder = spark.conf.get("spark.checkpoint.dir", None)
     if not folder:
         held = spark.sparkContext._jsc.sc().getCheckpointDir()
         if held.isDefined():
             return held.get()
+        if not spark.sparkContext.master.startswith("local"):
+            raise RuntimeError("a cluster needs spark.checkpoint.dir, a folder that the driver and all executors share")
         folder = "file://" + tempfile.mkdtemp(prefix="tabqa-shared-")
         spark.sparkContext.setCheckpointDir(folder)
     return folder
@@ -84,6 +87,12 @@ def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
     return out
 
 
+def free_shuffles(spark: SparkSession) -> None:
+    """Lets Spark's cleaner see which finished steps nothing refers to, so that their shuffle files go now and not at the driver's next collection."""
+    gc.collect()
+    spark._jvm.System.gc()
+
+
 def discard(df: DataFrame) -> None:
     """Deletes the files of a written frame that nothing will read again."""
     spark = df.sparkSession
