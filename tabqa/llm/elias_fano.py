@@ -7,6 +7,8 @@ between them by their lower bits, so that it stays short where values crowd. The
 
 from __future__ import annotations
 
+from functools import cached_property
+
 import numpy as np
 
 _U = np.uint64
@@ -19,6 +21,29 @@ def _load(words: np.ndarray, bit: np.ndarray) -> np.ndarray:
     return (words[at] >> shift) | ((words[at + 1] << _U(1)) << (_U(63) - shift))
 
 
+def pack_bits(values: np.ndarray, width: int) -> np.ndarray:
+    """Values of at most `width` bits (below 64), one after another, with two words to spare."""
+    n = len(values)
+    out = np.zeros((n * width + 63) // 64 + 2, _U)
+    if n and width:
+        place = np.arange(n, dtype=np.int64) * width
+        at, shift = place >> 6, (place & 63).astype(_U)
+        low = values.astype(_U)
+        words = int(at[-1]) + 1
+        # values begin in every word, so each word's are one run
+        out[:words] = np.bitwise_or.reduceat(low << shift, -(-(np.arange(words, dtype=np.int64) << 6) // width))
+        spill = np.flatnonzero((place & 63) + width > 64)
+        out[at[spill] + 1] |= (low[spill] >> _U(1)) >> (_U(63) - shift[spill])
+    return out
+
+
+def bits_at(packed: np.ndarray, i: np.ndarray, width: int) -> np.ndarray:
+    """The packed values at places i."""
+    if not width:
+        return np.zeros(len(i), _U)
+    return _load(packed, i * width) & _U((1 << width) - 1)
+
+
 class EliasFano:
     def __init__(self, n: int, low_bits: int, lows: np.ndarray, uppers: np.ndarray, zeros: np.ndarray, steps: int):
         self.n, self.low_bits, self.lows, self.uppers, self.zeros, self.steps = n, low_bits, lows, uppers, zeros, steps
@@ -35,32 +60,27 @@ class EliasFano:
         bits[highs + np.arange(n)] = 1
         per_block = np.add.reduceat((bits == 0).astype(np.int64), np.arange(0, len(bits), 1 << _BLOCK))
         zeros = np.cumsum(per_block) - per_block
-        lows = np.zeros((n * low_bits + 63) // 64 + 2, _U)
-        if low_bits:
-            low = values.astype(_U) & _U((1 << low_bits) - 1)
-            place = np.arange(n, dtype=np.int64) * low_bits
-            at, shift = place >> 6, (place & 63).astype(_U)
-            np.bitwise_or.at(lows, at, low << shift)
-            over = (low >> _U(1)) >> (_U(63) - shift)
-            spill = (place & 63) + low_bits > 64
-            np.bitwise_or.at(lows, at[spill] + 1, over[spill])
-        return cls(n, low_bits, lows, np.packbits(bits, bitorder="little").view(_U), zeros, steps)
+        return cls(n, low_bits, pack_bits(values & ((1 << low_bits) - 1), low_bits), np.packbits(bits, bitorder="little").view(_U), zeros, steps)
 
     def arrays(self) -> list[np.ndarray]:
         return [self.lows, self.uppers, self.zeros]
 
     def _low(self, i: np.ndarray) -> np.ndarray:
-        if not self.low_bits:
-            return np.zeros(len(i), _U)
-        return _load(self.lows, i * self.low_bits) & _U((1 << self.low_bits) - 1)
-
-    def _zero(self, k: np.ndarray) -> np.ndarray:
-        """Bit place of the k-th zero."""
-        block = np.searchsorted(self.zeros, k, "right") - 1
-        at, left = block << _BLOCK, k - self.zeros[block]
+        return bits_at(self.lows, i, self.low_bits)
+
+    @cached_property
+    def ones(self) -> np.ndarray:
+        """The ones before each block."""
+        return (np.arange(len(self.zeros), dtype=np.int64) << _BLOCK) - self.zeros
+
+    def _zero(self, k: np.ndarray, ones: bool = False) -> np.ndarray:
+        """Bit place of the k-th zero, or one."""
+        before = self.ones if ones else self.zeros
+        block = np.searchsorted(before, k, "right") - 1
+        at, left = block << _BLOCK, k - before[block]
         place, open_ = np.zeros(len(k), np.int64), np.arange(len(k))
         while len(open_):
-            word = ~_load(self.uppers, at)
+            word = _load(self.uppers, at) if ones else ~_load(self.uppers, at)
             count = np.bitwise_count(word).astype(np.int64)
             inside = count > left
             if inside.any():
@@ -107,6 +127,10 @@ class EliasFano:
             out[inside[held]] = left[held]
         return out
 
+    def at(self, i: np.ndarray) -> np.ndarray:
+        """The values at places i."""
+        return ((self._zero(i, ones=True) - i) << self.low_bits) | self._low(i).astype(np.int64)
+
     def values(self) -> np.ndarray:
         """All values, decoded."""
         bits = np.unpackbits(np.ascontiguousarray(self.uppers).view(np.uint8), bitorder="little")[: self.n + self.steps]
