@@ -1,25 +1,28 @@
 """Approximate nearest neighbours by a hash-prefix forest.
 
-Every tree has a random rotation for each digit of its hash strings; a digit names the axis, and its sign, that the turned
-vector lies nearest to. A tree is its vectors' hash strings in sorted order. A query descends each tree to its longest
-prefix match; then all trees ascend together, a digit at a time, until the subtrees they stand at hold enough
-candidates. At the root of a tree stand all vectors, so a small table is searched whole.
+A tree gives every vector a long hash string: first the axis of a random rotation, and its sign, that the vector lies nearest to, then
+one sign after another of its projections on random directions, 62 bits in all. A tree is its vectors' strings in sorted order. A query
+descends each tree to its longest prefix match; then all trees ascend together, a digit at a time, until the subtrees they stand at hold
+enough candidates. At the root of a tree stand all vectors, so a small table is searched whole, and so is any table with `exact`.
 
 How deep a query may stop is measured: for a sample of the queries the true nearest are found by one pass over all vectors, with the
 depth down to which each shares a subtree with its query. No query stops deeper than where the sample's recall, less two standard
-errors, is what was asked for; where no depth has that recall, all vectors are searched.
+errors, is what was asked for; where no depth has that recall, all vectors are searched. Strings with a digit for each bit make the depths
+fine enough that little more than the recall asked for is paid for.
 
-The distributed plan: the strings of all trees are one frame. Subtree sizes at each depth are one aggregation of it, and a
-query's depth follows from the sizes at its own prefixes. Then, for the depths that queries stop at, vectors and queries
-are sorted by tree and prefix, packed into blocks of bounded size, and joined block by block; a block pair scores its queries
-against its vectors by one matrix product and passes on the best few of each. A subtree that holds very many vectors is many
-blocks.
+The distributed plan: the strings of all trees are one frame. Subtree sizes are one aggregation of it, and a query's depth follows from
+the sizes at its own prefixes. Queries stop at a few depths, so that a few passes serve all: the deepest allowed one, and some above
+it for queries in thinly held subtrees. For each, the vectors are sorted by tree and string into arrays, packed as blocks of bounded
+size, and joined to blocks of the queries under the same prefix; a block pair scores its queries against its vectors by one matrix product
+and passes on the best few of each. A subtree that holds very many vectors is many blocks. At the root vectors are dealt into
+groups of bounded size instead, and each group meets all queries that end there.
 
 Nearness is the inner product. Vectors are searched by direction of their augmented form (a further component makes all
 lengths equal), so the longest inner products are the nearest angles. Scores are in double precision on the original vectors.
 
-Vectors that are null, zero, or hold a null or non-finite component, or that have no id, take no part. Repeated (id, vector) rows
-count once. Ties go to the smaller id. An empty table gives no rows.
+Vectors that are null, zero, or hold a null or non-finite component, or that have no id, take no part; nor do those of another width than
+most have (of widths equally frequent the greater counts). Repeated (id, vector) rows count once; other columns take no part.
+Ties go to the smaller id. An empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -35,10 +38,18 @@ from tabqa.llm.common import map_arrow
 from tabqa.session import written
 
 TREES = 28
-#: Axes that each digit chooses from; a digit has twice as many values. The later digits are small, so that levels are fine.
-AXES = (32, 4, 4, 4, 4, 4)
-#: Candidates, over all trees, at which the ascent stops, if the measured recall lets it go as deep.
+#: Axes that the first digit chooses from; it has twice as many values. Every later digit is one bit.
+AXES = 32
+#: Bits of a hash string.
+BITS = 62
+#: Candidates, over all trees, at which the ascent stops, if the measured recall lets it go as deep: at least so many, and so many times the
+#: square root of the number of vectors.
 CANDIDATES = 6_000
+PER_ROOT = 12
+#: Depths that queries stop at, besides the root.
+PASSES = 3
+#: Vectors of a group at the root.
+GROUP = 1 << 16
 RECALL = 0.9
 #: Queries on which recall is measured.
 SAMPLE = 128
@@ -53,18 +64,31 @@ def usable(vectors: DataFrame, id_col: str, vector_col: str) -> DataFrame:
     return chosen.where(F.col("vec_id").isNotNull() & F.col("vector").isNotNull()).where(finite & F.exists("vector", lambda x: x != 0))
 
 
+def of_one_width(vectors: DataFrame) -> tuple[DataFrame, int | None]:
+    """The vectors of the commonest width, and that width."""
+    widths = vectors.groupBy(F.size("vector").alias("width")).agg(F.count(F.lit(1)).alias("n"))
+    found = widths.orderBy(F.desc("n"), F.desc("width")).first()
+    return (vectors.where(F.size("vector") == found["width"]), found["width"]) if found else (vectors, None)
+
+
 class Forest:
-    """The rotations of all trees, from a seed; `longest` is the greatest vector length."""
+    """The rotations and directions of all trees, from a seed; `longest` is the greatest vector length.
+
+    Level 0 is the root, level 1 the first digit, and each level more has a bit more.
+    """
 
-    def __init__(self, width: int, longest: float, trees: int = TREES, axes: tuple[int, ...] = AXES, seed: int = 17):
-        self.width, self.longest, self.trees, self.axes, self.digits, self.seed = width, longest, trees, [min(a, width + 1) for a in axes], len(axes), seed
-        self._turns: list[np.ndarray] | None = None
+    def __init__(self, width: int, longest: float, trees: int = TREES, axes: int = AXES, seed: int = 17):
+        self.width, self.longest, self.trees, self.axes, self.seed = width, longest, trees, min(axes, width + 1), seed
+        self.first_bits = (2 * self.axes - 1).bit_length()
+        self.levels = 1 + BITS - self.first_bits
+        self._turns: tuple[np.ndarray, np.ndarray] | None = None
 
-    def turns(self) -> list[np.ndarray]:
+    def turns(self) -> tuple[np.ndarray, np.ndarray]:
+        """The axes of all trees' first digits, and the directions of their bits, side by side."""
         if self._turns is None:
-            rng = np.random.default_rng(self.seed)
-            n = self.width + 1
-            self._turns = [np.linalg.qr(rng.normal(size=(n, n)))[0][:, :axes].astype(np.float32) for _ in range(self.trees) for axes in self.axes]
+            rng, n = np.random.default_rng(self.seed), self.width + 1
+            axes = np.hstack([np.linalg.qr(rng.normal(size=(n, n)))[0][:, : self.axes] for _ in range(self.trees)])
+            self._turns = axes.astype(np.float32), rng.normal(size=(n, self.trees * (self.levels - 1))).astype(np.float32)
         return self._turns
 
     def augmented(self, x: np.ndarray, query: bool) -> np.ndarray:
@@ -75,29 +99,28 @@ class Forest:
         return (np.hstack([x, np.sqrt(np.maximum(self.longest**2 - square, 0))[:, None]]) / self.longest).astype(np.float32)
 
     def strings(self, x: np.ndarray, query: bool) -> np.ndarray:
-        """The hash string of each vector in each tree, its digits in one integer, the first one highest."""
+        """The hash string of each vector in each tree as an integer, its first digit highest."""
         full = self.augmented(x, query)
-        out = np.zeros((self.trees, len(x)), np.int64)
-        for t in range(self.trees):
-            for d in range(self.digits):
-                turned = full @ self.turns()[t * self.digits + d]
-                axis = np.abs(turned).argmax(axis=1)
-                out[t] = out[t] * (2 * self.axes[d]) + 2 * axis + (turned[np.arange(len(x)), axis] > 0)
-        return out
+        axes, directions = self.turns()
+        turned = (full @ axes).reshape(len(x), self.trees, self.axes)
+        axis = np.abs(turned).argmax(axis=2)
+        first = 2 * axis + (np.take_along_axis(turned, axis[:, :, None], 2)[:, :, 0] > 0)
+        bits = (full @ directions > 0).reshape(len(x), self.trees, self.levels - 1)
+        return (first << (self.levels - 1)) + bits @ (1 << np.arange(self.levels - 2, -1, -1, dtype=np.int64))
 
     def __getstate__(self):
         return self.__dict__ | {"_turns": None}
 
-    def scale(self, depth: int) -> int:
-        """What a string is divided by for its prefix of `depth` digits."""
-        return int(np.prod([2 * a for a in self.axes[depth:]], dtype=np.int64))
+    def scale(self, level: int) -> int:
+        """What a string is divided by for its prefix at a level below the root."""
+        return 1 << (self.levels - level)
 
     def shared(self, one: np.ndarray, other: np.ndarray) -> np.ndarray:
         """The deepest level at which strings share a subtree in any tree; trees are the last axis."""
-        depth = np.zeros(np.broadcast_shapes(one.shape, other.shape)[:-1], np.int64)
-        for d in range(1, self.digits + 1):
-            depth[(one // self.scale(d) == other // self.scale(d)).any(axis=-1)] = d
-        return depth
+        unlike = (one ^ other).min(axis=-1)  # of all trees' the least has the longest common prefix
+        for step in (1, 2, 4, 8, 16, 32):  # all bits below the highest, so that they can be counted
+            unlike |= unlike >> step
+        return np.maximum(self.levels - np.bitwise_count(unlike).astype(np.int64), 0)
 
 
 def _matrix(column: pa.Array) -> np.ndarray:
@@ -113,7 +136,7 @@ def hash_strings(vectors: DataFrame, forest: Forest, query: bool, single: bool)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         x = _matrix(batch.column(1))
-        strings = forest.strings(x, query).T
+        strings = forest.strings(x, query)
         raw = [v.tobytes() for v in (x.astype(np.float32) if single else x)]
         return pa.RecordBatch.from_arrays([batch.column(0), pa.array(raw, pa.binary()), pa.array(list(strings), pa.list_(pa.int64()))], ["vec_id", "vector", "strings"])
 
@@ -173,31 +196,35 @@ def deepest_level(points: DataFrame, queries: DataFrame, forest: Forest, k: int,
     if held is None:
         return 0
     true = held[0] > -np.inf
-    for level in range(forest.digits, 0, -1):
+    for level in range(forest.levels, 0, -1):
         found = ((held[2] >= level) & true).sum(axis=1)[true.any(axis=1)] / true.sum(axis=1)[true.any(axis=1)]
         if len(found) > 1 and found.mean() - 2 * found.std(ddof=1) / np.sqrt(len(found)) >= recall:
             return level
     return 0
 
 
-def stop_depths(points: DataFrame, queries: DataFrame, forest: Forest, candidates: int, deepest: int) -> DataFrame:
-    """(query_id, depth): the deepest level, at most `deepest`, at which the query's subtrees in all trees hold enough vectors, or 0."""
-    if not deepest:
-        return queries.select(F.col("vec_id").alias("query_id"), F.lit(0).alias("depth"))
+def passes(deepest: int, most: int = PASSES) -> list[int]:
+    """The levels that queries stop at: the deepest allowed, and some above it, evenly spread; the root comes on top."""
+    return sorted({1 + round((deepest - 1) * k / max(1, most - 1)) for k in range(most)} if deepest > 1 else {deepest} - {0})
+
+
+def stop_levels(points: DataFrame, queries: DataFrame, forest: Forest, candidates: int, deepest: int) -> DataFrame:
+    """(query_id, level): the deepest of the levels, none below `deepest`, at which the query's subtrees in all trees hold enough vectors, or 0."""
+    levels = passes(deepest)
+    if not levels:
+        return queries.select(F.col("vec_id").alias("query_id"), F.lit(0).alias("level"))
     shorten = F.expr(f"string div {forest.scale(deepest)}").alias("string")
-    points = points.select(F.posexplode("strings").alias("tree", "string")).select("tree", shorten)
-    queries = queries.select("vec_id", F.posexplode("strings").alias("tree", "string")).select("vec_id", "tree", shorten)
-    lowest = points.groupBy("tree", "string").agg(F.count(F.lit(1)).alias("n"))
-    scale_of = {depth: forest.scale(depth) // forest.scale(deepest) for depth in range(1, deepest + 1)}
-    sizes = None
-    for depth, scale in scale_of.items():
-        level = lowest.groupBy("tree", F.expr(f"string div {scale}").alias("prefix")).agg(F.sum("n").alias("n")).withColumn("depth", F.lit(depth))
-        sizes = level if sizes is None else sizes.unionByName(level)
-    asked = queries.select("tree", F.col("vec_id").alias("query_id"), "string", F.explode(F.array(*(F.lit(d) for d in scale_of))).alias("depth"))
-    scales = F.element_at(F.array(*(F.lit(s).cast("bigint") for s in scale_of.values())), F.col("depth"))
-    asked = asked.withColumn("scale", scales).withColumn("prefix", F.expr("string div scale"))
-    held = asked.join(sizes, ["tree", "prefix", "depth"]).groupBy("query_id", "depth").agg(F.sum("n").alias("n"))
-    return queries.select(F.col("vec_id").alias("query_id")).distinct().join(held.where(F.col("n") >= candidates).groupBy("query_id").agg(F.max("depth").alias("depth")), "query_id", "left").select("query_id", F.coalesce("depth", F.lit(0)).alias("depth"))
+    lowest = points.select(F.posexplode("strings").alias("tree", "string")).select("tree", shorten).groupBy("tree", "string").agg(F.count(F.lit(1)).alias("n"))
+    asked = queries.select(F.col("vec_id").alias("query_id"), F.posexplode("strings").alias("tree", "string")).select("query_id", "tree", shorten)
+    found = None
+    for level in levels:
+        prefix = F.expr(f"string div {1 << (deepest - level)}L").alias("prefix")
+        sizes = lowest.select("tree", prefix, "n").groupBy("tree", "prefix").agg(F.sum("n").alias("n"))
+        held = asked.select("query_id", "tree", prefix).join(sizes, ["tree", "prefix"]).groupBy("query_id").agg(F.sum("n").alias("n")).where(F.col("n") >= candidates)
+        at = held.select("query_id", F.lit(level).alias("level"))
+        found = at if found is None else found.unionByName(at)
+    best = found.groupBy("query_id").agg(F.max("level").alias("level"))
+    return queries.select(F.col("vec_id").alias("query_id")).distinct().join(best, "query_id", "left").select("query_id", F.coalesce("level", F.lit(0)).alias("level"))
 
 
 def blocks(rows: DataFrame, size: int) -> DataFrame:
@@ -225,9 +252,10 @@ def blocks(rows: DataFrame, size: int) -> DataFrame:
         if held:
             yield flush()
 
-    order = ["tree", "prefix", "vec_id"]
+    order = ["tree", "prefix", "string", "vec_id"]  # the prefix begins the string: arrays sorted by string
     parts = int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    return rows.select("tree", "prefix", "vec_id", "vector").repartitionByRange(parts, *order).sortWithinPartitions(*order).mapInArrow(run, "tree int, prefix bigint, ids binary, vectors binary")
+    dealt = rows.select(*order, "vector").repartitionByRange(parts, *order).sortWithinPartitions(*order)
+    return dealt.select("tree", "prefix", "vec_id", "vector").mapInArrow(run, "tree int, prefix bigint, ids binary, vectors binary")
 
 
 def score_blocks(pairs: DataFrame, k: int, width: int, single: bool) -> DataFrame:
@@ -275,37 +303,51 @@ def _first_copies(vectors: DataFrame, keep: int) -> DataFrame:
     return rest.unionByName(best)
 
 
-def nearest(vectors: DataFrame, queries: DataFrame, k: int = 20, id_col: str = "vec_id", vector_col: str = "embedding", trees: int = TREES, candidates: int = CANDIDATES, recall: float = RECALL) -> DataFrame:
-    """query_id, rank, vec_id, score: each query's k nearest found, nearest first; at least `recall` of the true ones on the average."""
-    points = usable(vectors, id_col, vector_col).distinct()
+def nearest(
+    vectors: DataFrame,
+    queries: DataFrame,
+    k: int = 20,
+    id_col: str = "vec_id",
+    vector_col: str = "embedding",
+    trees: int = TREES,
+    candidates: int = CANDIDATES,
+    recall: float = RECALL,
+    exact: bool = False,
+) -> DataFrame:
+    """query_id, rank, vec_id, score: each query's k nearest found, nearest first; at least `recall` of the true ones on the average.
+
+    With `exact` every query ends at the root, and the true nearest are found.
+    """
+    points, width = of_one_width(usable(vectors, id_col, vector_col).distinct())
     asked = usable(queries, id_col, vector_col).distinct()
-    shape = points.agg(F.max(F.size("vector")).alias("width"), F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda s, x: s + x * x))).alias("longest"), F.min(F.size("vector")).alias("narrow")).first()
-    if shape["width"] is None or not asked.head(1):
+    asked = asked.where(F.size("vector") == width) if width else asked
+    if width is None or not asked.head(1):
         return vectors.sparkSession.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
-    if shape["width"] != shape["narrow"]:
-        raise ValueError("vectors of different widths")
-    width = shape["width"]
-    forest = Forest(width, shape["longest"] or 1.0, trees)
+    longest = points.agg(F.max(F.sqrt(F.aggregate("vector", F.lit(0.0), lambda s, x: s + x * x)))).first()[0]
+    forest = Forest(width, longest, trees)
     single = dict(vectors.dtypes)[vector_col] == "array<float>"
     points = written(hash_strings(_first_copies(points, k + 1), forest, False, single), "forest-points")
     question = written(hash_strings(asked, forest, True, single), "forest-question")
+    total = points.count()
+    enough = max(candidates, round(PER_ROOT * total**0.5)) if candidates >= CANDIDATES else candidates
     # where not even all vectors of all trees are enough candidates, every query ends at the root
-    deepest = deepest_level(points, question, forest, k, single, recall) if points.count() * trees >= candidates else 0
-    depths = written(stop_depths(points, question, forest, candidates, deepest), "forest-depths")
+    deepest = deepest_level(points, question, forest, k, single, recall) if not exact and total * trees >= enough else 0
+    levels = written(stop_levels(points, question, forest, enough, deepest), "forest-levels")
     found = None
-    for depth in sorted(r["depth"] for r in depths.select("depth").distinct().collect()):  # at most one for each digit, and the root
-        scale = forest.scale(depth)
-        own = question.join(depths.where(F.col("depth") == depth).select(F.col("query_id").alias("vec_id")), "vec_id", "left_semi")
-        if depth:
-            at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).withColumn("prefix", F.expr(f"string div {scale}"))  # noqa: B023, E731
-        else:  # the root: one tree holds everything
-            at = lambda df: df.withColumns({"tree": F.lit(0), "prefix": F.lit(0).cast("bigint")})
-        p = at(points)
-        if depth > 1:  # deep down most subtrees are nobody's
-            p = p.join(at(own).select("tree", "prefix").distinct(), ["tree", "prefix"], "left_semi")
-        p_blocks = blocks(p, BLOCK)
-        q_blocks = blocks(at(own), QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "vectors": "q_vectors"})
-        part = score_blocks(p_blocks.join(q_blocks, ["tree", "prefix"]), k, width, single)
+    for level in sorted(r["level"] for r in levels.select("level").distinct().collect()):  # at most PASSES and the root
+        own = question.join(levels.where(F.col("level") == level).select(F.col("query_id").alias("vec_id")), "vec_id", "left_semi")
+        if level:
+            prefix = F.expr(f"string div {forest.scale(level)}L").alias("prefix")
+            at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).select("vec_id", "vector", "tree", "string", prefix)  # noqa: B023, E731
+            p = at(points).join(at(own).select("tree", "prefix").distinct(), ["tree", "prefix"], "left_semi")  # deep down most subtrees are nobody's
+            q = at(own)
+        else:  # at the root all vectors stand, in groups that all its queries meet
+            groups = max(1, min(-(-total // GROUP), 1 << 20), min(total // BLOCK, 32))
+            dealt = lambda df, group: df.select("vec_id", "vector", F.lit(0).alias("tree"), F.lit(0).cast("bigint").alias("string"), group.cast("bigint").alias("prefix"))
+            p = dealt(points, F.pmod(F.xxhash64("vec_id"), F.lit(groups)))
+            q = dealt(own.withColumn("group", F.explode(F.sequence(F.lit(0), F.lit(groups - 1)))), F.col("group"))
+        q_blocks = blocks(q, QUERY_BLOCK).withColumnsRenamed({"ids": "q_ids", "vectors": "q_vectors"})
+        part = score_blocks(blocks(p, BLOCK).join(q_blocks, ["tree", "prefix"]), k, width, single)
         found = part if found is None else found.unionByName(part)
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     distinct = found.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
