@@ -55,7 +55,11 @@ PLAIN = frozenset(
     "module outer panel pane primary region right row secondary section sections site slot small strip sub thread title top unit user view wrap wrapper area large medium mini".split()
 )
 #: What the score of a path is multiplied by: through a declared article, through a marked element, and through one that is marked but says that it is the article as well.
-RAISED, LOWERED, CONTESTED = 2.0, 0.1, 0.8
+RAISED, LOWERED, CONTESTED = 2.0, 0.02, 0.8
+#: A block of so much text and so many marks is as good as a longer one, so that one long block doesn't outdo all others.
+FULL_TEXT, FULL_MARKS = 400, 8
+#: Least share of the page's highest score.
+LEAST = 0.15
 #: Share of the chosen text that the element has which holds the content.
 HOLDS = 0.6
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+'|[\"'])*+)>|<[!?][^>]*>", re.S)
@@ -241,7 +245,7 @@ def blocks_of(page: str) -> Page:
             if unread_at and stack[-1].name in SAME_CLOSES.get(name, ()):
                 pop()
             if not ended and not (name in SKIPPED and never_closed(name)):
-                push(_Open(name, None, 0.0, 0, False))
+                push(_Open(name, None, 0.0, 0, False, stack[-1].holder if stack else root))
             continue
         if name not in INLINE:
             if name in CLOSES_P:
@@ -287,6 +291,7 @@ def path_scores(blocks: list[Block]) -> np.ndarray:
     paths = np.unique([b.path for b in blocks], return_inverse=True)[1]
     own = np.array([max(0, len(b.text) - b.linked) for b in blocks], float)
     marks = np.array([len(_PUNCTUATION.findall(b.text)) * (own[i] / max(1, len(b.text))) for i, b in enumerate(blocks)])
+    own, marks = np.minimum(own, FULL_TEXT), np.minimum(marks, FULL_MARKS)
     n = np.bincount(paths)
     text_ratio, mark_ratio = (np.bincount(paths, own) / n)[paths], (np.bincount(paths, marks) / n)[paths]
     plain = np.sqrt(text_ratio * (mark_ratio + 0.1))
@@ -311,12 +316,12 @@ def _holding(page: Page, chosen: np.ndarray) -> int:
 
 
 def content_blocks(page: Page, share: float = 0.8) -> list[Block]:
-    """The blocks whose path's score passes the page's threshold (`share` of its standard deviation), and what goes with them."""
+    """The blocks whose path's score passes the page's threshold (`share` of its standard deviation, and LEAST of its highest score), and what goes with them."""
     blocks = page.blocks
     if not any(b.prior for b in blocks):
         return []
     score = path_scores(blocks)
-    threshold = share * float(np.std(score)) if len(blocks) > 1 else 0.0
+    threshold = max(share * float(np.std(score)), LEAST * float(score.max())) if len(blocks) > 1 else 0.0
     chosen = (score >= threshold) & np.array([b.prior > 0 for b in blocks])
     # what stands in the element of the content and isn't lowered or mostly links goes with the content
     around = _holding(page, chosen)
