@@ -4,17 +4,19 @@ A reference table holds, for every line key, in how many documents it stands and
 two or more documents also have a fingerprint in the cuckoo filter of their shard. Inserting documents adds to the
 counts and inserts the fingerprints of keys that reach two; deleting documents subtracts and deletes the
 fingerprints of keys that fall below two, so the state is the one that the remaining documents would give.
-A line is looked up in the filter first; only lines that pass are joined with the exact table.
+A line is looked up in the filter first; only lines that pass are joined with the exact table. Filters that are small together
+are sent to all tasks; larger ones meet the keys of their shards, dealt by shard and, against hot lines, by slices of the documents.
 
 A key is the line stripped of ASCII white space with A-Z lower-cased; keys shorter than `min_chars` code points
 are never dropped. Keys travel as 128-bit digests. A null or empty text is one empty line. Rows that repeat a doc_id count
-as one document and get the same decisions. A null doc_id is one document that comes before all others.
+as one document and get the same decisions. A null doc_id is one document that comes before all others. Other columns stay as they
+are, whatever their names, but for those named like the counts that the result has: these give way.
 """
 
 from __future__ import annotations
 
 import hashlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -23,15 +25,17 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tabqa.llm.common import ASCII_SPACE, ascii_lower, map_arrow, utf8_rows
+from tabqa.llm.common import ASCII_SPACE, Rewritten, as_rows, ascii_lower, map_arrow, utf8_rows
 from tabqa.session import written
 
 MIN_CHARS = 10
 #: Shards of the reference table; each has a filter of its own.
 SHARDS = 64
 KEYS_PER_SHARD = 200_000
-#: Filters are sent to every executor up to this size, measured before; beyond it the exact join alone decides.
+#: Filters are sent to every executor up to this size, measured before; beyond it keys go to where their filter is.
 FILTERS_BROADCAST_BYTES = 48 << 20
+#: Slices of the documents in which a shard's keys meet its filter.
+SLICES = 8
 NULL_ID = -(1 << 63)
 SLOTS = 4
 
@@ -66,39 +70,49 @@ class CuckooFilter:
     def _step(self, prints: np.ndarray) -> np.ndarray:
         return (self._mixed(prints) & np.uint64(self.buckets - 1)).astype(np.int64)
 
+    def _ranked(self, buckets: np.ndarray, prints: np.ndarray, wanted: Callable[[np.ndarray, np.ndarray], np.ndarray], by_print: bool) -> tuple[np.ndarray, np.ndarray]:
+        """Gives each entry the next wanted slot of its bucket in turn: which entries got one, and which slots."""
+        order = np.lexsort((prints, buckets)) if by_print else np.argsort(buckets, kind="stable")
+        at, p = buckets[order], prints[order]
+        fresh = np.concatenate(([True], (at[1:] != at[:-1]) | ((p[1:] != p[:-1]) if by_print else False)))
+        first = np.flatnonzero(fresh)
+        turn = np.arange(len(at)) - first[np.cumsum(fresh) - 1]
+        fits = np.cumsum(wanted(self.table[at], p[:, None]), axis=1)
+        got = turn < fits[:, -1]
+        return order[got], (fits[got] == turn[got][:, None] + 1).argmax(axis=1)
+
     def insert(self, keys: np.ndarray) -> bool:
-        """Adds keys one by one; False when one finds no place, and the filter must be built larger."""
+        """Adds keys; False when one finds no place, and the filter must be built larger."""
         prints, first, second = self.places(keys)
-        table = self.table
-        for p, a, b in zip(prints.tolist(), first.tolist(), second.tolist(), strict=True):
-            for at in (a, b):
-                free = np.flatnonzero(table[at] == 0)
+        left = np.arange(len(keys))
+        for bucket in (first, second):  # all that find a free slot at once, then those that must move others
+            if len(left):
+                done, slots = self._ranked(bucket[left], prints[left], lambda held, p: held == 0, False)
+                self.table[bucket[left[done]], slots] = prints[left[done]]
+                left = np.delete(left, done)
+        for p, at in zip(prints[left].tolist(), second[left].tolist(), strict=True):
+            now = p
+            for kick in range(500):
+                slot = (kick + now) % SLOTS
+                now, self.table[at, slot] = int(self.table[at, slot]), now
+                at = int(at ^ self._step(np.array([now], np.uint16))[0])
+                free = np.flatnonzero(self.table[at] == 0)
                 if len(free):
-                    table[at, free[0]] = p
+                    self.table[at, free[0]] = now
                     break
             else:
-                at, now = b, p
-                for kick in range(500):
-                    slot = (kick + now) % SLOTS
-                    now, table[at, slot] = int(table[at, slot]), now
-                    at = int(at ^ self._step(np.array([now], np.uint16))[0])
-                    free = np.flatnonzero(table[at] == 0)
-                    if len(free):
-                        table[at, free[0]] = now
-                        break
-                else:
-                    return False
+                return False
         return True
 
     def delete(self, keys: np.ndarray) -> None:
         """Removes one fingerprint for each key; only keys that were inserted may be given."""
         prints, first, second = self.places(keys)
-        for p, a, b in zip(prints.tolist(), first.tolist(), second.tolist(), strict=True):
-            for at in (a, b):
-                held = np.flatnonzero(self.table[at] == p)
-                if len(held):
-                    self.table[at, held[0]] = 0
-                    break
+        left = np.arange(len(keys))
+        for bucket in (first, second):
+            if len(left):
+                done, slots = self._ranked(bucket[left], prints[left], lambda held, p: held == p, True)
+                self.table[bucket[left[done]], slots] = 0
+                left = np.delete(left, done)
 
     def contains(self, keys: np.ndarray) -> np.ndarray:
         prints, first, second = self.places(keys)
@@ -108,9 +122,10 @@ class CuckooFilter:
         return self.table.tobytes()
 
     @classmethod
-    def from_bytes(cls, raw: bytes) -> CuckooFilter:
-        table = np.frombuffer(raw, np.uint16).reshape(-1, SLOTS).copy()
-        return cls(len(table), table)
+    def from_bytes(cls, raw: bytes, to_change: bool = False) -> CuckooFilter:
+        """A filter to look up in, without a copy of its cells; or one to change."""
+        table = np.frombuffer(raw, np.uint16).reshape(-1, SLOTS)
+        return cls(len(table), table.copy() if to_change else table)
 
 
 def build_filter(keys: np.ndarray) -> CuckooFilter:
@@ -144,6 +159,7 @@ def _identified(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
 def line_keys(docs: DataFrame, min_chars: int = MIN_CHARS, filters: list[tuple[int, bytes]] | None = None, shards: int = SHARDS) -> DataFrame:
     """(doc_id, k1, k2) of every document's distinct keys; with filters, only of those a filter holds."""
     shared = None if filters is None else docs.sparkSession.sparkContext.broadcast(dict(filters))
+    opened: dict[int, CuckooFilter] = {}  # of a task
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch | None:
         rows, digests = [], []
@@ -158,9 +174,11 @@ def line_keys(docs: DataFrame, min_chars: int = MIN_CHARS, filters: list[tuple[i
         if shared is not None:
             keep, shard = np.zeros(len(k1), bool), k1 % shards
             for s in np.unique(shard).tolist():
-                if (held := shared.value.get(s)) is not None:
+                if s not in opened and s in shared.value:
+                    opened[s] = CuckooFilter.from_bytes(shared.value[s])
+                if s in opened:
                     own = np.flatnonzero(shard == s)
-                    keep[own] = CuckooFilter.from_bytes(held).contains(k1[own])
+                    keep[own] = opened[s].contains(k1[own])
             k1, k2, at = k1[keep], k2[keep], at[keep]
         return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(at)), pa.array(k1), pa.array(k2)], ["doc_id", "k1", "k2"])
 
@@ -176,10 +194,11 @@ def reference_counts(keys: DataFrame) -> DataFrame:
 class LineStore:
     """References (k1, k2, refs, first_doc) and filters (shard, cells) of the keys with two or more references.
 
-    `holders` keeps every (doc_id, k1, k2), so that a deletion can find the next smallest document.
+    `holders` keeps every (doc_id, k1, k2), so that a deletion can find the next smallest document; a store that is only looked up in
+    has none. There are `shards` or more filters, so that each has about KEYS_PER_SHARD keys at most.
     """
 
-    holders: DataFrame
+    holders: DataFrame | None
     references: DataFrame
     filters: DataFrame
     shards: int = SHARDS
@@ -187,9 +206,19 @@ class LineStore:
     @classmethod
     def build(cls, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, shards: int = SHARDS) -> LineStore:
         holders = written(line_keys(_identified(docs, id_col, text_col), min_chars).distinct(), "line-holders")
-        references = written(reference_counts(holders), "line-references")
+        return cls._filtered(holders, written(reference_counts(holders), "line-references"), shards)
+
+    @classmethod
+    def _filtered(cls, holders: DataFrame | None, references: DataFrame, shards: int) -> LineStore:
+        """The store with filters made anew, in as many shards as the keys need."""
+        shards = max(shards, -(-references.where("refs >= 2").count() // KEYS_PER_SHARD))
         return cls(holders, references, written(shard_filters(references, shards), "line-filters"), shards)
 
+    def strip(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, digest: bool = False, counts: tuple[str, str] = ("n_lines", "n_dropped")) -> DataFrame:
+        """Documents of the store without the lines that one of smaller id has."""
+        dropped = drops(_identified(docs, id_col, text_col), self.references, self.filters, self.shards, min_chars)
+        return strip_lines(docs, dropped, min_chars, digest, id_col, text_col, counts)
+
     def insert(self, docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS) -> LineStore:
         """The store with these documents too; documents it already holds add nothing."""
         new = line_keys(_identified(docs, id_col, text_col), min_chars).distinct().join(self.holders, ["doc_id", "k1", "k2"], "left_anti")
@@ -207,7 +236,9 @@ class LineStore:
         return self._after(holders, written(kept.unionByName(recounted), "line-references"))
 
     def _after(self, holders: DataFrame, references: DataFrame) -> LineStore:
-        """Filters changed by what has come to two references or fallen below."""
+        """Filters changed by what has come to two references or fallen below; made anew in more shards once they are crowded."""
+        if references.where("refs >= 2").count() > 2 * self.shards * KEYS_PER_SHARD:
+            return self._filtered(holders, references, self.shards)
         was = self.references.where("refs >= 2").select("k1", "k2", F.lit(-1).alias("change"))
         now = references.where("refs >= 2").select("k1", "k2", F.lit(1).alias("change"))
         moved = was.unionByName(now).groupBy("k1", "k2").agg(F.sum("change").alias("change")).where("change <> 0")
@@ -215,7 +246,7 @@ class LineStore:
         moved = moved.withColumn("shard", F.pmod("k1", F.lit(shards)))
 
         def change(key: tuple, changes: pd.DataFrame, held: pd.DataFrame) -> pd.DataFrame:
-            cells = CuckooFilter.from_bytes(held["cells"].iloc[0]) if len(held) else CuckooFilter.for_keys(len(changes))
+            cells = CuckooFilter.from_bytes(held["cells"].iloc[0], True) if len(held) else CuckooFilter.for_keys(len(changes))
             cells.delete(changes.loc[changes["change"] < 0, "k1"].to_numpy(np.int64))
             kept = cells.table.copy()
             added = changes.loc[changes["change"] > 0, "k1"].to_numpy(np.int64)
@@ -226,7 +257,7 @@ class LineStore:
 
         filters = written(moved.groupBy("shard").cogroup(self.filters.groupBy("shard")).applyInPandas(change, "shard bigint, cells binary"), "line-filters")
         full = filters.where("length(cells) = 0").select("shard")
-        anew = shard_filters(references.join(F.broadcast(full), F.pmod("k1", F.lit(shards)) == full["shard"], "left_semi"), shards)
+        anew = shard_filters(references.join(full, F.pmod("k1", F.lit(shards)) == full["shard"], "left_semi"), shards)
         return LineStore(holders, references, filters.where("length(cells) > 0").unionByName(anew), shards)
 
 
@@ -240,24 +271,54 @@ def shard_filters(references: DataFrame, shards: int = SHARDS) -> DataFrame:
     return shared.groupBy("shard").applyInPandas(run, "shard bigint, cells binary")
 
 
+def sift(keys: DataFrame, filters: DataFrame, shards: int, slices: int = SLICES) -> DataFrame:
+    """The keys that their shard's filter holds, for filters too large to send: a filter goes before the keys of its shard, in each slice."""
+    asked = keys.select(F.pmod("k1", F.lit(shards)).alias("shard"), F.pmod(F.xxhash64("doc_id"), F.lit(slices)).cast("bigint").alias("slice"), F.lit(None).cast("binary").alias("cells"), "doc_id", "k1", "k2")
+    none = [F.lit(0).cast("bigint").alias(c) for c in ("doc_id", "k1", "k2")]
+    sent = filters.select(F.col("shard").cast("bigint").alias("shard"), F.explode(F.array(*(F.lit(i).cast("bigint") for i in range(slices)))).alias("slice"), "cells", *none)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        now, held = None, None
+        for batch in batches:
+            shard, part = (batch.column(i).to_numpy() for i in range(2))
+            cells, k1 = batch.column(2), batch.column(4).to_numpy()
+            keep = np.zeros(len(k1), bool)
+            edges = np.flatnonzero(np.concatenate(([True], (shard[1:] != shard[:-1]) | (part[1:] != part[:-1])))) if len(k1) else np.zeros(0, int)
+            for i, j in zip(edges.tolist(), [*edges[1:].tolist(), len(k1)], strict=True):
+                if (shard[i], part[i]) != now:
+                    now, held = (shard[i], part[i]), CuckooFilter.from_bytes(cells[i].as_py()) if cells[i].is_valid else None
+                if held is not None:
+                    keep[i:j] = held.contains(k1[i:j])
+            keep &= ~cells.is_valid().to_numpy(zero_copy_only=False)
+            if keep.any():
+                yield pa.RecordBatch.from_arrays([batch.column(i).filter(pa.array(keep)) for i in (3, 4, 5)], ["doc_id", "k1", "k2"])
+
+    dealt = asked.unionByName(sent).repartition("shard", "slice").sortWithinPartitions("shard", "slice", F.col("cells").isNull())
+    return dealt.mapInArrow(run, "doc_id bigint, k1 bigint, k2 bigint")
+
+
 def drops(docs: DataFrame, references: DataFrame, filters: DataFrame, shards: int, min_chars: int = MIN_CHARS) -> DataFrame:
     """(doc_id, keys): for each document the keys whose lines it loses. Lines pass the filters, then the exact join."""
     total = filters.agg(F.sum(F.length("cells"))).first()[0] or 0
-    sent = [(r["shard"], bytes(r["cells"])) for r in filters.collect()] if total <= FILTERS_BROADCAST_BYTES else None
-    asked = line_keys(docs, min_chars, sent, shards)
+    if total <= FILTERS_BROADCAST_BYTES:
+        asked = line_keys(docs, min_chars, [(r["shard"], bytes(r["cells"])) for r in filters.collect()], shards)
+    else:
+        asked = sift(line_keys(docs, min_chars), filters, shards)
     found = asked.join(references.where("refs >= 2"), ["k1", "k2"]).where("doc_id <> first_doc")
     return found.groupBy("doc_id").agg(F.collect_set(F.struct("k1", "k2")).alias("keys"))
 
 
-def strip_lines(docs: DataFrame, dropped: DataFrame, min_chars: int = MIN_CHARS, digest: bool = False, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """All columns of the documents with the remaining lines as text and n_lines, n_dropped; or the digest for the text."""
-    keyed = docs.withColumn("__id", F.coalesce(F.col(id_col).cast("bigint"), F.lit(NULL_ID)))
-    joined = keyed.join(dropped.select(F.col("doc_id").alias("__id"), F.col("keys").alias("__keys")), "__id", "left").drop("__id")
-    names, at, last = docs.columns, docs.columns.index(text_col), len(docs.columns)
+def strip_lines(
+    docs: DataFrame, dropped: DataFrame, min_chars: int = MIN_CHARS, digest: bool = False, id_col: str = "doc_id", text_col: str = "text", counts: tuple[str, str] = ("n_lines", "n_dropped")
+) -> DataFrame:
+    """All columns of the documents with the remaining lines as text, or their digest, and the counts: lines before, and lines dropped."""
+    keyed = as_rows(docs, id=F.coalesce(F.col(f"`{id_col}`").cast("bigint"), F.lit(NULL_ID)))
+    joined = keyed.join(dropped.select(F.col("doc_id").alias("id"), "keys"), "id", "left").select("row", "keys")
+    out = Rewritten(docs, text_col, counts)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         texts, lines, losses = [], [], []
-        for raw, keys in zip(utf8_rows(batch.column(at)), batch.column(last).to_pylist(), strict=True):
+        for raw, keys in zip(utf8_rows(out.texts(batch)), batch.column(1).to_pylist(), strict=True):
             parts = raw.split(b"\n")
             gone = {int(k["k1"]).to_bytes(8, "little", signed=True) + int(k["k2"]).to_bytes(8, "little", signed=True) for k in keys} if keys else ()
             kept = [p for p in parts if line_key(p, min_chars) not in gone] if gone else parts
@@ -265,26 +326,27 @@ def strip_lines(docs: DataFrame, dropped: DataFrame, min_chars: int = MIN_CHARS,
             texts.append(hashlib.sha256(left).hexdigest() if digest else left.decode("utf-8", "replace"))
             lines.append(len(parts))
             losses.append(len(parts) - len(kept))
-        columns = list(batch.columns[:last])
-        columns[at] = pa.array(texts, pa.string())
-        return pa.RecordBatch.from_arrays([*columns, pa.array(lines, pa.int64()), pa.array(losses, pa.int64())], [*names, "n_lines", "n_dropped"])
+        return out.batch(batch, texts, lines, losses)
 
-    fields = ", ".join(f"`{f.name}` {'string' if f.name == text_col else f.dataType.simpleString()}" for f in docs.schema.fields)
-    return map_arrow(joined, run, f"{fields}, n_lines bigint, n_dropped bigint")
+    return map_arrow(joined, run, out.schema)
 
 
-def dedup_lines(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", min_chars: int = MIN_CHARS, digest: bool = False, shards: int = SHARDS) -> DataFrame:
+def dedup_lines(
+    docs: DataFrame,
+    id_col: str = "doc_id",
+    text_col: str = "text",
+    min_chars: int = MIN_CHARS,
+    digest: bool = False,
+    shards: int = SHARDS,
+    counts: tuple[str, str] = ("n_lines", "n_dropped"),
+) -> DataFrame:
     """Documents without the lines that a document of smaller id already has.
 
     The exact table and the filters are built from the whole input and written before they are read.
     """
-    plain = _identified(docs, id_col, text_col)
     # a document's repeated rows may each emit a key, so here "two documents" is told by the least and greatest id
-    shared = plain_references(line_keys(plain, min_chars))
-    shared = written(shared, "line-references")
-    shards = max(shards, -(-shared.count() // KEYS_PER_SHARD))
-    filters = written(shard_filters(shared, shards), "line-filters")
-    return strip_lines(docs, drops(plain, shared, filters, shards, min_chars), min_chars, digest, id_col, text_col)
+    shared = written(plain_references(line_keys(_identified(docs, id_col, text_col), min_chars)), "line-references")
+    return LineStore._filtered(None, shared, shards).strip(docs, id_col, text_col, min_chars, digest, counts)
 
 
 def plain_references(keys: DataFrame) -> DataFrame:
