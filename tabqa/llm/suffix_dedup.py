@@ -16,7 +16,8 @@ What reaches a block is chosen by content. Every window belongs to an anchor, an
 3. Every document gets the repeated windows of its contexts, and drops the bytes they cover.
 
 Matches never cross documents. A null text is empty. Repeated rows repeat each other's strings. A null doc_id is an id like
-any other. Texts shorter than `window` stay whole. Equal 64-bit digests count as equal strings.
+any other. Texts shorter than `window` stay whole. Equal 64-bit digests count as equal strings. Other columns stay as they are,
+whatever their names, but for those named like the counts that the result has: these give way.
 """
 
 from __future__ import annotations
@@ -30,7 +31,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tabqa.llm.anchors import Prints, anchors, signatures
-from tabqa.llm.common import map_arrow, slices, utf8_rows
+from tabqa.llm.common import Rewritten, as_rows, map_arrow, slices, utf8_rows
 from tabqa.session import written
 
 WINDOW = 200
@@ -408,19 +409,22 @@ def whole_letters(raw: bytes, spans: list[tuple[int, int]]) -> list[tuple[int, i
     return out
 
 
-def dedup_substrings(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", digest: bool = False) -> DataFrame:
-    """All columns of the documents, with n_bytes, n_removed, n_spans; the text is what remains, or its digest.
+def dedup_substrings(
+    docs: DataFrame, window: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", digest: bool = False, counts: tuple[str, str, str] = ("n_bytes", "n_removed", "n_spans")
+) -> DataFrame:
+    """All columns of the documents, with the counts: bytes before, bytes removed, and removed spans; the text is what remains, or its digest.
 
     As text, spans are drawn in to whole characters; digests are of the remaining bytes exactly.
     """
-    plain = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(NULL_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    found = removals(plain, window).select(F.col("doc_id").alias("__id"), F.col("found").alias("__found"))
-    joined = docs.withColumn("__id", F.coalesce(F.col(id_col).cast("bigint"), F.lit(NULL_ID))).join(found, "__id", "left").drop("__id")
-    names, at, last = docs.columns, docs.columns.index(text_col), len(docs.columns)
+    key = F.coalesce(F.col(f"`{id_col}`").cast("bigint"), F.lit(NULL_ID))
+    plain = docs.select(key.alias("doc_id"), F.col(f"`{text_col}`").cast("string").alias("text"))
+    found = removals(plain, window).select(F.col("doc_id").alias("id"), "found")
+    joined = as_rows(docs, id=key).join(found, "id", "left").select("row", "found")
+    out = Rewritten(docs, text_col, counts)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         texts, sizes, removed, runs = [], [], [], []
-        for raw, found in zip(utf8_rows(batch.column(at)), batch.column(last).to_pylist(), strict=True):
+        for raw, found in zip(utf8_rows(out.texts(batch)), batch.column(1).to_pylist(), strict=True):
             spans = covered(raw, found, window)
             if not digest:
                 spans = whole_letters(raw, spans)
@@ -429,9 +433,6 @@ def dedup_substrings(docs: DataFrame, window: int = WINDOW, id_col: str = "doc_i
             sizes.append(len(raw))
             removed.append(len(raw) - len(left))
             runs.append(len(spans))
-        columns = list(batch.columns[:last])
-        columns[at] = pa.array(texts, pa.string())
-        return pa.RecordBatch.from_arrays([*columns, *(pa.array(x, pa.int64()) for x in (sizes, removed, runs))], [*names, "n_bytes", "n_removed", "n_spans"])
+        return out.batch(batch, texts, sizes, removed, runs)
 
-    fields = ", ".join(f"`{f.name}` {'string' if f.name == text_col else f.dataType.simpleString()}" for f in docs.schema.fields)
-    return map_arrow(joined, run, f"{fields}, n_bytes bigint, n_removed bigint, n_spans bigint")
+    return map_arrow(joined, run, out.schema)
