@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tabqa.llm.common import WORD_BYTES, map_arrow, utf8_rows
+from tabqa.llm.common import WORD_BYTES, as_rows, map_arrow, utf8_rows
 
 _WORD = re.compile(WORD_BYTES)
 _SYMBOLS = b"#*$%&|<>"
@@ -128,24 +128,28 @@ RULES: tuple[Rule, ...] = (
 SAMPLE_ROWS = 4_000
 
 
-def estimate(docs: DataFrame, rules: Sequence[Rule] = RULES, text_col: str = "text", sample_rows: int = SAMPLE_ROWS, seed: int = 11) -> list[dict]:
+def estimate(docs: DataFrame, rules: Sequence[Rule] = RULES, text_col: str = "text", sample_rows: int = SAMPLE_ROWS, seed: int = 11, known: Sequence[str] = ()) -> list[dict]:
     """Mean cost in nanoseconds and rejected share of each rule, over a sample of about `sample_rows` documents.
 
-    Each rule is timed on a fresh document, so that its cost holds all measures it needs. An empty table gives
+    Each rule is timed on a fresh document, so that its cost holds all measures it needs, but for those that are `known`, which are
+    taken of every document whatever the rules. An empty table gives
     no figures, and the rules keep the order they are written in.
     """
     total = docs.count()
     if not total:
         return []
-    rules = tuple(rules)
+    rules, known = tuple(rules), tuple(known)
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         cost, rejected, seen = [0] * len(rules), [0] * len(rules), 0
         for raw in utf8_rows(batch.column(0)):
             seen += 1
             for k, rule in enumerate(rules):
+                doc = Measured(raw)
+                for name in known:
+                    getattr(doc, name)
                 began = time.perf_counter_ns()
-                rejected[k] += bool(rule.rejects(Measured(raw)))
+                rejected[k] += bool(rule.rejects(doc))
                 cost[k] += time.perf_counter_ns() - began
         return pa.RecordBatch.from_pydict({"rule": list(range(len(rules))), "cost": cost, "rejected": rejected, "seen": [seen] * len(rules)}, pa.schema([("rule", pa.int32()), ("cost", pa.int64()), ("rejected", pa.int64()), ("seen", pa.int64())]))
 
@@ -163,7 +167,8 @@ def cascade_order(rules: Sequence[Rule], figures: Sequence[dict]) -> list[Rule]:
 def apply_cascade(docs: DataFrame, rules: Sequence[Rule] = RULES, id_col: str = "doc_id", text_col: str = "text", measures: Sequence[str] = (), base: Sequence[Rule] = BASE_RULES) -> DataFrame:
     """`doc_id`, the measures asked for, `base_failed` and `kept` of every document.
 
-    The cascade decides `kept`; where measures are asked for, it finds them already computed.
+    The cascade decides `kept`. Measures that are asked for are taken of every document, so the rules that need no others cost nothing
+    more; what the other rules need, a document that a rule before them rejects is spared.
     """
     order, base, measures = tuple(rules), tuple(base), tuple(measures)
 
@@ -186,13 +191,14 @@ def apply_cascade(docs: DataFrame, rules: Sequence[Rule] = RULES, id_col: str =
 def filter_documents(docs: DataFrame, rules: Sequence[Rule] = RULES, text_col: str = "text") -> DataFrame:
     """The documents no rule rejects, with all their columns."""
     order = tuple(cascade_order(rules, estimate(docs, rules, text_col)))
-    at = docs.columns.index(text_col)
+    at, names = docs.columns.index(text_col), docs.columns
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
-        keep = [not any(rule.rejects(doc) for rule in order) for doc in map(Measured, utf8_rows(batch.column(at)))]
-        return batch.filter(pa.array(keep, pa.bool_()))
+        rows = batch.column(0)
+        keep = [not any(rule.rejects(doc) for rule in order) for doc in map(Measured, utf8_rows(rows.field(at)))]
+        return pa.RecordBatch.from_arrays(rows.filter(pa.array(keep, pa.bool_())).flatten(), names)
 
-    return map_arrow(docs, run, docs.schema)
+    return map_arrow(as_rows(docs), run, docs.schema)
 
 
 #: DuckDB SQL for the query over `documents`.

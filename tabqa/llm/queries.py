@@ -43,9 +43,9 @@ def op3_tag_path_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_quality_cascade(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = _documents(spark, sf_dir)
-    order = quality.cascade_order(quality.RULES, quality.estimate(docs))
-    return quality.apply_cascade(docs, order, measures=("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words"))
+    docs, measures = _documents(spark, sf_dir), ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
+    order = quality.cascade_order(quality.RULES, quality.estimate(docs, known=measures))
+    return quality.apply_cascade(docs, order, measures=measures)
 
 
 def op5_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
