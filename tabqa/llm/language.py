@@ -5,7 +5,7 @@ text's family is predicted first; one-versus-one linear support vector machines
 family apart. Features are hashed counts of three- and four-byte runs of the lower-cased text, other characters than
 letters being blanks.
 
-Learning takes a bounded sample: at most about `per_language` labelled documents of each language. Every text is
+Learning takes a bounded sample: at most `per_language` labelled texts of each language. Every text is
 predicted from the whole of it. A null text, or one without a letter, gives `und` and score 0. Rows without a label
 are predicted all the same. Without any labelled row every prediction is `und`.
 """
@@ -18,12 +18,12 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from tabqa.llm.common import map_arrow
 
-#: Documents of each language that training looks at, about; a parameter.
+#: Distinct texts of each language that training looks at, at most; a parameter.
 PER_LANGUAGE = 400
 #: Hash buckets of the features.
 BUCKETS = 4096
@@ -141,18 +141,17 @@ def fit_model(x: np.ndarray, labels: np.ndarray, families: list[list[str]] | Non
 
 
 def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, text_col: str = "text", label_col: str = "lang", families: list[list[str]] | None = None) -> LanguageModel:
-    """Fits on a sample of labelled rows: each language's rows pass at the rate that leaves about `per_language`.
+    """Fits on a sample of labelled rows: of each language the `per_language` distinct texts of least hash, all of them where there are fewer.
 
-    A row passes by a hash of its text, so the sample is the same in every run. Feature vectors are made on the
-    executors; the driver gets at most about 16 KB for each sampled row.
+    So the sample is the same in every run, copies of a text count once, and no language is left out. Feature vectors are made on
+    the executors; the driver gets about 16 KB for each sampled text.
     """
-    rows = labelled.select(F.col(text_col).cast("string").alias("text"), F.col(label_col).cast("string").alias("lang")).where("lang IS NOT NULL AND text IS NOT NULL")
-    counts = {r["lang"]: r["count"] for r in rows.groupBy("lang").count().collect()}
-    if not counts:
-        return fit_model(np.zeros((0, BUCKETS)), np.array([], object))
-    scale = 1 << 30
-    rate = F.create_map(*(F.lit(v) for k, n in sorted(counts.items()) for v in (k, min(scale, int(scale * per_language / n) + 1))))
-    sample = rows.where(F.pmod(F.xxhash64("text", F.lit(3)), F.lit(scale)) < rate[F.col("lang")])
+    rows = labelled.select(F.col(text_col).cast("string").alias("text"), F.col(label_col).cast("string").alias("lang")).where("lang IS NOT NULL").where(F.col("text").rlike(r"\p{L}"))
+    rows = rows.withColumn("hash", F.xxhash64("text", F.lit(3)))
+    least = Window.partitionBy("lang").orderBy("hash")
+    chosen = rows.select("lang", "hash").distinct().withColumn("r", F.row_number().over(least)).where(F.col("r") <= per_language).select("lang", "hash")
+    # of a text's copies one is taken, already before the shuffle
+    sample = rows.join(chosen, ["lang", "hash"], "left_semi").groupBy("lang", "hash").agg(F.min("text").alias("text")).select("text", "lang")
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         made = [(lang, x) for text, lang in zip(*(c.to_pylist() for c in batch.columns), strict=True) if (x := features(text)) is not None]
