@@ -38,3 +38,25 @@ def test_pipeline(spark, sf):
     own = bpe.MergeQueueEncoder.load(vocabulary())
     packed = corpus_pipeline.run(spark, sf).collect()
     assert sum(r["length"] for r in packed) == sum(len(own.encode(r["text"])) + 1 for r in fourth)
+
+
+def test_stages_on_nulls_repeats_and_clashing_columns(spark):
+    """Null ids and texts, repeated rows, and columns named like what the stages make."""
+    words = " ".join(f"w{i}" for i in range(60))
+    items = [(1, words + "\nthe same long line here"), (1, words + "\nthe same long line here"), (2, words + " x\nthe same long line here"), (3, None), (4, ""), (None, " ".join(f"v{i}" for i in range(50))), (5, "few")]
+    docs = spark.createDataFrame([(i, t, "en", "s", 0, "a", "b", "c", 9) for i, t in items], "doc_id long, text string, lang string, source string, n_chars long, n_dropped string, n_removed string, id string, component_id int")
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        docs = stage(spark, docs, "")
+        assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars", "n_dropped", "n_removed", "id", "component_id"], name
+        got = docs.collect()
+        assert {(r["n_dropped"], r["n_removed"], r["id"], r["component_id"]) for r in got} == {("a", "b", "c", 9)}
+        assert sorted(str(r["doc_id"]) for r in got) == (["1", "1", "2", "None"] if name in ("quality_rules", "repeated_lines") else ["1", "1", "None"]), name
+    packed = corpus_pipeline.packed_sequences(spark, docs, "").collect()
+    assert len(packed) == 3 and sum(r["length"] for r in packed) == sum(r["doc_tokens"] for r in packed)
+
+
+def test_stages_on_an_empty_table(spark):
+    docs = spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long")
+    for _, stage in corpus_pipeline.STAGES:
+        docs = stage(spark, docs, "")
+        assert docs.count() == 0
