@@ -1,7 +1,8 @@
 """A training corpus from `documents`: quality rules, line dedup, near duplicates, repeated passages, packing.
 
 Each stage takes what its predecessor kept and returns the columns of `documents`; the last returns the packed pieces.
-Rows that repeat a doc_id are one document and stay or go together. A stage on an empty table returns an empty one.
+Rows that repeat a doc_id are one document and stay or go together; a null doc_id is one document as well. A null text is an empty one,
+which the quality rules reject. Further columns come through all stages but the last, whatever their names. A stage on an empty table returns an empty one.
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tabqa.llm import jaccard_join, line_dedup, packing, quality, suffix_dedup
+from tabqa.llm.common import unused
 from tabqa.llm.queries import vocabulary
 from tabqa.session import shared_folder, ship_package, written
 
@@ -22,7 +24,7 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 def _documents(df: DataFrame, like: DataFrame) -> DataFrame:
     """The columns that came in, with n_chars told anew."""
-    return df.select(*(F.char_length("text").cast("bigint").alias("n_chars") if c == "n_chars" else F.col(c) for c in like.columns))
+    return df.select(*(F.char_length("text").cast("bigint").alias("n_chars") if c == "n_chars" else F.col(f"`{c}`") for c in like.columns))
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,7 +36,8 @@ def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 def repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without lines that a document of smaller id has; one of which no word is left goes."""
     ship_package(spark)
-    left = line_dedup.dedup_lines(docs).where((F.col("n_dropped") == 0) | F.col("text").rlike(r"[^\x20\x09-\x0D]"))
+    counts = unused(docs, "n_lines", "n_dropped")
+    left = line_dedup.dedup_lines(docs, counts=tuple(counts)).where((F.col(f"`{counts[1]}`") == 0) | F.col("text").rlike(r"[^\x20\x09-\x0D]"))
     return _documents(left, docs)
 
 
@@ -49,7 +52,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 def repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents without the bytes of 200-byte strings that stand anywhere else, to whole characters."""
     ship_package(spark)
-    return _documents(suffix_dedup.dedup_substrings(docs), docs)
+    return _documents(suffix_dedup.dedup_substrings(docs, counts=tuple(unused(docs, "n_bytes", "n_removed", "n_spans"))), docs)
 
 
 def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
