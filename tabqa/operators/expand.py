@@ -7,11 +7,13 @@ unfolding is one narrow stage.
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Iterator, Sequence
 from dataclasses import dataclass, field
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, StringType, StructField, StructType
 
 
 @dataclass(frozen=True)
@@ -66,7 +68,7 @@ def unfold(grids: DataFrame, registry: DataFrame, keep_missing: bool = True) ->
     vectors = F.expr(f"if(across * down > 0, transform(sequence(0, across * down - 1), p -> {_VECTOR}), cast(array() as array<array<string>>))")
     flat = sized.select("table_id", F.expr("size(side_cols) + size(band_rows) * if(band_width = 'all', pw, 1)").alias("key_width"), F.posexplode(vectors).alias("row_no", "values"))
     if not keep_missing:
-        flat = flat.where(F.exists(F.slice("values", F.col("key_width") + 1, 1 << 20), lambda v: v.isNotNull() & ~F.lower(F.trim(v)).isin("", "n/a", "na", "-", "–")))
+        flat = flat.where(F.exists(F.slice("values", F.col("key_width") + 1, F.size("values")), lambda v: v.isNotNull() & ~F.lower(F.trim(v)).isin("", "n/a", "na", "-", "–")))
     return flat.select("table_id", "row_no", "values")
 
 
@@ -80,7 +82,7 @@ def unfold_cells(cells: DataFrame, spec: FamilySpec) -> DataFrame:
     band = cells.where(F.col("r").isin(*spec.band_rows) & (F.col("c") >= spec.data_col) & ((F.col("c") - spec.data_col) % spec.pivot_w == 0))
     band = band.withColumn("j", F.floor((F.col("c") - spec.data_col) / spec.pivot_w).cast("int")).groupBy("table_id", "j").agg(F.transform(F.array_sort(F.collect_list(F.struct("r", "text"))), lambda x: x["text"]).alias("band"))
     last = cells.groupBy("table_id").agg(F.ceil((F.max("c") + 1 - spec.data_col) / spec.pivot_w).cast("int").alias("across"))
-    joined = pivots.join(side, ["table_id", "r"], "left").join(band, ["table_id", "j"], "left").join(F.broadcast(last), "table_id")
+    joined = pivots.join(side, ["table_id", "r"], "left").join(band, ["table_id", "j"], "left").join(last, "table_id")
     empty = F.array().cast("array<string>")
     return joined.select("table_id", ((F.col("r") - spec.data_row) * F.col("across") + F.col("j")).cast("int").alias("row_no"), F.concat(F.coalesce("side", empty), F.coalesce("band", empty), "pivot").alias("values"))
 
@@ -107,11 +109,29 @@ def fold(relation: DataFrame, table_id: str, side: Sequence[str], band: Sequence
 
 
 def unspan(raw: DataFrame) -> DataFrame:
-    """(…, grid) from (…, cells: array of r, c, rs, cs, text): a spanning cell's text at each place it covers."""
-    keys = [c for c in raw.columns if c != "cells"]
-    size = raw.withColumns({"height": F.aggregate("cells", F.lit(0), lambda h, x: F.greatest(h, x["r"] + x["rs"])), "width": F.aggregate("cells", F.lit(0), lambda w, x: F.greatest(w, x["c"] + x["cs"]))})
-    grid = F.expr("if(height * width > 0, transform(sequence(0, height - 1), i -> transform(sequence(0, width - 1), j -> get(filter(cells, x -> x.r <= i and i < x.r + x.rs and x.c <= j and j < x.c + x.cs), 0).text)), cast(array() as array<array<string>>))")
-    return size.select(*keys, grid.alias("grid"))
+    """(…, grid) from (…, cells: array of r, c, rs, cs, text): a spanning cell's text at each place it covers.
+
+    Each cell writes its own places, so the work is the size of the grid. Where cells overlap the first one stands.
+    """
+    keys = [f for f in raw.schema.fields if f.name != "cells"]
+    schema = StructType([*keys, StructField("grid", ArrayType(ArrayType(StringType())))])
+    names = schema.names
+
+    def grid_of(cells: list[dict] | None) -> list[list[str | None]]:
+        height = max((x["r"] + x["rs"] for x in cells or ()), default=0)
+        width = max((x["c"] + x["cs"] for x in cells or ()), default=0)
+        grid = [[None] * width for _ in range(height)]
+        for x in reversed(cells or ()):
+            for row in grid[x["r"] : x["r"] + x["rs"]]:
+                row[x["c"] : x["c"] + x["cs"]] = [x["text"]] * x["cs"]
+        return grid
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            grids = pa.array([grid_of(cells.as_py()) for cells in batch.column(len(keys))], pa.list_(pa.list_(pa.string())))
+            yield pa.RecordBatch.from_arrays([*batch.columns[: len(keys)], grids], names)
+
+    return raw.select(*(f.name for f in keys), "cells").mapInArrow(run, schema)
 
 
 def expanded_names(grid_row, spec: FamilySpec, labels: Sequence[str] | None = None) -> list[str]:

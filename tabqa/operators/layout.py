@@ -1,12 +1,18 @@
 """From a grid to its layout: header boundaries by masks, and features that don't depend on content.
 
-A grid is ARRAY<ARRAY<STRING>>, one row of a frame per table; all of this is higher-order functions, without a shuffle.
+A grid is ARRAY<ARRAY<STRING>>, one row of a frame per table. Masks and features are higher-order functions; the boundaries, which
+need counts from the end of a line on, are an Arrow pass over the masks. Nothing here shuffles.
 """
 
 from __future__ import annotations
 
+from collections import Counter
+from collections.abc import Callable, Iterable, Iterator
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import IntegerType, StructField, StructType
 
 from tabqa.functions.text import MISSING, mask_text
 
@@ -25,80 +31,104 @@ def _mask_or_null(cell: Column) -> Column:
     return F.when(F.lower(F.trim(cell)).isin(*MISSING) | cell.isNull(), F.lit(None)).otherwise(mask_text(cell))
 
 
-def _first_change(masks: Column, max_period: int, share: float) -> Column:
-    """First place where the mask changes and then repeats with the smallest period that fits; null where there is none."""
-    n = F.size(masks)
-    places = F.when(n > 1, F.sequence(F.lit(1), n - 1)).otherwise(F.array().cast("array<int>"))
+def first_change(masks: list[str], max_period: int, share: float) -> int | None:
+    """First place where the mask changes and then repeats with the smallest period that fits; None where there is none.
 
-    def repeats(i: Column, period: int) -> Column:
-        rest = F.sequence(i, n - 1 - period)
-        same = F.size(F.filter(rest, lambda k: F.get(masks, k) == F.get(masks, k + period)))
-        return F.when(n - period > i, (F.get(masks, i) == F.get(masks, i + period)) & (same >= share * F.size(rest))).otherwise(F.lit(False))
+    One pass from the end counts, for each period, how many of the later places repeat.
+    """
+    n, found = len(masks), None
+    same = [0] * (max_period + 1)
+    for i in range(n - 1, 0, -1):
+        fits = False
+        for p in range(1, max_period + 1):
+            if i + p < n:
+                again = masks[i] == masks[i + p]
+                same[p] += again
+                fits |= again and same[p] >= share * (n - p - i)
+        if fits and masks[i - 1] != masks[i]:
+            found = i
+    return found
 
-    found = F.filter(places, lambda i: (F.get(masks, i - 1) != F.get(masks, i)) & F.coalesce(_any([repeats(i, p) for p in range(1, max_period + 1)]), F.lit(False)))
-    return F.get(found, F.lit(0))
 
+def majority_start(masks: list[str], theta: float) -> int | None:
+    """First place where the mask changes and from which on it has at least the share theta."""
+    n, found = len(masks), None
+    later: Counter[str] = Counter()
+    for i in range(n - 1, 0, -1):
+        later[masks[i]] += 1
+        if masks[i - 1] != masks[i] and later[masks[i]] >= theta * (n - i):
+            found = i
+    return found
 
-def _any(conditions: list[Column]) -> Column:
-    out = conditions[0]
-    for c in conditions[1:]:
-        out = out | c
-    return out
 
+def vote(lines: Iterable[list[str | None]], place: Callable[[list[str]], int | None]) -> int:
+    """What most lines of cells say, ties to the smallest; lines without a place abstain, and 0 where all do. Missing cells don't count."""
+    votes: Counter[int] = Counter()
+    for line in lines:
+        held = [(i, m) for i, m in enumerate(line) if m is not None]
+        at = place([m for _, m in held])
+        if at is not None:
+            votes[held[at][0]] += 1
+    return min(votes, key=lambda v: (-votes[v], v), default=0)
 
-def _majority_start(masks: Column, theta: float) -> Column:
-    """First place where the mask changes and from which on it has at least the share theta."""
-    n = F.size(masks)
-    places = F.when(n > 1, F.sequence(F.lit(1), n - 1)).otherwise(F.array().cast("array<int>"))
 
-    def share(i: Column) -> Column:
-        rest = F.slice(masks, i + 1, n - i)
-        return F.size(F.filter(rest, lambda x: x == F.get(masks, i))) / F.size(rest)
+SIDES = ("top", "left", "bottom", "right")
 
-    return F.get(F.filter(places, lambda i: (F.get(masks, i - 1) != F.get(masks, i)) & (share(i) >= theta)), F.lit(0))
 
+def masks_of(grid: Column) -> Column:
+    """The grid of the cells' masks, null for missing ones."""
+    return F.transform(grid, lambda row: F.transform(row, _mask_or_null))
 
-def data_start(grid: Column, rule: str = "repeat", theta: float = 0.8, max_period: int = 3, share: float = 0.5) -> Column:
-    """First data row: each column votes for where its masks change and then repeat; ties go to the smallest, none gives 0."""
-    columns = F.transform(transpose(grid), lambda column: F.filter(F.transform(column, lambda c, i: F.struct(i.alias("i"), _mask_or_null(c).alias("m"))), lambda x: x["m"].isNotNull()))
-    if rule == "majority":
-        place = lambda c: _majority_start(F.transform(c, lambda x: x["m"]), theta)
-    elif rule == "repeat":
-        place = lambda c: _first_change(F.transform(c, lambda x: x["m"]), max_period, share)
-    else:
+
+def with_starts(grids: DataFrame, names: dict[str, str], rule: str = "repeat", theta: float = 0.8, max_period: int = 3, share: float = 0.5) -> DataFrame:
+    """Adds, under the names given for some sides, how many header rows or columns each grid has there. Linear in the grid.
+
+    On a side each line of cells votes for where its masks change and then repeat; ties go to the smallest, none gives 0.
+    """
+    if rule not in ("repeat", "majority"):
         raise ValueError(f"no such rule: {rule}")
-    # the place among cells that aren't missing, back to the row
-    votes = F.filter(F.transform(columns, lambda c: F.when(place(c).isNotNull(), F.get(c, place(c))["i"])), lambda v: v.isNotNull())
-    counted = F.transform(F.array_distinct(votes), lambda v: F.struct((-F.size(F.filter(votes, lambda x: x == v))).alias("n"), v.alias("v")))
-    return F.coalesce(F.get(F.array_sort(counted), F.lit(0))["v"], F.lit(0))
+
+    def place(line: list[str]) -> int | None:
+        return majority_start(line, theta) if rule == "majority" else first_change(line, max_period, share)
+
+    def found(grid: list[list[str | None]] | None, side: str) -> int:
+        rows = grid or []
+        width = max(map(len, rows), default=0)
+        lines = [[*row, *[None] * (width - len(row))] for row in rows]
+        lines = lines if side in ("left", "right") else [list(column) for column in zip(*lines, strict=True)]
+        return vote((line[::-1] for line in lines) if side in ("bottom", "right") else lines, place)
+
+    out = StructType([*grids.schema.fields, *(StructField(name, IntegerType()) for name in names.values())])
+    columns = out.names
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            masks = batch.column(batch.num_columns - 1).to_pylist()
+            counts = [pa.array([found(grid, side) for grid in masks], pa.int32()) for side in names]
+            yield pa.RecordBatch.from_arrays([*batch.columns[:-1], *counts], columns)
+
+    return grids.withColumn("__masks", masks_of(F.col("grid"))).mapInArrow(run, out)
 
 
 def find_data_start(grids: DataFrame, rule: str = "repeat", transposed: bool = False, backwards: bool = False, name: str = "data_row", **options) -> DataFrame:
     """Adds the number of header rows (columns with `transposed`) at the top (bottom with `backwards`)."""
-    grid = F.col("grid")
-    if transposed:
-        grid = transpose(grid)
-    if backwards:
-        grid = F.reverse(grid)
-    return grids.withColumn(name, data_start(grid, rule, **options))
+    side = {(False, False): "top", (True, False): "left", (False, True): "bottom", (True, True): "right"}[transposed, backwards]
+    return with_starts(grids, {side: name}, rule, **options)
 
 
 def layout_features(grids: DataFrame, spans: str | None = None) -> DataFrame:
     """f1..f9 as doubles: header rows and columns, repeats of the last header row's group, spanning headers, empty corner cells,
     header rows below and columns right, numeric share of the plain area, and the mask period down the plain columns."""
-    out = find_data_start(grids, name="f1")
-    out = find_data_start(out, transposed=True, name="f2")
-    out = find_data_start(out, backwards=True, name="f6")
-    out = find_data_start(out, transposed=True, backwards=True, name="f7")
+    out = with_starts(grids, {"top": "f1", "left": "f2", "bottom": "f6", "right": "f7"})
     grid = F.col("grid")
-    header = F.when(F.col("f1") > 0, F.filter(F.slice(F.get(grid, F.col("f1") - 1), F.col("f2") + 1, 1 << 20), lambda c: c.isNotNull())).otherwise(F.array().cast("array<string>"))
+    header = F.when(F.col("f1") > 0, F.filter(F.slice(F.get(grid, F.col("f1") - 1), F.col("f2") + 1, F.size(F.get(grid, F.col("f1") - 1))), lambda c: c.isNotNull())).otherwise(F.array().cast("array<string>"))
     n = F.size(header)
     periods = F.when(n > 0, F.sequence(F.lit(1), n)).otherwise(F.array().cast("array<int>"))
     period = F.get(F.filter(periods, lambda p: (n % p == 0) & F.forall(F.sequence(F.lit(0), n - 1), lambda i: F.get(header, i) == F.get(header, i % p))), F.lit(0))
     corner = F.flatten(F.transform(F.slice(grid, 1, F.greatest(F.col("f1"), F.lit(0))), lambda row: F.slice(row, 1, F.col("f2"))))
     top = F.slice(grid, 1, F.greatest(F.col("f1") - 1, F.lit(0)))
     spanning = F.exists(top, lambda row: F.exists(F.sequence(F.lit(1), F.greatest(F.size(row) - 1, F.lit(1))), lambda j: F.coalesce((F.get(row, j) == F.get(row, j - 1)) & (F.trim(F.get(row, j)) != ""), F.lit(False))))
-    plain = F.transform(F.slice(grid, F.col("f1") + 1, 1 << 20), lambda row: F.slice(row, F.col("f2") + 1, 1 << 20))
+    plain = F.transform(F.slice(grid, F.col("f1") + 1, F.size(grid)), lambda row: F.slice(row, F.col("f2") + 1, F.size(row)))
     cells = F.filter(F.flatten(plain), lambda c: c.isNotNull())
     numeric = F.size(F.filter(cells, lambda c: c.rlike(r"^[+-]?\d+([.,]\d+)?$"))) / F.greatest(F.size(cells), F.lit(1))
     masks = F.transform(transpose(plain), lambda column: F.transform(column, lambda c: mask_text(F.coalesce(c, F.lit("")))))

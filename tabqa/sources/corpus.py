@@ -7,7 +7,7 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tabqa.operators.expand import FamilySpec, family_registry, fold
@@ -69,6 +69,28 @@ LABELS = {
     "pair_codes": ["Brand", "Nation", "Code"], "limits": ["Size Code", None, None, "Code", None, "Min", "Nom", "Max"], "trade": ["Nation", "Year", None, "Quantity", "Value"],
     "zones": ["Nation", "Zone"], "zone_counts": ["Code", "Zone", "Pairs"],
 }
+#: The grids of the handbook, cell by cell, as SQL over the relations above; the last CTEs of a WITH clause.
+CELLS_SQL = """
+zone_order AS (SELECT *, row_number() OVER (ORDER BY nation, zone) AS r FROM zones),
+count_order AS (SELECT *, row_number() OVER (ORDER BY code, zone, CAST(pairs AS VARCHAR)) AS r FROM zone_counts),
+brands AS (SELECT brand, row_number() OVER (ORDER BY brand) AS r FROM (SELECT DISTINCT brand FROM pair_codes)),
+pair_nations AS (SELECT nation, row_number() OVER (ORDER BY nation) AS c FROM (SELECT DISTINCT nation FROM pair_codes)),
+sizes AS (SELECT size_code, 3 + row_number() OVER (ORDER BY size_code) AS r FROM (SELECT DISTINCT size_code FROM limits)),
+codes AS (SELECT code, 3 * row_number() OVER (ORDER BY code) - 2 AS c FROM (SELECT DISTINCT code FROM limits)),
+traders AS (SELECT nation, 1 + row_number() OVER (ORDER BY nation) AS r FROM (SELECT DISTINCT nation FROM trade)),
+years AS (SELECT yr, 2 * row_number() OVER (ORDER BY CAST(yr AS VARCHAR)) - 1 AS c FROM (SELECT DISTINCT yr FROM trade)),
+limit_cells AS (SELECT s.r, c.c + k AS c, coalesce(CAST(CASE k WHEN 0 THEN l.min WHEN 1 THEN l.nom ELSE l.max END AS VARCHAR), 'n/a') AS txt FROM sizes s CROSS JOIN codes c CROSS JOIN (SELECT unnest(range(3)) AS k) LEFT JOIN limits l ON l.size_code = s.size_code AND l.code = c.code),
+trade_cells AS (SELECT s.r, y.c + k AS c, coalesce(CAST(CASE k WHEN 0 THEN t.qty ELSE t.cents END AS VARCHAR), 'n/a') AS txt FROM traders s CROSS JOIN years y CROSS JOIN (SELECT unnest(range(2)) AS k) LEFT JOIN trade t ON t.nation = s.nation AND t.yr = y.yr),
+pair_cells AS (SELECT b.r, n.c, coalesce(p.code, 'n/a') AS txt FROM brands b CROSS JOIN pair_nations n LEFT JOIN pair_codes p ON p.brand = b.brand AND p.nation = n.nation),
+cells AS (
+SELECT 'zones' AS table_id, CAST(0 AS BIGINT) AS r, CAST(0 AS BIGINT) AS c, 'Nation' AS txt UNION ALL SELECT 'zones', 0, 1, 'Zone' UNION ALL SELECT 'zones', r, 0, nation FROM zone_order UNION ALL SELECT 'zones', r, 1, zone FROM zone_order
+UNION ALL SELECT 'zone_counts', 0, 0, 'Code' UNION ALL SELECT 'zone_counts', 0, 1, 'Zone' UNION ALL SELECT 'zone_counts', 0, 2, 'Pairs' UNION ALL SELECT 'zone_counts', r, 0, code FROM count_order UNION ALL SELECT 'zone_counts', r, 1, zone FROM count_order UNION ALL SELECT 'zone_counts', r, 2, CAST(pairs AS VARCHAR) FROM count_order
+UNION ALL SELECT 'pair_codes', 0, 0, '' UNION ALL SELECT 'pair_codes', 0, c, nation FROM pair_nations UNION ALL SELECT 'pair_codes', r, 0, brand FROM brands UNION ALL SELECT 'pair_codes', r, c, txt FROM pair_cells
+UNION ALL SELECT 'limits', unnest(range(4)), 0, '' UNION ALL SELECT 'limits', 0, c + k, 'Limits of quantity' FROM codes, (SELECT unnest(range(3)) AS k) UNION ALL SELECT 'limits', 1, c + k, 'Class' FROM codes, (SELECT unnest(range(3)) AS k)
+UNION ALL SELECT 'limits', 2, c + k, code FROM codes, (SELECT unnest(range(3)) AS k) UNION ALL SELECT 'limits', 3, c + k, ['Min', 'Nom', 'Max'][k + 1] FROM codes, (SELECT unnest(range(3)) AS k) UNION ALL SELECT 'limits', r, 0, size_code FROM sizes UNION ALL SELECT 'limits', r, c, txt FROM limit_cells
+UNION ALL SELECT 'trade', unnest(range(2)), 0, '' UNION ALL SELECT 'trade', 0, c + k, CAST(yr AS VARCHAR) FROM years, (SELECT unnest(range(2)) AS k) UNION ALL SELECT 'trade', 1, c + k, ['Quantity', 'Value'][k + 1] FROM years, (SELECT unnest(range(2)) AS k)
+UNION ALL SELECT 'trade', r, 0, nation FROM traders UNION ALL SELECT 'trade', r, c, txt FROM trade_cells)"""
+
 #: Layout families of the handbook and the training grids.
 FAMILIES = (
     FamilySpec("pair_matrix", data_row=1, data_col=1, side_cols=(0,), band_rows=(0,), pivot_w=1),
@@ -135,13 +157,16 @@ def training_grids(spark: SparkSession, sf_dir: str) -> DataFrame:
     add("trade_matrix", fold(spread(trade(spark, sf_dir), 15, "nation"), "i", ["nation"], ["yr"], ["qty", "cents"], ["Quantity", "Value"]))
     nation = table(spark, sf_dir, "nation").withColumn("code", F.concat(F.lit("N"), F.lpad(F.col("n_nationkey").cast("string"), 3, "0")))
     add("plain_listing", listing(spread(nation, 20, "n_name"), "i", ["n_name", "code", "n_nationkey"], ["Nation", "Code", "Key"]))
-    customer = table(spark, sf_dir, "customer").where("c_custkey <= 120").withColumn("cents", F.round(F.col("c_acctbal") * 100).cast("bigint"))
+    # a printed list: the six greatest balances of some nations
+    customer = table(spark, sf_dir, "customer").withColumn("cents", F.round(F.col("c_acctbal") * 100).cast("bigint")).withColumn("i", F.col("c_nationkey") % 20)
+    greatest = Window.partitionBy("i").orderBy(F.desc("cents"), "c_custkey")
+    customer = customer.withColumn("place", F.row_number().over(greatest)).where("place <= 6")
     columns = F.sort_array(F.collect_list(F.array("c_name", F.col("c_nationkey").cast("string"), F.col("cents").cast("string"))))
-    named = customer.withColumn("i", (F.col("c_custkey") % 20).cast("int")).groupBy("i").agg(columns.alias("people"))
+    named = customer.groupBy("i").agg(columns.alias("people"))
     grid = F.expr("transform(sequence(0, 2), r -> concat(array(array('Name', 'Country', 'Balance')[r]), transform(people, p -> p[r])))")
     add("vertical_listing", named.select(F.col("i").alias("table_id"), grid.alias("grid")))
     events = table(spark, sf_dir, "events").groupBy(F.to_date("ts").alias("day"), "event_type").agg(F.count(F.lit(1)).alias("n"), F.max(F.round(F.col("value") * 100).cast("bigint")).alias("top"))
-    tall = events.withColumn("i", F.pmod(F.xxhash64("day"), F.lit(5)).cast("int") * 3).withColumn("i", F.explode(F.sequence("i", F.col("i") + 2)))
+    tall = events.withColumn("i", F.pmod(F.unix_date("day"), F.lit(5)).cast("int") * 3).withColumn("i", F.explode(F.sequence("i", F.col("i") + 2)))
     flat = fold(tall, "i", ["day"], ["event_type"], ["n", "top"])  # two cells side by side, to be set one above the other
     high = F.expr("flatten(transform(grid, (row, k) -> if(k = 0, array(concat(array(row[0]), transform(sequence(0, cast((size(row) - 1) / 2 as int) - 1), j -> row[1 + 2 * j]))), transform(sequence(0, 1), h -> concat(array(row[0]), transform(sequence(0, cast((size(row) - 1) / 2 as int) - 1), j -> if(h = 0, row[1 + 2 * j], concat('max ', row[2 + 2 * j]))))))))")
     add("tall_pivot", flat.withColumn("grid", high))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 from collections.abc import Iterator
 from html.parser import HTMLParser
 
@@ -9,7 +10,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 
 CELLS = "array<struct<r:int,c:int,rs:int,cs:int,text:string,is_th:boolean>>"
-MOST_SPAN = 1000
+#: The HTML standard's bound of a colspan. A rowspan ends with its group of rows at the latest, so it needs none; 0 means just that.
+MOST_COLUMNS = 1000
 
 
 class TableParser(HTMLParser):
@@ -26,28 +28,37 @@ class TableParser(HTMLParser):
             if self.open and self.nested == "text":
                 self.open[-1]["depth"] += 1
             else:
-                self.open.append({"depth": 0, "rows": [], "caption": "", "cell": None, "in_caption": False})
+                self.open.append({"depth": 0, "rows": [], "groups": [], "group": 0, "caption": "", "cell": None, "in_caption": False})
         if not self.open or self.open[-1]["depth"]:
             return
         now = self.open[-1]
         if tag == "caption":
             now["in_caption"] = True
+        elif tag in ("thead", "tbody", "tfoot"):
+            self.end_cell(now)
+            now["group"] += 1
         elif tag == "tr":
             self.end_cell(now)
-            now["rows"].append([])
+            self.begin_row(now)
         elif tag in ("td", "th"):
             self.end_cell(now)
-            if not now["rows"]:
-                now["rows"].append([])
+            if not now["rows"] or now["groups"][-1] != now["group"]:
+                self.begin_row(now)
             held = dict(attrs)
-            now["cell"] = [self.span(held.get("rowspan")), self.span(held.get("colspan")), [], tag == "th"]
+            now["cell"] = [self.span(held.get("rowspan"), 0), min(MOST_COLUMNS, self.span(held.get("colspan"), 1)), [], tag == "th"]
         elif tag == "br" and now["cell"]:
             now["cell"][2].append(" ")
 
     @staticmethod
-    def span(text: str | None) -> int:
-        digits = "".join(c for c in (text or "") if c.isdigit())
-        return min(MOST_SPAN, max(1, int(digits))) if digits else 1
+    def span(text: str | None, least: int) -> int:
+        """The number a span begins with, at least `least`; 1 where there is none. No table has more than so many rows."""
+        digits = re.match(r"\s*\+?(\d{1,9})", text or "")
+        return max(least, int(digits[1])) if digits else 1
+
+    @staticmethod
+    def begin_row(now):
+        now["rows"].append([])
+        now["groups"].append(now["group"])
 
     @staticmethod
     def end_cell(now):
@@ -72,6 +83,9 @@ class TableParser(HTMLParser):
                 now["in_caption"] = False
             elif tag in ("td", "th", "tr"):
                 self.end_cell(now)
+            elif tag in ("thead", "tbody", "tfoot"):
+                self.end_cell(now)
+                now["group"] += 1
 
     def handle_data(self, data):
         if self.skip or not self.open:
@@ -90,13 +104,18 @@ class TableParser(HTMLParser):
             self.done.append(self.open.pop())
         out = []
         for found in self.done:
-            taken, cells = set(), []
+            cells = []
+            ends = {g: r + 1 for r, g in enumerate(found["groups"])}  # where each group of rows ends
+            covered: dict[int, int] = {}  # column: the row up to which a cell above covers it
             for r, row in enumerate(found["rows"]):
                 c = 0
                 for rs, cs, parts, head in row:
-                    while (r, c) in taken:
+                    while covered.get(c, 0) > r:
                         c += 1
-                    taken.update((r + i, c + j) for i in range(rs) for j in range(cs))
+                    left = ends[found["groups"][r]] - r
+                    rs = min(rs, left) if rs else left
+                    for j in range(cs):
+                        covered[c + j] = max(covered.get(c + j, 0), r + rs)
                     cells.append({"r": r, "c": c, "rs": rs, "cs": cs, "text": " ".join("".join(parts).split()), "is_th": head})
                     c += cs
             out.append((" ".join(found["caption"].split()), cells))
