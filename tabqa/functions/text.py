@@ -51,6 +51,11 @@ def qgrams(text: Column, q: int = 2) -> Column:
     return F.array_distinct(F.transform(places, lambda i: F.substring(padded, i, q)))
 
 
+def most_edits(length: Column, tau: float) -> Column:
+    """How many edits a likeness of tau allows to texts of which the longer has this length."""
+    return F.floor(length * F.lit(1 - tau) + F.lit(1e-9)).cast("int")
+
+
 def match_score(asked: Column, held: Column, mode: str = "edit", tau: float = TAU) -> Column:
     """Likeness of two normalised texts: 1 for equal ones, 0 for no match, between tau and 1 for a fuzzy match.
 
@@ -64,12 +69,10 @@ def match_score(asked: Column, held: Column, mode: str = "edit", tau: float = TA
         fuzzy = F.lit(0.0)
     elif mode == "edit":
         longest = F.greatest(F.length(asked), F.length(held))
-        if tau < 1:
-            distance = F.levenshtein(asked, held)
-            share = 1 - distance / F.greatest(longest, F.lit(1))
-        else:
-            share = F.lit(0.0)
-        fuzzy = F.when(share >= tau, share).otherwise(0.0)
+        # no more of the distance is computed than tau allows; beyond it the function gives -1
+        distance = F.call_function("levenshtein", asked, held, most_edits(longest, tau))
+        share = 1 - distance / F.greatest(longest, F.lit(1))
+        fuzzy = F.when((distance >= 0) & (share >= tau) & (share < 1), share).otherwise(0.0)
     elif mode == "token":
         wanted = tokens_of(asked)
         share = F.size(F.array_intersect(wanted, tokens_of(held))) / F.greatest(F.size(wanted), F.lit(1))

@@ -16,10 +16,10 @@ def word_tokens(text: Column) -> Column:
 def keyword_search(docs: DataFrame, terms: DataFrame, k: int = 10, every: bool = False) -> DataFrame:
     """(query_id, rank, doc_id, n): documents by how many distinct terms of (query_id, term) they hold; with `every`, all."""
     asked = terms.select("query_id", F.lower("term").alias("term")).distinct()
-    words = docs.select("doc_id", F.explode(F.array_distinct(word_tokens(F.col("text")))).alias("term")).join(F.broadcast(asked), "term")
+    words = docs.select("doc_id", F.explode(F.array_distinct(word_tokens(F.col("text")))).alias("term")).join(asked, "term")
     found = words.groupBy("query_id", "doc_id").agg(F.count(F.lit(1)).alias("n"))
     if every:
-        found = found.join(F.broadcast(asked.groupBy("query_id").agg(F.count(F.lit(1)).alias("n"))), ["query_id", "n"])
+        found = found.join(asked.groupBy("query_id").agg(F.count(F.lit(1)).alias("n")), ["query_id", "n"])
     order = Window.partitionBy("query_id").orderBy(F.desc("n"), "doc_id")
     return found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "doc_id", "n")
 
@@ -27,29 +27,29 @@ def keyword_search(docs: DataFrame, terms: DataFrame, k: int = 10, every: bool =
 def keyword_tfidf(docs: DataFrame, terms: DataFrame, k: int = 10) -> DataFrame:
     """(query_id, rank, doc_id, score): the sum of term frequency times ln(documents / documents with the term)."""
     asked = terms.select("query_id", F.lower("term").alias("term")).distinct()
-    counts = docs.select("doc_id", F.explode(word_tokens(F.col("text"))).alias("term")).join(F.broadcast(asked.select("term").distinct()), "term").groupBy("doc_id", "term").agg(F.count(F.lit(1)).alias("tf"))
+    counts = docs.select("doc_id", F.explode(word_tokens(F.col("text"))).alias("term")).join(asked.select("term").distinct(), "term").groupBy("doc_id", "term").agg(F.count(F.lit(1)).alias("tf"))
     total = docs.agg(F.count(F.lit(1)).alias("total"))
     idf = counts.groupBy("term").agg(F.count(F.lit(1)).alias("df")).crossJoin(F.broadcast(total)).select("term", F.ln(F.col("total") / F.col("df")).alias("idf"))
-    scored = counts.join(F.broadcast(idf), "term").join(F.broadcast(asked), "term").groupBy("query_id", "doc_id").agg(F.round(F.sum(F.col("tf") * F.col("idf")), 6).alias("score"))
+    scored = counts.join(idf, "term").join(asked, "term").groupBy("query_id", "doc_id").agg(F.round(F.sum(F.col("tf") * F.col("idf")), 6).alias("score"))
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "doc_id")
     return scored.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "doc_id", "score")
 
 
 def scan_cost(grids: DataFrame, wanted: DataFrame) -> DataFrame:
-    """(query_id, cells_read): cells a reader passes, table after table and row after row, until the wanted row (query_id,
+    """(query_id, cells_read): cells a reader of a document passes, table after table and row after row, until the wanted row (query_id,
     table_id, row) has been read."""
-    sizes = grids.select("table_id", F.size("grid").alias("rows"), F.aggregate("grid", F.lit(0), lambda s, r: s + F.size(r)).alias("cells"), F.transform("grid", lambda r: F.size(r)).alias("widths"))
-    before = sizes.select(F.col("table_id").alias("other"), F.col("cells").alias("other_cells"))
-    earlier = wanted.join(F.broadcast(before), F.col("other") < F.col("table_id"), "left").groupBy("query_id", "table_id", "row").agg(F.coalesce(F.sum("other_cells"), F.lit(0)).alias("passed"))
-    own = F.aggregate(F.slice("widths", 1, F.col("row") + 1), F.lit(0), lambda s, w: s + w)
-    return earlier.join(F.broadcast(sizes), "table_id").select("query_id", (F.col("passed") + own).alias("cells_read"))
+    sizes = grids.select("doc_id", "table_id", F.aggregate("grid", F.lit(0).cast("bigint"), lambda s, r: s + F.size(r)).alias("cells"), F.transform("grid", lambda r: F.size(r)).alias("widths"))
+    before = Window.partitionBy("doc_id").orderBy("table_id").rowsBetween(Window.unboundedPreceding, -1)
+    passed = sizes.withColumn("passed", F.coalesce(F.sum("cells").over(before), F.lit(0)))
+    own = F.aggregate(F.slice("widths", 1, F.col("row") + 1), F.lit(0).cast("bigint"), lambda s, w: s + w)
+    return wanted.join(passed, "table_id").select("query_id", (F.col("passed") + own).alias("cells_read"))
 
 
 def semantic_header_start(grids: DataFrame, vocabulary: DataFrame) -> DataFrame:
     """(table_id, header_rows): leading rows of which a word is in the vocabulary; the baseline that needs the words' meaning."""
     rows = grids.select("table_id", F.size("grid").alias("height"), F.posexplode("grid").alias("r", "row"))
     words = rows.select("table_id", "height", "r", F.explode(F.array_distinct(word_tokens(F.array_join("row", " ")))).alias("word"))
-    known = words.join(F.broadcast(vocabulary), "word").select("table_id", "r").distinct()
+    known = words.join(vocabulary, "word").select("table_id", "r").distinct()
     heads = rows.select("table_id", "height", "r").join(known.withColumn("known", F.lit(True)), ["table_id", "r"], "left")
     first = heads.where("known IS NULL").groupBy("table_id").agg(F.min("r").alias("header_rows"))
     return grids.select("table_id", F.size("grid").alias("height")).join(first, "table_id", "left").select("table_id", F.coalesce("header_rows", "height").alias("header_rows"))
@@ -63,6 +63,12 @@ def row_set_pr(got: DataFrame, want: DataFrame) -> DataFrame:
     return hit.crossJoin(n_got).crossJoin(n_want).select((F.col("hit") / F.col("n_got")).alias("precision"), (F.col("hit") / F.col("n_want")).alias("recall"))
 
 
+def deps_pr(got: DataFrame, want: DataFrame) -> DataFrame:
+    """One row: precision and recall of found dependencies against the true ones, told by (table_id, lhs, rhs) with sorted attributes."""
+    columns = ["table_id", "lhs", "rhs"]
+    return row_set_pr(got.select(*columns), want.select(*columns))
+
+
 def answer_quality(got: DataFrame, want: DataFrame, k: int = 10) -> DataFrame:
     """One row over (query_id, rank, row_id) and (query_id, row_id): hit rate at k and mean reciprocal rank."""
     first = got.join(want, ["query_id", "row_id"]).where(F.col("rank") <= k).groupBy("query_id").agg(F.min("rank").alias("first"))
