@@ -6,14 +6,17 @@ Candidate lattices are metadata and live on the driver; counting is Spark's. Eve
 from __future__ import annotations
 
 from collections.abc import Sequence
+from dataclasses import replace
 from functools import reduce
 from itertools import combinations
 
+import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tabqa.operators.store import Store
+from tabqa.session import written
 
 
 def project(df: DataFrame, attrs: Sequence[str]) -> DataFrame:
@@ -23,7 +26,7 @@ def project(df: DataFrame, attrs: Sequence[str]) -> DataFrame:
 
 def _distinct(attrs: Sequence[str]):
     """Number of distinct tuples, nulls being values."""
-    return F.count_distinct(F.struct(*(F.struct(F.col(a).isNull().alias("n"), F.col(a).alias("v")) for a in attrs)))
+    return F.count_distinct(F.struct(*(F.struct(F.col(f"`{a}`").isNull().alias("n"), F.col(f"`{a}`").alias("v")) for a in attrs)))
 
 
 # Functional dependencies and keys ------------------------------------------------------------------------------------
@@ -45,30 +48,58 @@ def is_key(df: DataFrame, attrs: Sequence[str]) -> bool:
     return found["n"] == found["d"]
 
 
-def minimal_keys(df: DataFrame, max_size: int = 3, attrs: Sequence[str] | None = None, approx: bool = False) -> list[tuple[str, ...]]:
-    """All minimal keys up to a size, level by level; no superset of a key is tried.
+#: Sets counted in one scan.
+COUNTED_AT_ONCE = 64
+#: Size of an estimating sketch (its logarithm), its relative error, and by how many of them a set may fall short before it is counted exactly.
+SKETCH_LOG, ESTIMATE_ERROR, ESTIMATE_MARGIN = 13, 0.01, 5
 
-    With `approx`, candidates whose estimated count is far below the number of rows are dropped before the exact
-    count. Of a table with at most one row every single attribute is reported.
+
+def _hash_of(attrs: Sequence[str], seed: int = 0) -> Column:
+    """64 bits of a tuple, nulls being values."""
+    return F.xxhash64(F.lit(seed), *(x for a in attrs for x in (F.col(f"`{a}`").isNull(), F.col(f"`{a}`"))))
+
+
+def minimal_keys(df: DataFrame, max_size: int | None = None, attrs: Sequence[str] | None = None, approx: bool = True) -> list[tuple[str, ...]]:
+    """All minimal keys (up to a size, if one is given), level by level; a set is tried only if none of its parts is a key.
+
+    Each level is a scan or a few: the sets' distinct counts are estimated by sketches, many at once, and only sets whose estimate comes
+    within a margin of the number of rows are counted, by digests of 128 bits. Without `approx` all are. The search ends where every set of a level
+    is a key or holds one. Of a table with at most one row every single attribute is reported.
     """
     attrs = list(attrs or df.columns)
-    rows = df.select(*attrs).distinct().persist()
+    rows = df.select(*(F.col(f"`{a}`") for a in attrs)).distinct().persist()
     try:
         n, keys = rows.count(), []
-        for size in range(1, max_size + 1):
-            asked = [c for c in combinations(attrs, size) if not any(set(k) <= set(c) for k in keys)]
-            if approx and asked:
-                rough = rows.agg(*(F.approx_count_distinct(F.struct(*c), 0.01).alias(f"c{i}") for i, c in enumerate(asked))).first()
-                asked = [c for i, c in enumerate(asked) if rough[i] * 1.04 + 4 >= n]
-            for at in range(0, len(asked), 16):  # each distinct set copies the rows, so a few at a time
-                part = asked[at : at + 16]
-                found = rows.agg(*(_distinct(c).alias(f"c{i}") for i, c in enumerate(part))).first() if n > 1 else [n] * len(part)
-                keys += [c for i, c in enumerate(part) if found[i] == n]
+        if n <= 1:
+            return [(a,) for a in attrs]
+        asked = [(a,) for a in attrs]
+        while asked and (max_size is None or len(asked[0]) <= max_size):
+            near = asked
+            if approx:
+                near = []
+                for at in range(0, len(asked), COUNTED_AT_ONCE):
+                    part = asked[at : at + COUNTED_AT_ONCE]
+                    rough = rows.agg(*(F.hll_sketch_estimate(F.hll_sketch_agg(_hash_of(c), SKETCH_LOG)).alias(f"c{i}") for i, c in enumerate(part))).first()
+                    near += [c for i, c in enumerate(part) if rough[i] * (1 + ESTIMATE_MARGIN * ESTIMATE_ERROR) + 4 >= n]
+            found = []
+            for at in range(0, len(near), 24):  # each distinct set copies the rows, so a few at a time, as digests of 128 bits
+                part = near[at : at + 24]
+                counts = rows.agg(*(F.count_distinct(_hash_of(c), _hash_of(c, 7)).alias(f"c{i}") for i, c in enumerate(part))).first()
+                found += [c for i, c in enumerate(part) if counts[i] == n]
+            keys += found
+            asked = _next_level(set(asked) - set(found), attrs)
         return keys
     finally:
         rows.unpersist()
 
 
+def _next_level(rest: set[tuple[str, ...]], attrs: Sequence[str]) -> list[tuple[str, ...]]:
+    """The sets of one attribute more all of whose parts are in `rest`."""
+    place = {a: i for i, a in enumerate(attrs)}
+    larger = [(*c, a) for c in rest for a in attrs[place[c[-1]] + 1 :]]
+    return sorted((c for c in larger if all(c[:i] + c[i + 1 :] in rest for i in range(len(c)))), key=lambda c: [place[a] for a in c])
+
+
 def find_fds(df: DataFrame, max_lhs: int = 2, attrs: Sequence[str] | None = None) -> list[tuple[tuple[str, ...], str]]:
     """Minimal functional dependencies with one attribute on the right: X gives A when X and X with A count the same."""
     attrs = list(attrs or df.columns)
@@ -93,52 +124,163 @@ def find_fds(df: DataFrame, max_lhs: int = 2, attrs: Sequence[str] | None = None
         rows.unpersist()
 
 
-def minimal_keys_batch(cells: DataFrame, max_size: int | None = None) -> DataFrame:
-    """(table_id, key_id, attr_id, is_composite): minimal keys of many printed tables, each lattice in one task.
+#: Sets of one size that a printed table's search looks at; a table with more is told to be incomplete.
+MOST_SETS = 20_000
+
+
+def _codes(group: pd.DataFrame) -> tuple[list[str], np.ndarray]:
+    """A table's attributes, and its distinct rows with each value as a number; a missing cell is a value."""
+    wide = group.pivot_table(index="row_id", columns="attr_id", values="val_norm", aggfunc="first", dropna=False).fillna("\x00").drop_duplicates()
+    attrs = sorted(wide.columns)
+    return attrs, np.stack([np.unique(wide[a].to_numpy(str), return_inverse=True)[1] for a in attrs], 1) if len(attrs) else np.zeros((0, 0), int)
+
+
+def _n_tuples(codes: np.ndarray, places: Sequence[int]) -> int:
+    """Distinct tuples of some columns of codes."""
+    number = np.zeros(len(codes), np.int64)
+    for i in places:
+        number = np.unique(number * (int(codes[:, i].max()) + 1) + codes[:, i], return_inverse=True)[1] if len(codes) else number
+    return int(number.max()) + 1 if len(codes) else 0
+
+
+def minimal_keys_batch(cells: DataFrame, max_size: int | None = None, eps: float = 0.0) -> DataFrame:
+    """(table_id, key_id, attr_id, is_composite, is_minimal, is_complete): minimal keys of many printed tables, each lattice in one task.
 
     A printed table is one document's page or so; its values come as codes. All minimal keys are found, or those up to
-    `max_size`; a table that has none so small gets one larger minimal key.
+    `max_size`; a search that comes to more than MOST_SETS sets of a size stops there. `is_complete` tells of a table that its search
+    wasn't cut so. A table that has no key so small gets one larger minimal key. With `eps` a set is a key if deleting that share of the
+    rows makes it one.
     """
 
     def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
-        wide = group.pivot_table(index="row_id", columns="attr_id", values="val_norm", aggfunc="first", dropna=False).fillna("\x00").drop_duplicates()
-        attrs, n = sorted(wide.columns), len(wide)
-        tells = lambda c: n <= 1 or len(wide.drop_duplicates(list(c))) == n
-        keys, asked = [], [(a,) for a in attrs]
+        attrs, codes = _codes(group)
+        n = len(codes)
+        tells = lambda c: n <= 1 or _n_tuples(codes, c) >= n * (1 - eps)
+        keys, asked, complete = [], [(i,) for i in range(len(attrs))], True
         while asked and (max_size is None or len(asked[0]) <= max_size):
+            if len(asked) > MOST_SETS:
+                complete = False
+                break
             told = {c: tells(c) for c in asked}
             keys += [c for c, is_told in told.items() if is_told]
             rest = {c for c, is_told in told.items() if not is_told}  # only sets without a key in them go on
-            larger = [(*c, a) for c in rest for a in attrs if a > c[-1]]
-            asked = sorted(c for c in larger if all(c[:i] + c[i + 1 :] in rest for i in range(len(c))))
-        if not keys:
-            key_attrs = tuple(attrs)
-            for a in reversed(attrs):
-                if tells(less := tuple(x for x in key_attrs if x != a)):
-                    key_attrs = less
-            keys = [key_attrs]
-        return pd.DataFrame([(key[0], f"{key[0]}#k{i}", a, len(k) > 1) for i, k in enumerate(keys) for a in k], columns=["table_id", "key_id", "attr_id", "is_composite"])
+            asked = [(*c, a) for c in rest for a in range(c[-1] + 1, len(attrs))]
+            asked = sorted(c for c in asked if all(c[:i] + c[i + 1 :] in rest for i in range(len(c))))
+        complete &= not asked
+        minimal = True
+        if not keys:  # parts are taken away as long as what is left still is a key
+            held = tuple(range(len(attrs)))
+            minimal = tells(held)
+            for a in reversed(range(len(attrs))):
+                if tells(less := tuple(x for x in held if x != a)):
+                    held = less
+            keys = [held]
+        rows = [(key[0], f"{key[0]}#k{i}", attrs[a], len(k) > 1, minimal, complete) for i, k in enumerate(keys) for a in k]
+        return pd.DataFrame(rows, columns=["table_id", "key_id", "attr_id", "is_composite", "is_minimal", "is_complete"])
 
-    return cells.select("table_id", "row_id", "attr_id", F.coalesce("val_norm", F.lit("\x00")).alias("val_norm")).groupBy("table_id").applyInPandas(run, "table_id string, key_id string, attr_id string, is_composite boolean")
+    plain = cells.select("table_id", "row_id", "attr_id", F.coalesce("val_norm", F.lit("\x00")).alias("val_norm"))
+    return plain.groupBy("table_id").applyInPandas(run, "table_id string, key_id string, attr_id string, is_composite boolean, is_minimal boolean, is_complete boolean")
+
+
+#: Attributes on the left side of a functional dependency of the catalog, at most.
+MOST_LEFT = 3
+
+
+def find_fds_batch(cells: DataFrame, max_lhs: int = MOST_LEFT, eps: float = 0.0) -> DataFrame:
+    """(table_id, fd_id, lhs_attr, n_lhs, rhs_attr): minimal functional dependencies of many printed tables, each lattice in one task.
+
+    Left sides have at most `max_lhs` attributes, and are no keys: what a key determines, looking up its row gives. With `eps` a dependency
+    holds if deleting that share of the rows makes it hold.
+    """
+
+    def run(key: tuple, group: pd.DataFrame) -> pd.DataFrame:
+        attrs, codes = _codes(group)
+        n, out = len(codes), []
+        held: dict[int, list[frozenset[int]]] = {a: [] for a in range(len(attrs))}
+
+        def holds(lhs: tuple[int, ...], a: int) -> bool:
+            if not eps:
+                return _n_tuples(codes, lhs) == _n_tuples(codes, (*lhs, a))
+            kept = pd.DataFrame(codes[:, [*lhs, a]]).value_counts().groupby(level=list(range(len(lhs)))).max().sum()
+            return kept >= n * (1 - eps)
+
+        level = [(i,) for i in range(len(attrs))]
+        while level and len(level[0]) <= max_lhs and len(level) <= MOST_SETS:
+            open_ = []
+            for lhs in level:
+                if _n_tuples(codes, lhs) == n:
+                    continue
+                open_.append(lhs)
+                for a in range(len(attrs)):
+                    if a not in lhs and not any(x <= set(lhs) for x in held[a]) and holds(lhs, a):
+                        held[a].append(frozenset(lhs))
+                        out.append((lhs, a))
+            rest = set(open_)
+            larger = [(*c, a) for c in open_ for a in range(c[-1] + 1, len(attrs))]
+            level = [c for c in larger if all(c[:i] + c[i + 1 :] in rest for i in range(len(c)))]
+        rows = [(key[0], f"{key[0]}#f{i}", attrs[x], len(lhs), attrs[a]) for i, (lhs, a) in enumerate(out) for x in lhs]
+        return pd.DataFrame(rows, columns=["table_id", "fd_id", "lhs_attr", "n_lhs", "rhs_attr"])
+
+    plain = cells.select("table_id", "row_id", "attr_id", F.coalesce("val_norm", F.lit("\x00")).alias("val_norm"))
+    return plain.groupBy("table_id").applyInPandas(run, "table_id string, fd_id string, lhs_attr string, n_lhs int, rhs_attr string")
 
 
 # Inclusions ----------------------------------------------------------------------------------------------------------
 
 
-def unary_inclusions(cells: DataFrame, scope: str = "document") -> DataFrame:
+def unary_inclusions(cells: DataFrame, scope: str = "document", eps: float = 0.0) -> DataFrame:
     """(lhs_table, lhs_attr, rhs_table, rhs_attr): attributes whose values all occur in another table's attribute.
 
-    Within a document, or over the corpus. Only distinct (value, attribute) pairs are shuffled; an attribute is
-    included in another when as many of its values occur in both as it has.
+    Within a document, or over the corpus. An attribute can be included only in those that hold its rarest value, the one that
+    fewest attributes have; only these candidates are counted. So no value gives all pairs of the attributes that hold it. With `eps` that share of the
+    distinct values may be missing; then any of the rarest values up to that share may be the one missing, and the candidates are those of
+    the rarest ones together.
     """
     held = cells.where("val_norm IS NOT NULL").select((F.col("doc_id") if scope == "document" else F.lit("*")).alias("doc"), "val_norm", "table_id", "attr_id").distinct()
-    sizes = held.groupBy("doc", "table_id", "attr_id").agg(F.count(F.lit(1)).alias("n"))
+    spread = held.groupBy("doc", "val_norm").agg(F.count(F.lit(1)).alias("spread"))
+    own = ["doc", "table_id", "attr_id"]
+    counted = held.join(spread, ["doc", "val_norm"])
+    sizes = counted.groupBy(*own).agg(F.count(F.lit(1)).alias("n"))
+    if eps:
+        place = F.row_number().over(Window.partitionBy(*own).orderBy("spread", "val_norm"))
+        rare = counted.withColumn("place", place).join(sizes, own).where(F.col("place") <= F.floor(F.lit(eps) * F.col("n")) + 1).select(*own, "val_norm")
+    else:
+        rare = counted.groupBy(*own).agg(F.min_by("val_norm", F.struct("spread", "val_norm")).alias("val_norm"))
     other = held.select("doc", "val_norm", F.col("table_id").alias("rhs_table"), F.col("attr_id").alias("rhs_attr"))
-    both = held.join(other, ["doc", "val_norm"]).where("table_id <> rhs_table").groupBy("doc", "table_id", "attr_id", "rhs_table", "rhs_attr").agg(F.count(F.lit(1)).alias("shared"))
-    found = both.join(sizes, ["doc", "table_id", "attr_id"]).where("shared = n")
+    asked = rare.join(other, ["doc", "val_norm"]).where("table_id <> rhs_table").select(*own, "rhs_table", "rhs_attr").distinct()
+    both = asked.join(held, own).join(other, ["doc", "val_norm", "rhs_table", "rhs_attr"]).groupBy(*own, "rhs_table", "rhs_attr").agg(F.count(F.lit(1)).alias("shared"))
+    found = both.join(sizes, own).where(F.col("shared") >= F.col("n") * (1 - eps))
     return found.select(F.col("table_id").alias("lhs_table"), F.col("attr_id").alias("lhs_attr"), "rhs_table", "rhs_attr")
 
 
+def composite_inclusions(cells: DataFrame, unary: DataFrame, max_arity: int = 2) -> DataFrame:
+    """(ind_id, lhs_table, rhs_table, pos, lhs_attr, rhs_attr, arity): sets of attribute pairs whose tuples are included, a row for each pair.
+
+    Level by level: candidates of a level add a unary inclusion between the same tables to a set that holds, and all candidates of a level
+    are checked in one job. Tuples with a missing part don't count.
+    """
+    one = unary.select("lhs_table", "rhs_table", "lhs_attr", "rhs_attr")
+    level = one.select("lhs_table", "rhs_table", F.array("lhs_attr").alias("lhs"), F.array("rhs_attr").alias("rhs"))
+    values = cells.where("val_norm IS NOT NULL").select("row_id", F.col("attr_id").alias("attr"), "val_norm")
+    out = None
+    for arity in range(2, max_arity + 1):
+        wider = level.join(one, ["lhs_table", "rhs_table"]).where(F.col("lhs_attr") > F.element_at("lhs", -1)).where(~F.array_contains("rhs", F.col("rhs_attr")))
+        asked = wider.select("lhs_table", "rhs_table", F.concat("lhs", F.array("lhs_attr")).alias("lhs"), F.concat("rhs", F.array("rhs_attr")).alias("rhs"))
+        asked = asked.withColumn("ind_id", F.concat(F.array_join("lhs", "+"), F.lit(">"), F.array_join("rhs", "+")))
+
+        def tuples(side: str, asked: DataFrame = asked, arity: int = arity) -> DataFrame:
+            wanted = asked.select("ind_id", F.posexplode(side).alias("pos", "attr"))
+            held = wanted.join(values, "attr").groupBy("ind_id", "row_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "val_norm"))), lambda x: x["val_norm"]).alias("held"))
+            return held.where(F.size("held") == arity).select("ind_id", "held").distinct()
+
+        missed = tuples("lhs").join(tuples("rhs"), ["ind_id", "held"], "left_anti").select("ind_id").distinct()
+        level = asked.join(tuples("lhs").select("ind_id").distinct(), "ind_id", "left_semi").join(missed, "ind_id", "left_anti")
+        rows = level.select("ind_id", "lhs_table", "rhs_table", F.posexplode(F.arrays_zip("lhs", "rhs")).alias("pos", "pair"))
+        rows = rows.select("ind_id", "lhs_table", "rhs_table", "pos", F.col("pair.lhs").alias("lhs_attr"), F.col("pair.rhs").alias("rhs_attr"), F.lit(arity).alias("arity"))
+        out = rows if out is None else out.unionByName(rows)
+    return out
+
+
 def inclusion_misses(r: DataFrame, u: Sequence[str], s: DataFrame, v: Sequence[str]) -> DataFrame:
     """Distinct tuples of r that s lacks."""
     left = r.select(*(F.col(c).alias(f"c{i}") for i, c in enumerate(u))).distinct()
@@ -219,15 +361,18 @@ def inclusion_error(r: DataFrame, u: Sequence[str], s: DataFrame, v: Sequence[st
 # Catalog -------------------------------------------------------------------------------------------------------------
 
 
-def build_catalog(store: Store, max_size: int | None = None, scope: str = "document") -> Store:
-    """The store with its keys and inclusions, found once, offline."""
-    from tabqa.session import written
+def build_catalog(store: Store, max_size: int | None = None, scope: str = "document", eps: float = 0.0, max_arity: int = 2, max_lhs: int = MOST_LEFT) -> Store:
+    """The store with its keys, inclusions (of one attribute, and of several) and functional dependencies, found once, offline.
 
-    keys = written(minimal_keys_batch(store.cells, max_size), "keys")
-    pairs = unary_inclusions(store.cells, scope)
+    With `eps` dependencies of noisy tables count if they miss by no more than that share.
+    """
+    keys = written(minimal_keys_batch(store.cells, max_size, eps), "keys")
+    pairs = written(unary_inclusions(store.cells, scope, eps), "inclusions")
     linked = pairs.join(foreign_keys(pairs, keys).withColumn("is_fk", F.lit(True)), pairs.columns, "left").withColumn("is_fk", F.coalesce("is_fk", F.lit(False)))
     inds = written(linked.withColumn("ind_id", F.concat_ws(">", "lhs_attr", "rhs_attr")), "inds")
-    return Store(store.tables, store.attrs, store.cells, keys, inds)
+    composites = written(composite_inclusions(store.cells, pairs, max_arity), "composites")
+    fds = written(find_fds_batch(store.cells, max_lhs, eps), "fds")
+    return replace(store, keys=keys, inds=inds, composites=composites, fds=fds)
 
 
 def keys_frame(spark: SparkSession, name: str, keys: list[tuple[str, ...]]) -> DataFrame:
