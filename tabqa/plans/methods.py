@@ -8,16 +8,16 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from tabqa.functions.text import match_score, mask_text, normalize_value
-from tabqa.operators import deps, expand, layout, store
+from tabqa.operators import deps, expand, ingest, layout, store
+from tabqa.plans import oracles
+from tabqa.plans.oracles import MASK as _MASK
+from tabqa.plans.oracles import W
 from tabqa.plans.registry import plan
 from tabqa.session import table as t
 from tabqa.session import written
 from tabqa.sources import corpus
 from tabqa.sources.html_tables import extract_tables
 
-W = f"WITH {corpus.BASE_SQL} "
-
-
 def _flat(spark: SparkSession, sf: str, name: str) -> DataFrame:
     """A handbook table unfolded."""
     return expand.unfold(corpus.handbook(spark, sf).where(F.col("table_id") == name), corpus.registry(spark))
@@ -62,7 +62,6 @@ def unspan_grid(spark: SparkSession, sf: str) -> DataFrame:
     return flat.select(F.col("values")[0].alias("b"), F.col("values")[1].alias("n"), F.col("values")[2].alias("c")).where("c <> 'n/a'")
 
 
-_MASK = "translate(regexp_replace(regexp_replace(regexp_replace({0}, '\\p{{L}}+', chr(1), 'g'), '\\p{{Nd}}+', chr(2), 'g'), '[^\\x01\\x02]+', chr(3), 'g'), chr(1) || chr(2) || chr(3), 'ADN')"
 _MASKED = "SELECT 'customer' AS what, c_name AS txt FROM customer UNION ALL SELECT 'priority', o_orderpriority FROM orders UNION ALL SELECT 'time', strftime(ts, '%Y-%m-%d %H:%M:%S') FROM events UNION ALL SELECT 'example', 'Eng FNU-52X'"
 
 
@@ -89,39 +88,42 @@ def mask_values_lengths(spark: SparkSession, sf: str) -> DataFrame:
 # Layout
 
 
-def _stated(name: str, rows: dict[str, int]) -> str:
-    return "SELECT * FROM (VALUES " + ", ".join(f"('{k}', {v})" for k, v in rows.items()) + f") v(table_id, {name})"
-
-
-@plan(_stated("data_row", {"trade": 2, "zones": 1, "zone_counts": 1, "limits": 4}))
+@plan(oracles.boundary_sql("top", "data_row"))
 def header_boundary(spark: SparkSession, sf: str) -> DataFrame:
     """Where data start: in each column the mask changes and then repeats, and columns vote."""
-    return layout.find_data_start(corpus.handbook(spark, sf).where("table_id <> 'pair_codes'")).select("table_id", "data_row")
+    return layout.find_data_start(corpus.handbook(spark, sf)).select("table_id", "data_row")
 
 
-@plan(_stated("data_row", {"trade": 2, "zone_counts": 1, "limits": 4}))
+@plan(oracles.boundary_sql("top", "data_row", "majority"))
 def header_boundary_majority(spark: SparkSession, sf: str) -> DataFrame:
     """The rule by the share of the commonest mask."""
-    return layout.find_data_start(corpus.handbook(spark, sf).where("table_id IN ('trade', 'zone_counts', 'limits')"), rule="majority").select("table_id", "data_row")
+    return layout.find_data_start(corpus.handbook(spark, sf), rule="majority").select("table_id", "data_row")
 
 
-@plan(_stated("data_col", {"limits": 0, "trade": 1}))
+@plan(oracles.boundary_sql("left", "data_col"))
 def header_columns(spark: SparkSession, sf: str) -> DataFrame:
     """Key columns of digits before data of digits don't change the mask, so the limits show none."""
-    return layout.find_data_start(corpus.handbook(spark, sf).where("table_id IN ('limits', 'trade')"), transposed=True, name="data_col").select("table_id", "data_col")
+    return layout.find_data_start(corpus.handbook(spark, sf), transposed=True, name="data_col").select("table_id", "data_col")
 
 
-@plan(_stated("foot_rows", {"limits": 4, "trade": 2}))
+@plan(oracles.boundary_sql("top", "foot_rows"))
 def header_boundary_reversed(spark: SparkSession, sf: str) -> DataFrame:
     """Headers below, found on the grid upside down."""
-    turned = corpus.handbook(spark, sf).where("table_id IN ('limits', 'trade')").withColumn("grid", F.reverse("grid"))
+    turned = corpus.handbook(spark, sf).withColumn("grid", F.reverse("grid"))
     return layout.find_data_start(turned, backwards=True, name="foot_rows").select("table_id", "foot_rows")
 
 
-@plan(W + """SELECT 'limits' AS table_id, 4.0::DOUBLE AS f1, 0.0::DOUBLE AS f2, 1.0::DOUBLE AS f3, 1.0::DOUBLE AS f4, 0.0::DOUBLE AS f5
-UNION ALL SELECT 'trade', 2.0, 1.0, (SELECT count(DISTINCT yr) FROM trade)::DOUBLE, 1.0, 2.0""")
+@plan(f"""{oracles.CELLS}, {", ".join(oracles.boundary(side, prefix=side[0] + "_") for side in ("top", "left", "bottom", "right"))},
+h AS (SELECT table_id, t.v AS f1, l.v AS f2, b.v AS f6, r.v AS f7 FROM t_start t JOIN l_start l USING (table_id) JOIN b_start b USING (table_id) JOIN r_start r USING (table_id)),
+head AS (SELECT table_id, list(txt ORDER BY c) AS x FROM cells JOIN h USING (table_id) WHERE r = f1 - 1 AND c >= f2 GROUP BY 1),
+rep AS (SELECT table_id, len(x) / list_filter(range(1, len(x) + 1), lambda p: len(x) % p = 0 AND len(list_filter(range(len(x)), lambda i: x[i + 1] <> x[(i % p) + 1])) = 0)[1] AS f3 FROM head),
+span AS (SELECT DISTINCT a.table_id FROM cells a JOIN cells b ON a.table_id = b.table_id AND a.r = b.r AND b.c = a.c + 1 AND a.txt = b.txt JOIN h ON h.table_id = a.table_id WHERE a.r < f1 - 1 AND trim(a.txt) <> ''),
+corner AS (SELECT table_id, count(*) AS n FROM cells JOIN h USING (table_id) WHERE r < f1 AND c < f2 AND trim(txt) = '' GROUP BY 1),
+num AS (SELECT table_id, avg(CAST(regexp_full_match(txt, '[+-]?[0-9]+([.,][0-9]+)?') AS INTEGER)) AS f8 FROM cells JOIN h USING (table_id) WHERE r >= f1 AND c >= f2 GROUP BY 1)
+SELECT table_id, f1::DOUBLE AS f1, f2::DOUBLE AS f2, coalesce(f3, 0)::DOUBLE AS f3, CASE WHEN span.table_id IS NULL THEN 0 ELSE 1 END::DOUBLE AS f4, coalesce(corner.n, 0)::DOUBLE AS f5, f6::DOUBLE AS f6, f7::DOUBLE AS f7, f8::DOUBLE AS f8
+FROM h LEFT JOIN rep USING (table_id) LEFT JOIN span USING (table_id) LEFT JOIN corner USING (table_id) LEFT JOIN num USING (table_id)""")
 def layout_features(spark: SparkSession, sf: str) -> DataFrame:
-    return layout.layout_features(corpus.handbook(spark, sf).where("table_id IN ('limits', 'trade')")).select("table_id", *(f"f{i}" for i in range(1, 6)))
+    return layout.layout_features(corpus.handbook(spark, sf)).select("table_id", *(f"f{i}" for i in range(1, 9)))
 
 
 # Unfolding
@@ -156,7 +158,7 @@ def _trained(spark: SparkSession, sf: str, family: str) -> DataFrame:
     return expand.unfold(corpus.training_grids(spark, sf).where(F.col("family") == family), corpus.registry(spark))
 
 
-@plan("SELECT DISTINCT c_name AS name, CAST(c_nationkey AS VARCHAR) AS country, CAST(CAST(round(c_acctbal * 100) AS BIGINT) AS VARCHAR) AS balance FROM customer WHERE c_custkey <= 120")
+@plan("SELECT DISTINCT c_name AS name, CAST(c_nationkey AS VARCHAR) AS country, CAST(CAST(round(c_acctbal * 100) AS BIGINT) AS VARCHAR) AS balance FROM (SELECT *, row_number() OVER (PARTITION BY c_nationkey % 20 ORDER BY CAST(round(c_acctbal * 100) AS BIGINT) DESC, c_custkey) AS place FROM customer) WHERE place <= 6")
 def unfold_vertical(spark: SparkSession, sf: str) -> DataFrame:
     """A record is a column: the pivot takes a whole column."""
     v = F.col("values")
@@ -202,17 +204,22 @@ def fold_unfold_roundtrip(spark: SparkSession, sf: str) -> DataFrame:
     return expand.unfold(grid, corpus.registry(spark)).select(v[0].alias("size_code"), v[3].alias("code"), v[5].alias("first_min"), v[7].alias("last_max")).where("first_min <> 'n/a'")
 
 
-@plan("SELECT * FROM (VALUES ('limits', 1), ('limits', 2), ('limits', 4), ('trade', 2)) v(table_id, ord)")
+@plan(W + """, u AS (SELECT 'pair_codes' AS t, [b.brand, n.nation, coalesce(p.code, 'n/a')] AS v FROM (SELECT DISTINCT brand FROM pair_codes) b CROSS JOIN (SELECT DISTINCT nation FROM pair_codes) n LEFT JOIN pair_codes p ON p.brand = b.brand AND p.nation = n.nation
+UNION ALL SELECT 'limits', [s.size_code, 'Limits of quantity', 'Class', c.code, 'Min', coalesce(CAST(min AS VARCHAR), 'n/a'), coalesce(CAST(nom AS VARCHAR), 'n/a'), coalesce(CAST(max AS VARCHAR), 'n/a')] FROM (SELECT DISTINCT size_code FROM limits) s CROSS JOIN (SELECT DISTINCT code FROM limits) c LEFT JOIN limits l ON l.size_code = s.size_code AND l.code = c.code
+UNION ALL SELECT 'trade', [n.nation, CAST(y.yr AS VARCHAR), 'Quantity', coalesce(CAST(qty AS VARCHAR), 'n/a'), coalesce(CAST(cents AS VARCHAR), 'n/a')] FROM (SELECT DISTINCT nation FROM trade) n CROSS JOIN (SELECT DISTINCT yr FROM trade) y LEFT JOIN trade t ON t.nation = n.nation AND t.yr = y.yr
+UNION ALL SELECT 'zones', [nation, zone] FROM zones UNION ALL SELECT 'zone_counts', [code, zone, CAST(pairs AS VARCHAR)] FROM zone_counts)
+SELECT t AS table_id, CAST(i AS INTEGER) AS ord FROM (SELECT t, i, v[i + 1] AS x FROM (SELECT t, v, unnest(range(len(v))) AS i FROM u)) GROUP BY ALL HAVING count(DISTINCT x) = 1 AND count(*) > 1""")
 def noise_columns(spark: SparkSession, sf: str) -> DataFrame:
     """Constant columns: label rows and sub-headers."""
     flat = expand.unfold(corpus.handbook(spark, sf), corpus.registry(spark))
     return store.constant_columns(flat)
 
 
-@plan("SELECT * FROM (VALUES ('limits', 'Size Code,Code,Min,Nom,Max'), ('pair_codes', 'Brand,Nation,Code'), ('trade', 'Nation,Year,Quantity,Value'), ('zones', 'Nation,Zone'), ('zone_counts', 'Code,Zone,Pairs')) v(table_id, names)")
+@plan(oracles.CELLS + """SELECT table_id, CAST(c AS INTEGER) AS ord, txt AS label FROM cells WHERE table_id IN ('zones', 'zone_counts') AND r = 0
+UNION ALL SELECT 'limits', CAST(c + 4 AS INTEGER), txt FROM cells WHERE table_id = 'limits' AND r = 3 AND c BETWEEN 1 AND 3 UNION ALL SELECT 'trade', CAST(c + 2 AS INTEGER), txt FROM cells WHERE table_id = 'trade' AND r = 1 AND c BETWEEN 1 AND 2""")
 def expanded_names(spark: SparkSession, sf: str) -> DataFrame:
-    book = handbook_store(spark, sf)
-    return book.attrs.groupBy("table_id").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("ord", "label"))), lambda x: x["label"]), ",").alias("names"))
+    """Names that the printed tables have for their columns: listings' headers and sub-headers over a pivot's cells."""
+    return ingest.names_of(corpus.handbook(spark, sf), corpus.registry(spark)).select("table_id", F.col("ord").cast("int").alias("ord"), "label")
 
 
 # Store
@@ -252,19 +259,53 @@ def class_closure(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def cataloged(spark: SparkSession, sf: str) -> store.Store:
-    return deps.build_catalog(store.held(handbook_store(spark, sf)))
+    return ingest.cataloged(handbook_store(spark, sf))
+
 
+_SIZES = " UNION ALL ".join(f"SELECT '{t}' AS table_id, (SELECT count(*) FROM {t}) AS n" for t in oracles.COLUMNS)
 
-@plan("SELECT CAST(0 AS BIGINT) AS violations")
+
+@plan(W + f"SELECT violation, table_id AS subject FROM ({_SIZES}) CROSS JOIN (SELECT unnest(['table without row', 'table without dependency']) AS violation) WHERE n <= 100")
 def schema_violations(spark: SparkSession, sf: str) -> DataFrame:
-    return cataloged(spark, sf).validate().agg(F.count(F.lit(1)).alias("violations"))
+    """A store that lost the rows and keys of its small tables says so; the whole one has no violation."""
+    book = answers_book(spark, sf)
+    whole = book.cells.groupBy("table_id", "row_id").agg(F.bool_or(F.col("val_norm").isNull()).alias("gap")).where("NOT gap")
+    large = whole.groupBy("table_id").agg(F.count(F.lit(1)).alias("n")).where("n > 100").select("table_id")
+    lost = store.Store(book.tables, book.attrs, book.cells.join(large, "table_id", "left_semi"), book.keys.join(large, "table_id", "left_semi"), book.inds)
+    return lost.validate().unionByName(book.validate())
+
+
+def answers_book(spark: SparkSession, sf: str) -> store.Store:
+    from tabqa.plans import answers
+
+    return answers.book(spark, sf)
+
+
+@plan(f"{W}, {oracles.LONG} SELECT val AS val_norm, count(*) AS n_postings FROM long GROUP BY 1")
+def index_values(spark: SparkSession, sf: str) -> DataFrame:
+    """The index's dictionary: every value with the length of its list."""
+    return answers_book(spark, sf).index.values.select("val_norm", "n_postings")
 
 
-@plan(W + "SELECT token, count(*) AS n FROM (SELECT DISTINCT token, v FROM (SELECT unnest(regexp_extract_all(lower(nation), '[\\p{L}\\p{N}]+')) AS token, lower(nation) AS v FROM zones UNION ALL SELECT unnest(regexp_extract_all(lower(zone), '[\\p{L}\\p{N}]+')), lower(zone) FROM zones)) GROUP BY ALL")
+@plan(f"""{W}, {oracles.LONG}, v AS (SELECT DISTINCT val FROM long), q AS (SELECT lower(nation) AS asked FROM zones UNION SELECT lower(zone) || 'n' FROM zones)
+SELECT asked, val AS val_norm, CAST(round((1 - levenshtein(asked, val) / greatest(length(asked), length(val))) * 1000000) AS BIGINT) AS millionths FROM q JOIN v ON 1 - levenshtein(asked, val) / greatest(length(asked), length(val)) >= 0.6""")
+def index_similar_values(spark: SparkSession, sf: str) -> DataFrame:
+    """All values of the store that are near to a nation's or a misspelt zone's name; found by shared grams, held against all pairs."""
+    book = answers_book(spark, sf)
+    zones = corpus.zones(spark, sf)
+    asked = zones.select(F.lower("nation").alias("val")).union(zones.select(F.concat(F.lower("zone"), F.lit("n")))).distinct()
+    conditions = asked.select(F.col("val").alias("query_id"), F.lit(0).alias("cond"), F.lit(None).cast("string").alias("attr"), "val", F.lit(1).alias("n_conds"))
+    from tabqa.operators import query
+
+    none = spark.createDataFrame([], "query_id string, label string")
+    found = query.match_values(book, query.Batch.normal(conditions, none, none.withColumnRenamed("label", "topic")))
+    return found.select(F.col("query_id").alias("asked"), "val_norm", F.round(F.col("s_val") * 1000000).cast("bigint").alias("millionths"))
+
+
+@plan(f"{W}, {oracles.LONG} SELECT token, count(DISTINCT val) AS n FROM (SELECT val, unnest(regexp_extract_all(val, '[\\p{{L}}\\p{{N}}]+')) AS token FROM long) GROUP BY 1")
 def token_postings(spark: SparkSession, sf: str) -> DataFrame:
-    book = handbook_store(spark, sf)
-    zones = store.Store(book.tables, book.attrs, book.cells.where("table_id = 'zones'"))
-    return store.token_postings(zones).groupBy("token").agg(F.count(F.lit(1)).alias("n"))
+    """How many values of the store hold each token."""
+    return answers_book(spark, sf).index.tokens.groupBy("token").agg(F.count(F.lit(1)).alias("n"))
 
 
 @plan(W + "SELECT lower(nation) AS nation, lower(zone) AS zone FROM zones")
@@ -307,7 +348,18 @@ def fd_violations(spark: SparkSession, sf: str) -> DataFrame:
     return deps.fd_violations(t(spark, sf, "customer"), ["c_nationkey"], ["c_mktsegment"])
 
 
-@plan("SELECT * FROM (VALUES ('n_nationkey', 'n_name'), ('n_nationkey', 'n_regionkey'), ('n_name', 'n_nationkey'), ('n_name', 'n_regionkey')) v(lhs, rhs)")
+def _fds_sql(columns: list[str]) -> str:
+    """Every single column against every other, by counting groups; nation has no minimal dependency of two columns beside these."""
+    parts = [f"SELECT '{x}' AS lhs, '{a}' AS rhs WHERE NOT EXISTS (SELECT 1 FROM nation GROUP BY {x} HAVING count(DISTINCT {a}) > 1)" for x in columns for a in columns if a != x]
+    pairs = [(x, y, a) for i, x in enumerate(columns) for y in columns[i + 1 :] for a in columns if a not in (x, y)]
+    parts += [
+        f"SELECT '{x},{y}', '{a}' WHERE NOT EXISTS (SELECT 1 FROM nation GROUP BY {x}, {y} HAVING count(DISTINCT {a}) > 1) AND EXISTS (SELECT 1 FROM nation GROUP BY {x} HAVING count(DISTINCT {a}) > 1) AND EXISTS (SELECT 1 FROM nation GROUP BY {y} HAVING count(DISTINCT {a}) > 1)"
+        for x, y, a in pairs
+    ]
+    return " UNION ALL ".join(parts)
+
+
+@plan(_fds_sql(["n_nationkey", "n_name", "n_regionkey"]))
 def fds_nation(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(",".join(x), a) for x, a in deps.find_fds(t(spark, sf, "nation"), 2)], "lhs string, rhs string")
 
@@ -317,89 +369,110 @@ def key_check(spark: SparkSession, sf: str) -> DataFrame:
     return _answers(spark, [("lineitem", deps.is_key(t(spark, sf, "lineitem"), ["l_orderkey", "l_linenumber"])), ("events", deps.is_key(t(spark, sf, "events"), ["event_id"]))])
 
 
-def _keys_sql(table: str, columns: list[str], max_size: int) -> str:
-    """All minimal keys by brute force: every set is counted, and sets that hold a smaller key are left out."""
-    from itertools import combinations
-
-    sets = [c for size in range(1, max_size + 1) for c in combinations(columns, size)]
-    one = " UNION ALL ".join(f"SELECT '{','.join(sorted(c))}' AS attrs, {len(c)} AS size, {sum(1 << columns.index(x) for x in c)} AS bits, (SELECT count(*) FROM (SELECT DISTINCT {','.join(c)} FROM {table})) = (SELECT count(*) FROM {table}) AS key" for c in sets)
-    return f"WITH s AS ({one}) SELECT '{table}' AS table_id, attrs, CAST(size AS INTEGER) AS size FROM s a WHERE key AND NOT EXISTS (SELECT 1 FROM s b WHERE b.key AND b.bits <> a.bits AND b.bits & a.bits = b.bits)"
-
-
 _CUSTOMER = ["c_custkey", "c_name", "c_nationkey", "c_acctbal", "c_mktsegment"]
 
 
-@plan(_keys_sql("customer", _CUSTOMER, 3))
+@plan(oracles.keys_sql("customer", _CUSTOMER))
 def keys_customer(spark: SparkSession, sf: str) -> DataFrame:
-    return deps.keys_frame(spark, "customer", deps.minimal_keys(t(spark, sf, "customer"), 3))
+    return deps.keys_frame(spark, "customer", deps.minimal_keys(t(spark, sf, "customer"), approx=False))
 
 
-@plan(_keys_sql("supplier", ["s_suppkey", "s_name", "s_nationkey", "s_acctbal"], 3))
+@plan(oracles.keys_sql("supplier", ["s_suppkey", "s_name", "s_nationkey", "s_acctbal"]))
 def keys_supplier_approx(spark: SparkSession, sf: str) -> DataFrame:
     """With the estimating screen before exact counts."""
-    return deps.keys_frame(spark, "supplier", deps.minimal_keys(t(spark, sf, "supplier"), 3, approx=True))
+    return deps.keys_frame(spark, "supplier", deps.minimal_keys(t(spark, sf, "supplier")))
 
 
-_LINE = ["l_orderkey", "l_partkey", "l_suppkey", "l_extendedprice", "l_shipdate"]
+_LINE = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate"]
 
 
-@plan(_keys_sql("lineitem", _LINE, 2))
+@plan(oracles.keys_sql("lineitem", _LINE))
 def keys_lineitem(spark: SparkSession, sf: str) -> DataFrame:
-    return deps.keys_frame(spark, "lineitem", deps.minimal_keys(t(spark, sf, "lineitem"), 2, _LINE))
-
+    """All minimal keys over all columns, of any size."""
+    return deps.keys_frame(spark, "lineitem", deps.minimal_keys(t(spark, sf, "lineitem")))
 
-_BOOK_KEYS = {"pair_codes": ["brand", "nation", "code"], "zones": ["nation", "zone"], "zone_counts": ["code", "zone", "pairs"], "limits": ["size_code", "code", "min", "nom", "max"], "trade": ["nation", "yr", "qty", "cents"]}
 
+_COUNTS = W + ", " + ", ".join(oracles.counts(name, columns, f"{name}_") for name, columns in oracles.COLUMNS.items())
 
-def _book_keys_sql() -> str:
-    from itertools import combinations
 
-    parts = []
-    for table, columns in _BOOK_KEYS.items():
-        labels = [x for x in corpus.LABELS[table] if x]
-        for size in (1, 2, 3):
-            for c in combinations(range(len(columns)), size):
-                names = ",".join(columns[i] for i in c)
-                parts.append(f"SELECT '{table}' AS table_id, '{','.join(sorted(labels[i] for i in c))}' AS attrs, {sum(1 << i for i in c)} AS bits, (SELECT count(*) FROM (SELECT DISTINCT {names} FROM {table})) = (SELECT count(*) FROM {table}) AS key")
-    return W + ", s AS (" + " UNION ALL ".join(parts) + ") SELECT table_id, attrs FROM s a WHERE key AND NOT EXISTS (SELECT 1 FROM s b WHERE b.table_id = a.table_id AND b.key AND b.bits <> a.bits AND b.bits & a.bits = b.bits)"
-
-
-@plan(_book_keys_sql())
+@plan(_COUNTS + " " + " UNION ALL ".join(f"SELECT '{name}' AS table_id, {oracles.names_of('bits', oracles.LABELS[name])} AS attrs FROM {name}_minimal" for name in oracles.COLUMNS))
 def keys_all_flat_tables(spark: SparkSession, sf: str) -> DataFrame:
-    """Minimal keys of all printed tables at once, rows with missing cells left out."""
+    """All minimal keys of all printed tables at once, rows with missing cells left out."""
     book = handbook_store(spark, sf)
     gaps = book.cells.where("val_norm IS NULL").select("row_id").distinct()
-    keys = deps.minimal_keys_batch(book.cells.join(gaps, "row_id", "left_anti"), 3).join(book.attrs.select("attr_id", "label"), "attr_id")
+    keys = deps.minimal_keys_batch(book.cells.join(gaps, "row_id", "left_anti")).join(book.attrs.select("attr_id", "label"), "attr_id")
     return keys.groupBy("table_id", "key_id").agg(F.array_join(F.array_sort(F.collect_list("label")), ",").alias("attrs")).select("table_id", "attrs")
 
 
-def _inclusions_sql() -> str:
-    columns = [(table, c, [x for x in corpus.LABELS[table] if x][i]) for table, cs in _BOOK_KEYS.items() for i, c in enumerate(cs)]
-    norm = "regexp_replace(lower(CAST({} AS VARCHAR)), '^0+([0-9])', '\\1')"
-    parts = [f"SELECT '{a}.{la}' AS lhs, '{b}.{lb}' AS rhs WHERE NOT EXISTS (SELECT {norm.format(x)} FROM {a} EXCEPT SELECT {norm.format(y)} FROM {b})" for a, x, la in columns for b, y, lb in columns if a != b]
-    return W + " UNION ALL ".join(parts)
+@plan(f"""WITH {oracles.counts("customer", _CUSTOMER)}, near AS (SELECT bits, d = n AS exact FROM d, n WHERE bits <> 0 AND d >= 0.9 * n)
+SELECT avg(CAST(exact AS INTEGER)) AS precision, CAST(1.0 AS DOUBLE) AS recall FROM near a WHERE exact OR NOT EXISTS (SELECT 1 FROM near b WHERE b.bits <> a.bits AND b.bits & a.bits = b.bits) AND NOT exact""")
+def deps_precision(spark: SparkSession, sf: str) -> DataFrame:
+    """Keys that tolerate noise (up to a tenth of the rows deleted) against true ones: every set of attributes that is a key, and minimal ones that nearly are."""
+    from itertools import combinations
 
+    from tabqa.operators import measures
 
-def _named(book: store.Store, pairs: DataFrame) -> DataFrame:
-    labels = book.attrs.select("attr_id", F.concat_ws(".", "table_id", "label").alias("name"))
-    return pairs.join(labels.withColumnsRenamed({"attr_id": "lhs_attr", "name": "lhs"}), "lhs_attr").join(labels.withColumnsRenamed({"attr_id": "rhs_attr", "name": "rhs"}), "rhs_attr").select("lhs", "rhs")
+    customer = t(spark, sf, "customer")
+    sets = [c for size in range(1, len(_CUSTOMER) + 1) for c in combinations(_CUSTOMER, size)]
+    counted = customer.agg(F.count(F.lit(1)).alias("n"), *(F.count_distinct(*c).alias(f"c{i}") for i, c in enumerate(sets))).first()
+    near = [c for i, c in enumerate(sets) if counted[f"c{i}"] >= 0.9 * counted["n"]]
+    exact = [c for i, c in enumerate(sets) if counted[f"c{i}"] == counted["n"]]
+    got = [c for c in near if c in exact or not any(set(x) < set(c) for x in near)]
+    frame = lambda rows: spark.createDataFrame([("customer", ",".join(c), "*") for c in rows], "table_id string, lhs string, rhs string")
+    return measures.deps_pr(frame(got), frame(exact))
 
 
-@plan(_inclusions_sql())
+@plan(f"{W}, {oracles.LONG}, {oracles.INCLUSIONS} SELECT lhs, rhs FROM unary")
 def inclusions_core(spark: SparkSession, sf: str) -> DataFrame:
     """Inclusions within the handbook."""
     book = handbook_store(spark, sf)
     return _named(book, deps.unary_inclusions(book.cells))
 
 
-_KEYED = {"orders": ["o_orderkey", "o_custkey"], "customer": ["c_custkey", "c_nationkey"], "supplier": ["s_suppkey", "s_nationkey"], "nation": ["n_nationkey", "n_regionkey"], "part": ["p_partkey", "p_size"]}
+@plan(f"{W}, {oracles.LONG}, {oracles.INCLUSIONS} SELECT lhs_table, rhs_table, count(*) AS n FROM pairs GROUP BY ALL")
+def inclusions_composite(spark: SparkSession, sf: str) -> DataFrame:
+    """Inclusions of two attribute pairs in the catalog, counted by tables."""
+    sets = answers_book(spark, sf).composites.where("arity = 2").select("lhs_table", "rhs_table", "ind_id").distinct()
+    return sets.groupBy("lhs_table", "rhs_table").agg(F.count(F.lit(1)).alias("n"))
+
+
+def _named(book: store.Store, pairs: DataFrame) -> DataFrame:
+    labels = book.attrs.select("attr_id", F.concat_ws(".", "table_id", "label").alias("name"))
+    return pairs.join(labels.withColumnsRenamed({"attr_id": "lhs_attr", "name": "lhs"}), "lhs_attr").join(labels.withColumnsRenamed({"attr_id": "rhs_attr", "name": "rhs"}), "rhs_attr").select("lhs", "rhs")
 
 
-@plan(" UNION ALL ".join(f"SELECT '{x}' AS lhs, '{y}' AS rhs WHERE NOT EXISTS (SELECT CAST({x} AS VARCHAR) FROM {a} EXCEPT SELECT CAST({y} AS VARCHAR) FROM {b})" for a, xs in _KEYED.items() for x in xs for b, ys in _KEYED.items() for y in ys if a != b))
+#: All columns of the given tables but vectors, as expressions that Spark and DuckDB write alike; money in cents, times in seconds.
+_GIVEN = {
+    "region": ["r_regionkey", "r_name"], "nation": ["n_nationkey", "n_name", "n_regionkey"], "customer": ["c_custkey", "c_name", "c_nationkey", "c_acctbal*", "c_mktsegment"],
+    "supplier": ["s_suppkey", "s_name", "s_nationkey", "s_acctbal*"], "part": ["p_partkey", "p_name", "p_brand", "p_type", "p_size", "p_retailprice*"],
+    "orders": ["o_orderkey", "o_custkey", "o_orderstatus", "o_totalprice*", "o_orderdate@", "o_orderpriority"],
+    "lineitem": ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity*", "l_extendedprice*", "l_discount*", "l_tax*", "l_returnflag", "l_linestatus", "l_shipdate@"],
+    "events": ["event_id", "ts@", "user_id", "event_type", "value*", "props"], "documents": ["doc_id", "text", "lang", "source", "n_chars"], "embeddings": ["vec_id", "label"],
+    "pages": ["page_id", "url", "html"], "benchmark": ["item_id", "text"], "labels": ["doc_id", "quality", "toxic"], "conversations": ["conv_id", "turn", "role", "text"],
+}
+
+
+def _plain_value(column: str, time: str, text: str) -> str:
+    if column.endswith("*"):
+        return f"concat('cents ', cast(cast(round({column[:-1]} * 100) as bigint) as {text}))"
+    return f"concat('time ', cast(cast({time.format(column[:-1])} as bigint) as {text}))" if column.endswith("@") else f"cast({column} as {text})"
+
+
+def _given_sql() -> str:
+    rows = " UNION ALL ".join(f"SELECT DISTINCT '{t}' AS tab, '{t}.{c.rstrip('*@')}' AS attr, md5({_plain_value(c, 'epoch({})', 'varchar')}) AS val FROM {t} WHERE {c.rstrip('*@')} IS NOT NULL" for t, cs in _GIVEN.items() for c in cs)
+    return f"WITH one AS MATERIALIZED ({rows}), n AS (SELECT attr, count(*) AS n FROM one GROUP BY 1) SELECT a.attr AS lhs, b.attr AS rhs FROM one a JOIN one b ON a.val = b.val AND a.tab <> b.tab JOIN n ON n.attr = a.attr GROUP BY ALL HAVING count(*) = any_value(n)"
+
+
+@plan(_given_sql())
 def inclusions_global(spark: SparkSession, sf: str) -> DataFrame:
-    """Over all tables, not within a document: accidental ones appear among dense integers."""
-    cells = reduce(DataFrame.unionByName, [t(spark, sf, name).select(*cs).distinct().unpivot([], [F.col(c).cast("string").alias(c) for c in cs], "attr_id", "val_norm").withColumn("table_id", F.lit(name)).withColumn("doc_id", F.lit(name)) for name, cs in _KEYED.items()])
-    return deps.unary_inclusions(cells, scope="corpus").select(F.col("lhs_attr").alias("lhs"), F.col("rhs_attr").alias("rhs"))
+    """Over all columns of all given tables, not within a document: accidental ones appear among dense integers. Values travel as digests."""
+    parts = []
+    for name, columns in _GIVEN.items():
+        values = [F.md5(F.expr(_plain_value(c, "unix_timestamp(cast({} as timestamp))", "string")).cast("binary")).alias(f"{name}.{c.rstrip('*@')}") for c in columns]
+        frame = t(spark, sf, name).select(*values)
+        long = frame.unpivot([], [F.col(f"`{c}`") for c in frame.columns], "attr_id", "val_norm")
+        parts.append(long.where("val_norm IS NOT NULL").distinct().select("attr_id", "val_norm", F.lit(name).alias("table_id"), F.lit(name).alias("doc_id")))
+    return deps.unary_inclusions(reduce(DataFrame.unionByName, parts), scope="corpus").select(F.col("lhs_attr").alias("lhs"), F.col("rhs_attr").alias("rhs"))
 
 
 @plan("SELECT 'orders' AS what, NOT EXISTS (SELECT o_custkey FROM orders EXCEPT SELECT c_custkey FROM customer) AS holds UNION ALL SELECT 'documents', NOT EXISTS (SELECT doc_id FROM documents EXCEPT SELECT doc_id FROM labels)")
@@ -407,18 +480,26 @@ def inclusion_check(spark: SparkSession, sf: str) -> DataFrame:
     return _answers(spark, [("orders", deps.inclusion_holds(t(spark, sf, "orders"), ["o_custkey"], t(spark, sf, "customer"), ["c_custkey"])), ("documents", deps.inclusion_holds(t(spark, sf, "documents"), ["doc_id"], t(spark, sf, "labels"), ["doc_id"]))])
 
 
-@plan("SELECT 'l_partkey,l_suppkey' AS lhs, 'p,s' AS rhs, NOT EXISTS (SELECT l_partkey, l_suppkey FROM lineitem EXCEPT SELECT p, s FROM (SELECT DISTINCT l_partkey AS p, l_suppkey AS s FROM lineitem)) AS holds")
-def inclusion_nary(spark: SparkSession, sf: str) -> DataFrame:
-    """An inclusion of attribute pairs, grown from unary ones."""
-    line = t(spark, sf, "lineitem").select("l_partkey", "l_suppkey")
-    pairs = line.distinct().withColumnsRenamed({"l_partkey": "p", "l_suppkey": "s"})
-    found = deps.nary_inclusions({"a": line, "b": pairs}, [("a", "l_partkey", "b", "p"), ("a", "l_suppkey", "b", "s")], 2)
-    return spark.createDataFrame([(",".join(x), ",".join(y), True) for _, x, _, y in found if len(x) == 2], "lhs string, rhs string, holds boolean")
+_PAIRS = "SELECT DISTINCT 'customer' AS tab, c_custkey AS k, c_nationkey AS n FROM customer UNION SELECT 'orders', o_custkey, c_nationkey FROM orders JOIN customer ON o_custkey = c_custkey UNION SELECT 'events', user_id, c_nationkey FROM events JOIN customer ON user_id = c_custkey"
 
 
-@plan("SELECT * FROM (VALUES ('pair_codes.Nation', 'zones.Nation'), ('trade.Nation', 'zones.Nation')) v(lhs, rhs)")
+@plan(f"WITH p AS MATERIALIZED (SELECT tab, CAST(k AS VARCHAR) AS k, CAST(n AS VARCHAR) AS n FROM ({_PAIRS})) SELECT DISTINCT a.tab || '.k,' || a.tab || '.n' AS lhs, b.tab || '.k,' || b.tab || '.n' AS rhs FROM p a JOIN p b ON a.tab <> b.tab WHERE (a.tab, b.tab) NOT IN (SELECT (x.tab, y.tab) FROM p x CROSS JOIN (SELECT DISTINCT tab FROM p) y WHERE x.tab <> y.tab AND NOT EXISTS (SELECT 1 FROM p z WHERE z.tab = y.tab AND z.k = x.k AND z.n = x.n))")
+def inclusion_nary(spark: SparkSession, sf: str) -> DataFrame:
+    """Inclusions of pairs, customer and nation, between three tables, grown from unary ones: all candidates of a level in one job."""
+    customer = t(spark, sf, "customer").select(F.col("c_custkey").alias("k"), F.col("c_nationkey").alias("n"))
+    rows = {"customer": customer, "orders": t(spark, sf, "orders").select(F.col("o_custkey").alias("k")).join(customer, "k"), "events": t(spark, sf, "events").select(F.col("user_id").alias("k")).join(customer, "k")}
+    cells = []
+    for name, df in rows.items():
+        held = df.distinct().select(F.col("k").cast("string").alias(f"{name}.k"), F.col("n").cast("string").alias(f"{name}.n")).withColumn("row_id", F.concat_ws("|", F.lit(name), F.col(f"`{name}.k`")))
+        cells.append(held.unpivot(["row_id"], [F.col(f"`{name}.{c}`") for c in "kn"], "attr_id", "val_norm").withColumn("table_id", F.lit(name)).withColumn("doc_id", F.lit("given")))
+    held = written(reduce(DataFrame.unionByName, cells), "nary-cells")
+    listed = lambda side: F.array_join(F.expr(f"transform(array_sort(collect_list(struct(pos, {side}_attr))), x -> x.{side}_attr)"), ",").alias(side)
+    return deps.composite_inclusions(held, deps.unary_inclusions(held)).groupBy("ind_id").agg(listed("lhs"), listed("rhs")).select("lhs", "rhs")
+
+
+@plan(f"{W}, {oracles.LONG}, {oracles.INCLUSIONS}, rows_of AS (SELECT table_id, count(DISTINCT row_id) AS n FROM long GROUP BY 1), whole AS (SELECT attr FROM long JOIN rows_of USING (table_id) GROUP BY attr HAVING count(DISTINCT val) = any_value(n)) SELECT lhs, rhs FROM unary WHERE rhs IN (SELECT attr FROM whole)")
 def foreign_keys_core(spark: SparkSession, sf: str) -> DataFrame:
-    book = cataloged(spark, sf)
+    book = answers_book(spark, sf)
     return _named(book, deps.foreign_keys(book.inds.select("lhs_table", "lhs_attr", "rhs_table", "rhs_attr"), book.keys))
 
 
@@ -428,23 +509,29 @@ def joinability(spark: SparkSession, sf: str) -> DataFrame:
 
 
 @plan("""SELECT 'customer: c_nationkey -> c_mktsegment' AS dependency, (SELECT count(*) FROM (SELECT c_nationkey FROM customer GROUP BY 1 HAVING count(DISTINCT c_mktsegment) > 1)) AS violations
-UNION ALL SELECT 'customer: key c_custkey', 0 UNION ALL SELECT 'orders.o_custkey in customer.c_custkey', 0""")
+UNION ALL SELECT 'customer: key c_custkey', (SELECT count(*) FROM (SELECT c_custkey FROM customer GROUP BY 1 HAVING count(*) > 1)) UNION ALL SELECT 'orders.o_custkey in customer.c_custkey', (SELECT count(*) FROM (SELECT o_custkey FROM orders EXCEPT SELECT c_custkey FROM customer))""")
 def consistency_report(spark: SparkSession, sf: str) -> DataFrame:
     tables = {n: t(spark, sf, n) for n in ("customer", "orders")}
     return deps.check_consistency(tables, [("customer", ["c_nationkey"], ["c_mktsegment"])], [("customer", ["c_custkey"])], [("orders", ["o_custkey"], "customer", ["c_custkey"])])
 
 
-@plan("SELECT true AS holds, CAST(0 AS BIGINT) AS violations")
+@plan("SELECT count(*) = 0 AS holds, count(*) AS violations FROM (SELECT o_orderkey FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1 HAVING count(DISTINCT c_nationkey) > 1)")
 def fd_across(spark: SparkSession, sf: str) -> DataFrame:
     """An order's customer determines the nation in the customer table, aligned by their inclusion."""
     return deps.fd_holds_across(t(spark, sf, "orders").select("o_orderkey", "o_custkey"), ["o_orderkey"], t(spark, sf, "customer"), ["c_nationkey"], (["o_custkey"], ["c_custkey"]))
 
 
-@plan(W + "SELECT * FROM (VALUES ('keys', 'limits', 2), ('keys', 'pair_codes', 2), ('keys', 'zones', 1)) v(kind, table_id, n)")
+_FDS = " UNION ALL ".join(f"SELECT 'dependencies' AS kind, '{name}' AS table_id FROM ({oracles.fds(columns, deps.MOST_LEFT, f'{name}_')})" for name, columns in oracles.COLUMNS.items())
+_KEYS = " UNION ALL ".join(f"SELECT 'keys' AS kind, '{name}' AS table_id FROM {name}_minimal" for name in oracles.COLUMNS)
+
+
+@plan(f"{_COUNTS}, {oracles.LONG}, {oracles.INCLUSIONS} SELECT kind, table_id, count(*) AS n FROM ({_KEYS} UNION ALL {_FDS} UNION ALL SELECT 'inclusions', lhs_table FROM unary UNION ALL SELECT 'composite inclusions', lhs_table FROM pairs) GROUP BY ALL")
 def dependency_catalog(spark: SparkSession, sf: str) -> DataFrame:
-    """The offline catalog, its key components counted for tables without accidental keys."""
-    book = cataloged(spark, sf)
-    return book.keys.where("table_id IN ('limits', 'pair_codes', 'zones')").groupBy("table_id").agg(F.count(F.lit(1)).cast("int").alias("n")).select(F.lit("keys").alias("kind"), "table_id", "n")
+    """The offline catalog of all printed tables: keys, functional dependencies, inclusions of one attribute and of two, counted."""
+    book = answers_book(spark, sf)
+    parts = [("keys", book.keys, "table_id", "key_id"), ("dependencies", book.fds, "table_id", "fd_id"), ("inclusions", book.inds, "lhs_table", "ind_id"), ("composite inclusions", book.composites, "lhs_table", "ind_id")]
+    counted = [df.groupBy(F.col(table).alias("table_id")).agg(F.count_distinct(number).alias("n")).withColumn("kind", F.lit(kind)) for kind, df, table, number in parts]
+    return reduce(DataFrame.unionByName, counted).select("kind", "table_id", "n")
 
 
 @plan("""SELECT 'fd' AS kind, round(1 - (SELECT sum(m) FROM (SELECT l_orderkey, max(c) AS m FROM (SELECT l_orderkey, l_linestatus, count(*) AS c FROM lineitem GROUP BY ALL) GROUP BY 1)) / (SELECT count(*) FROM lineitem), 9) AS error
@@ -460,12 +547,21 @@ def fd_error_lineitem(spark: SparkSession, sf: str) -> DataFrame:
 # Matching
 
 
-@plan("SELECT asked, held, mode, CAST(round(s, 6) AS DOUBLE) AS s FROM (VALUES ('max', 'max', 'edit', 1.0), ('max', 'maxi', 'edit', 0.75), ('max', 'quantity', 'edit', 0.0), ('quantity limits', 'limits of quantity', 'token', 0.99), ('quan', 'quantity', 'prefix', 0.6 + 0.4 * 0.5 * 0.99), ('max', 'maxi', 'exact', 0.0)) v(asked, held, mode, s)")
+@plan("""WITH q AS (SELECT lower(r_name) AS asked FROM region UNION SELECT substr(lower(r_name), 1, 4) FROM region UNION SELECT split_part(lower(r_name), ' ', 1) FROM region UNION SELECT substr(lower(r_name), 2) FROM region),
+p AS (SELECT asked, lower(r_name) AS held, list_distinct(regexp_extract_all(asked, '[\\p{L}\\p{N}]+')) AS words, regexp_extract_all(lower(r_name), '[\\p{L}\\p{N}]+') AS others FROM q CROSS JOIN region),
+s AS (SELECT asked, held, 'exact' AS mode, CASE WHEN asked = held THEN 1.0 ELSE 0.0 END AS s FROM p
+UNION ALL SELECT asked, held, 'edit', CASE WHEN 1 - levenshtein(asked, held) / greatest(length(asked), length(held)) >= 0.6 THEN 1 - levenshtein(asked, held) / greatest(length(asked), length(held)) ELSE 0 END FROM p
+UNION ALL SELECT asked, held, 'token', CASE WHEN asked = held THEN 1 WHEN len(list_intersect(words, others)) / len(words) >= 0.6 THEN least(len(list_intersect(words, others)) / len(words), 0.99) ELSE 0 END FROM p
+UNION ALL SELECT asked, held, 'prefix', CASE WHEN asked = held THEN 1 WHEN starts_with(held, asked) THEN 0.6 + 0.4 * length(asked) / length(held) * 0.99 ELSE 0 END FROM p)
+SELECT asked, held, mode, CAST(round(s * 1000000) AS BIGINT) AS millionths FROM s WHERE s > 0""")
 def match_modes(spark: SparkSession, sf: str) -> DataFrame:
-    rows = [("max", "max", "edit"), ("max", "maxi", "edit"), ("max", "quantity", "edit"), ("quantity limits", "limits of quantity", "token"), ("quan", "quantity", "prefix"), ("max", "maxi", "exact")]
-    df = spark.createDataFrame(rows, "asked string, held string, mode string")
-    score = reduce(lambda c, m: c.when(F.col("mode") == m, match_score(F.col("asked"), F.col("held"), m)), ("token", "prefix", "exact"), F.when(F.col("mode") == "edit", match_score(F.col("asked"), F.col("held"), "edit")))
-    return df.select("asked", "held", "mode", F.round(score, 6).cast("decimal(18,6)").cast("double").alias("s"))
+    """Region names, and parts of them, against region names, in each way of matching."""
+    held = t(spark, sf, "region").select(F.lower("r_name").alias("held"))
+    parts = [F.col("held"), F.substring("held", 1, 4), F.split_part("held", F.lit(" "), F.lit(1)), F.expr("substr(held, 2)")]
+    asked = reduce(DataFrame.union, [held.select(c.alias("asked")) for c in parts]).distinct()
+    pairs = asked.crossJoin(held)  # twenty by five
+    each = [pairs.select("asked", "held", F.lit(m).alias("mode"), match_score(F.col("asked"), F.col("held"), m).alias("s")) for m in ("exact", "edit", "token", "prefix")]
+    return reduce(DataFrame.unionByName, each).where("s > 0").select("asked", "held", "mode", F.round(F.col("s") * 1000000).cast("bigint").alias("millionths"))
 
 
 @plan("SELECT a.n_name AS asked, b.n_name AS held, CAST(round((1 - levenshtein(lower(a.n_name), lower(b.n_name)) / greatest(length(a.n_name), length(b.n_name))) * 1000000) AS BIGINT) AS millionths FROM nation a JOIN nation b ON 1 - levenshtein(lower(a.n_name), lower(b.n_name)) / greatest(length(a.n_name), length(b.n_name)) >= 0.6")

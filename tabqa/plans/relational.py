@@ -3,6 +3,8 @@
 from __future__ import annotations
 
 import pandas as pd
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
@@ -61,30 +63,32 @@ def join_merge(spark: SparkSession, sf: str) -> DataFrame:
     return t(spark, sf, "lineitem").join(t(spark, sf, "orders").hint("merge"), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("l_orderkey", "l_linenumber", "o_orderstatus").agg(F.count(F.lit(1)).alias("n"))
 
 
-def _customers_orders(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    return t(spark, sf, "customer").where("c_custkey % 3 = 0").select("c_custkey"), t(spark, sf, "orders").where("o_orderkey % 5 = 0").select("o_orderkey", "o_custkey")
+_FINISHED = "c_custkey = o_custkey AND o_orderstatus = 'F'"
+
+
+def _outer(spark: SparkSession, sf: str, how: str) -> DataFrame:
+    """All customers and all orders, which meet where an order is finished; either side's others have no partner."""
+    customers, orders = t(spark, sf, "customer").select("c_custkey"), t(spark, sf, "orders").select("o_orderkey", "o_custkey", "o_orderstatus")
+    return customers.join(orders, F.expr(_FINISHED), how).select(*(F.coalesce(c, F.lit(-1)).alias(c) for c in ("c_custkey", "o_orderkey")))
 
 
 def _outer_sql(how: str) -> str:
-    return f"SELECT coalesce(c_custkey, -1) AS c_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM (SELECT c_custkey FROM customer WHERE c_custkey % 3 = 0) {how} JOIN (SELECT o_orderkey, o_custkey FROM orders WHERE o_orderkey % 5 = 0) ON c_custkey = o_custkey"
+    return f"SELECT coalesce(c_custkey, -1) AS c_custkey, coalesce(o_orderkey, -1) AS o_orderkey FROM customer {how} JOIN orders ON {_FINISHED}"
 
 
 @plan(_outer_sql("LEFT"))
 def join_left(spark: SparkSession, sf: str) -> DataFrame:
-    c, o = _customers_orders(spark, sf)
-    return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "left").select(*(F.coalesce(c, F.lit(-1)).alias(c) for c in ("c_custkey", "o_orderkey")))
+    return _outer(spark, sf, "left")
 
 
 @plan(_outer_sql("RIGHT"))
 def join_right(spark: SparkSession, sf: str) -> DataFrame:
-    c, o = _customers_orders(spark, sf)
-    return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "right").select(*(F.coalesce(c, F.lit(-1)).alias(c) for c in ("c_custkey", "o_orderkey")))
+    return _outer(spark, sf, "right")
 
 
 @plan(_outer_sql("FULL"))
 def join_full(spark: SparkSession, sf: str) -> DataFrame:
-    c, o = _customers_orders(spark, sf)
-    return c.join(o, F.col("c_custkey") == F.col("o_custkey"), "full").select(*(F.coalesce(c, F.lit(-1)).alias(c) for c in ("c_custkey", "o_orderkey")))
+    return _outer(spark, sf, "full")
 
 
 @plan("SELECT doc_id, lang FROM documents WHERE EXISTS (SELECT 1 FROM labels l WHERE l.doc_id = documents.doc_id)")
@@ -170,10 +174,14 @@ def agg_filtered(spark: SparkSession, sf: str) -> DataFrame:
     return t(spark, sf, "lineitem").groupBy("l_linestatus").agg(F.count_if(F.col("l_quantity") > 25).alias("many"), F.sum(F.when(F.col("l_returnflag") == "R", F.col("l_linenumber")).otherwise(0)).alias("returned"))
 
 
-@plan()
+@plan("SELECT l_returnflag, count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers, true AS middle_is_near FROM lineitem GROUP BY ALL")
 def agg_approx(spark: SparkSession, sf: str) -> DataFrame:
+    """Estimates, told by the exact figure where they come within five per cent of it, and as they are where they don't."""
+    near = lambda estimate, exact: F.when(F.abs(F.col(estimate) - F.col(exact)) <= 0.05 * F.col(exact), F.col(exact)).otherwise(F.col(estimate)).cast("bigint").alias(exact)
     line = t(spark, sf, "lineitem")
-    return line.groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey").alias("parts"), F.hll_sketch_estimate(F.hll_sketch_agg("l_suppkey")).alias("suppliers"), F.percentile_approx("l_quantity", 0.5).alias("middle"))
+    rough = line.groupBy("l_returnflag").agg(F.approx_count_distinct("l_partkey", 0.02).alias("p"), F.hll_sketch_estimate(F.hll_sketch_agg("l_suppkey")).alias("s"), F.percentile_approx("l_quantity", 0.5).alias("q"), F.median("l_quantity").alias("middle"))
+    exact = line.groupBy("l_returnflag").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers"))
+    return rough.join(exact, "l_returnflag").select("l_returnflag", near("p", "parts"), near("s", "suppliers"), (F.abs(F.col("q") - F.col("middle")) <= 1).alias("middle_is_near"))
 
 
 @plan("SELECT p_brand, median(p_size) AS middle, max(p_name) AS last_name, arg_max(p_partkey, struct_pack(a := p_retailprice, b := p_partkey)) AS dearest, CAST(bit_or(p_size) AS INTEGER) AS bits FROM part GROUP BY ALL")
@@ -258,10 +266,10 @@ def topk_group(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _keys(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame]:
-    return t(spark, sf, "orders").select(F.col("o_custkey").alias("k")), t(spark, sf, "customer").where("c_custkey % 2 = 0").select(F.col("c_custkey").alias("k"))
+    return t(spark, sf, "orders").select(F.col("o_custkey").alias("k")), t(spark, sf, "labels").select(F.col("doc_id").alias("k"))
 
 
-_A, _B = "SELECT o_custkey AS k FROM orders", "SELECT c_custkey AS k FROM customer WHERE c_custkey % 2 = 0"
+_A, _B = "SELECT o_custkey AS k FROM orders", "SELECT doc_id AS k FROM labels"
 
 
 @plan(f"SELECT k, count(*) AS n FROM ({_A} UNION ALL {_B}) GROUP BY k")
@@ -364,10 +372,11 @@ def cte_recursive(spark: SparkSession, sf: str) -> DataFrame:
     return spark.sql("WITH RECURSIVE s(n, p) AS (SELECT 1, CAST(1 AS BIGINT) UNION ALL SELECT n + 1, p * 2 FROM s WHERE n < 20) SELECT n, p FROM s")
 
 
-@plan()
+@plan("SELECT l_orderkey, l_linenumber, l_returnflag FROM lineitem WHERE substr(md5(l_orderkey || '-' || l_linenumber || '-' || l_partkey), 1, 1) = '0'")
 def sample_hash(spark: SparkSession, sf: str) -> DataFrame:
-    """A stratified sample by hash: the same rows in every run."""
-    return t(spark, sf, "lineitem").where(F.pmod(F.xxhash64("l_orderkey", "l_linenumber", "l_partkey"), F.lit(10)) == 0).select("l_orderkey", "l_linenumber", "l_returnflag")
+    """A sampling operator: one row in sixteen by its digest, the same rows in every run."""
+    digest = F.md5(F.concat_ws("-", "l_orderkey", "l_linenumber", "l_partkey").cast("binary"))
+    return t(spark, sf, "lineitem").where(F.substring(digest, 1, 1) == "0").select("l_orderkey", "l_linenumber", "l_returnflag")
 
 
 # Functions of one's own
@@ -385,6 +394,20 @@ def udf_mask(spark: SparkSession, sf: str) -> DataFrame:
     return t(spark, sf, "customer").select("c_custkey", mask("c_name").alias("mask"))
 
 
+@plan("SELECT c_nationkey, CAST(sum(length(c_name)) AS BIGINT) AS letters FROM customer GROUP BY 1")
+def udf_arrow(spark: SparkSession, sf: str) -> DataFrame:
+    """A scalar function and a grouped one on Arrow data, without pandas between."""
+    @F.arrow_udf("int")
+    def length(names: pa.Array) -> pa.Array:
+        return pc.cast(pc.utf8_length(names), pa.int32())
+
+    def total(group: pa.Table) -> pa.Table:
+        return pa.table({"c_nationkey": group["c_nationkey"].slice(0, 1), "letters": pa.array([pc.sum(group["n"]).as_py()], pa.int64())})
+
+    counted = t(spark, sf, "customer").select("c_nationkey", length("c_name").alias("n")).groupBy("c_nationkey", "n").agg(F.count(F.lit(1)).alias("k"))
+    return counted.select("c_nationkey", (F.col("n") * F.col("k")).cast("int").alias("n")).groupBy("c_nationkey").applyInArrow(total, "c_nationkey int, letters bigint")
+
+
 @plan("SELECT 'lineitem' AS name, CAST(count(*) - count(DISTINCT (l_orderkey, l_linenumber)) AS BIGINT) AS spare FROM lineitem")
 def udaf_key_spare(spark: SparkSession, sf: str) -> DataFrame:
     """Rows beyond one for each key: a fold of two counts."""

@@ -76,17 +76,31 @@ def stream_query_lookup(spark: SparkSession, sf: str) -> DataFrame:
     return streams.answer_stream(asked, answers.book(spark, sf)).groupBy("query_id", "stage").agg(F.count(F.lit(1)).alias("n"))
 
 
-@plan()
+@plan("SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events WHERE ts::DATE = (SELECT max(ts)::DATE FROM events) GROUP BY 1")
 def stream_late(spark: SparkSession, sf: str) -> DataFrame:
-    """Rows that come after their window has closed are dropped: the last day arrives first, then an early one."""
+    """Rows that come after their window has closed are dropped: the last day arrives first, then the first one, of which nothing is seen."""
     place = streams.place(spark, "late")
     events = t(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp")).select("event_id", "ts")
     first, last = events.agg(F.min("ts"), F.max("ts")).first()
-    events.where(F.to_date("ts") == F.lit(last).cast("date")).coalesce(1).write.parquet(f"{place}/in")
-    events.where(F.to_date("ts") == F.lit(first).cast("date")).coalesce(1).write.mode("append").parquet(f"{place}/in")
-    stream = spark.readStream.schema("event_id bigint, ts timestamp").option("maxFilesPerTrigger", 1).parquet(f"{place}/in")
-    counts = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
-    run = counts.writeStream.outputMode("update").option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).format("noop").start()
-    run.awaitTermination()
-    dropped = sum(op.numRowsDroppedByWatermark for p in run.recentProgress for op in p.stateOperators)
-    return spark.createDataFrame([(dropped,)], "dropped bigint")
+    write = lambda batch, number: batch.write.mode("overwrite").parquet(f"{place}/out/batch={number}")
+    for day in (last, first):  # a run for each day; the second goes on from the first one's state
+        events.where(F.to_date("ts") == F.lit(day).cast("date")).coalesce(1).write.mode("append").parquet(f"{place}/in")
+        stream = spark.readStream.schema("event_id bigint, ts timestamp").parquet(f"{place}/in")
+        counts = stream.withWatermark("ts", "1 hour").groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n")).select(_day("window.start"), "n")
+        counts.writeStream.outputMode("update").option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).foreachBatch(write).start().awaitTermination()
+    return spark.read.schema("day string, n bigint").parquet(f"{place}/out").select("day", "n")
+
+
+@plan(methods.W + ", " + ", ".join(f"{name}_n AS (SELECT count(*) AS n FROM {name})" for name in ("pair_codes", "limits", "trade", "zones", "zone_counts")) + """
+SELECT 'pair_matrix' AS family, 1::BIGINT AS tables, (SELECT n FROM pair_codes_n) AS n_rows UNION ALL SELECT 'limit_matrix', 1, (SELECT n FROM limits_n) UNION ALL SELECT 'trade_matrix', 1, (SELECT n FROM trade_n) UNION ALL SELECT 'plain_listing', 2, (SELECT n FROM zones_n) + (SELECT n FROM zone_counts_n)""")
+def stream_recognise(spark: SparkSession, sf: str) -> DataFrame:
+    """Pages arrive, and the trained model assigns their tables' families: no family is named beforehand."""
+    place = streams.place(spark, "unnamed")
+    corpus.as_html(corpus.handbook(spark, sf)).write.parquet(place)
+    pages = spark.readStream.schema("page_id bigint, url string, html string").parquet(place)
+    parameters = answers.trained_parameters(spark, sf)
+    from tabqa.operators import ingest
+
+    cells = streams.ingest_pages(pages, lambda grids: ingest.recognised(grids, parameters), corpus.registry(spark), keep=("family",))
+    rows = cells.groupBy("family", "table_id", "row_no").agg(F.bool_or(F.col("val_raw") == "n/a").alias("gap")).where("NOT gap")
+    return rows.groupBy("family").agg(F.count_distinct("table_id").alias("tables"), F.count(F.lit(1)).alias("n_rows"))

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from tabqa.operators import expand, query, store
-from tabqa.session import shared_folder, table
+from tabqa.session import shared_folder, table, written
 from tabqa.sources.html_tables import extract_tables
 
 
@@ -84,15 +84,15 @@ def running_hits(events: DataFrame) -> DataFrame:
     return events.groupBy("user_id").applyInPandasWithState(count, "user_id bigint, hits bigint", "hits bigint", "update", GroupStateTimeout.NoTimeout)
 
 
-def ingest_pages(pages: DataFrame, family_of: Callable[[DataFrame], DataFrame], registry: DataFrame) -> DataFrame:
+def ingest_pages(pages: DataFrame, family_of: Callable[[DataFrame], DataFrame], registry: DataFrame, keep: tuple[str, ...] = ()) -> DataFrame:
     """Pages as they come: tables, grids, families, flat cells. A batch's cells replace those of an earlier try of it."""
     spark = pages.sparkSession
     folder = place(spark, "ingest")
 
     def take(batch: DataFrame, number: int) -> None:
-        grids = family_of(expand.unspan(extract_tables(batch)))
-        flat = expand.unfold(grids, registry)
-        cells = flat.select("table_id", "row_no", F.posexplode("values").alias("ord", "val_raw"))
+        grids = written(family_of(expand.unspan(extract_tables(batch))), "stream-grids")
+        flat = expand.unfold(grids, registry).join(grids.select("table_id", *keep), "table_id")
+        cells = flat.select("table_id", *keep, "row_no", F.posexplode("values").alias("ord", "val_raw"))
         cells.write.mode("overwrite").parquet(f"{folder}/cells/batch={number}")
 
     pages.writeStream.foreachBatch(take).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start().awaitTermination()

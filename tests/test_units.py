@@ -6,7 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from tabqa.functions.text import mask_text, match_score, normalize_value
-from tabqa.operators import deps, expand, family_model, layout, query
+from tabqa.operators import deps, expand, family_model, ingest, layout, query, store
 from tabqa.plans import answers
 from tabqa.session import table
 from tabqa.sources import corpus
@@ -185,3 +185,146 @@ def test_printed_tables_have_all_minimal_keys_of_any_size(spark):
         for r in deps.minimal_keys_batch(frame, max_size).collect():
             keys.setdefault((r["table_id"], r["key_id"]), []).append(r["attr_id"])
         assert {(t, tuple(sorted(k))) for (t, _), k in keys.items()} == want
+
+
+def test_long_and_open_spans(spark):
+    """A span of many rows is whole; one of 0 goes on to the end of its group of rows, and none goes beyond it."""
+    html = "<table><tr><td rowspan=1500>x<td>a" + "".join(f"<tr><td>{i}" for i in range(1600)) + "</table>"
+    html += "<table><thead><tr><td rowspan=0>p<td>q<tr><td>r</thead><tbody><tr><td rowspan=9>s<td colspan='2'>t</tbody><tr><td>u</table>"
+    pages = spark.createDataFrame([(1, "u", html)], "page_id long, url string, html string")
+    grids = {r["table_id"]: r["grid"] for r in expand.unspan(extract_tables(pages)).collect()}
+    assert len(grids["u#0"]) == 1601 and grids["u#0"][1499] == ["x", "1498"] and grids["u#0"][1500] == ["1499", None]
+    assert grids["u#1"] == [["p", "q", None], ["p", "r", None], ["s", "t", "t"], ["u", None, None]]
+
+
+def test_large_grids_take_linear_work(spark):
+    import time
+
+    grid = [["", "x"] + ["h"] * 58] + [[f"k{i}", str(i)] + [str(i * j) for j in range(58)] for i in range(2000)]
+    frame = spark.createDataFrame([("t", grid)], "table_id string, grid array<array<string>>")
+    began = time.time()
+    found = layout.layout_features(frame).first()
+    assert (found["f1"], found["f2"]) == (1.0, 1.0) and time.time() - began < 60
+    html = "<table>" + "".join("<tr>" + "".join(f"<td>{i * j}" for j in range(60)) for i in range(2000)) + "</table>"
+    again = expand.unspan(extract_tables(spark.createDataFrame([(1, "u", html)], "page_id long, url string, html string"))).first()["grid"]
+    assert len(again) == 2000 and again[1999][59] == str(1999 * 59) and time.time() - began < 90
+
+
+def test_boundaries_against_the_plain_rule():
+    import random
+
+    def plain(m, periods, share):
+        for i in range(1, len(m)):
+            for p in range(1, periods + 1):
+                rest = [m[k] == m[k + p] for k in range(i, len(m) - p)]
+                if m[i - 1] != m[i] and rest and rest[0] and sum(rest) >= share * len(rest):
+                    return i
+        return None
+
+    rng = random.Random(4)
+    for _ in range(2000):
+        masks = [rng.choice("ADN") for _ in range(rng.randint(0, 12))]
+        assert layout.first_change(masks, 3, 0.5) == plain(masks, 3, 0.5)
+        want = next((i for i in range(1, len(masks)) if masks[i - 1] != masks[i] and masks[i:].count(masks[i]) >= 0.8 * (len(masks) - i)), None)
+        assert layout.majority_start(masks, 0.8) == want
+
+
+def test_similar_texts_are_found_by_grams(spark):
+    """No pair within the likeness is missed, whatever the letters; held against all pairs."""
+    import random
+
+    rng = random.Random(9)
+    texts = sorted({"".join(rng.choice("aab") for _ in range(rng.randint(1, 9))) for _ in range(150)} | {"a" * k for k in range(1, 15)} | {"nation 1", "nation 12", "nations", "station"})
+    frame = spark.createDataFrame([(t,) for t in texts], "val_norm string")
+    sized = store.sized(frame, F.col("val_norm"))
+    asked = frame.withColumnRenamed("val_norm", "asked")
+    found = store.similar(asked, sized, store.gram_postings(sized)).withColumn("s", match_score(F.col("asked"), F.col("val_norm"))).where("s > 0")
+    pairs = asked.crossJoin(frame).withColumn("s", match_score(F.col("asked"), F.col("val_norm"))).where("s > 0")
+    assert sorted(map(tuple, found.collect())) == sorted(map(tuple, pairs.select("asked", "val_norm", "s").collect()))
+    assert 0 < sized.where("weak").count() < len(texts) and not sized.where("weak AND val_norm LIKE '%ation%'").count()
+
+
+def test_too_many_conditions_are_refused(spark):
+    spec = {"given": [{"value": str(i)} for i in range(63)]}
+    with pytest.raises(ValueError):
+        query.parse_query(spec)
+    import json
+
+    frame = spark.createDataFrame([("q", json.dumps(spec))], "query_id string, spec string")
+    with pytest.raises(Exception, match="at most"):
+        query.Batch.of_frame(frame).conditions.collect()
+    for bad in ('{"given": []}', '{"given": [{"attr": "a"}]}', "{}"):
+        with pytest.raises(Exception, match="needs"):
+            query.Batch.of_frame(spark.createDataFrame([("q", bad)], "query_id string, spec string")).conditions.collect()
+
+
+def test_specs_of_a_frame_are_those_of_the_driver(spark):
+    import json
+
+    specs = {"a": {"table_topics": ["x", "y"], "targets": "Max", "conditions": [{"attribute_name": " B ", "value": "08"}, {"val": "c"}]}, "b": {"given": [{"value": "1"}]}}
+    ours, theirs = query.Batch.of(spark, specs), query.Batch.of_frame(spark.createDataFrame([(k, json.dumps(v)) for k, v in specs.items()], "query_id string, spec string"))
+    for name in ("conditions", "goals", "topics"):
+        one, other = getattr(ours, name), getattr(theirs, name)
+        assert sorted(map(str, one.collect())) == sorted(map(str, other.select(*one.columns).collect()))
+
+
+def small_store(spark, tables):
+    """A store of tables given as rows with a header."""
+    flat, attrs = [], []
+    for name, (head, *rows) in tables.items():
+        flat += [(name, i, list(map(str, r))) for i, r in enumerate(rows)]
+        attrs += [(name, i, label) for i, label in enumerate(head)]
+    meta = spark.createDataFrame([(n, "d", n, 1, 1, "plain_listing") for n in tables], "table_id string, doc_id string, caption string, page_begin int, page_end int, family string")
+    return store.load_store(spark.createDataFrame(flat, "table_id string, row_no int, values array<string>"), meta, spark.createDataFrame(attrs, "table_id string, ord int, label string"))
+
+
+def test_parts_read_from_one_table_stand_in_one_row(spark):
+    """Both missing parts are read from the same linked table: only pairs that stand in one of its rows are answers."""
+    tables = {
+        "pairs": [("Left", "Right", "Word"), ("l1", "r1", "go"), ("l2", "r2", "go"), ("l3", "r3", "no")],
+        "weights": [("Left", "Right", "Weight"), ("l1", "r1", 11), ("l1", "r2", 12), ("l2", "r1", 21), ("l2", "r2", 22), ("l3", "r3", 33)],
+    }
+    held = ingest.cataloged(small_store(spark, tables))
+    assert [tuple(r) for r in held.composites.where("lhs_table = 'pairs'").orderBy("pos").select("lhs_attr", "rhs_attr", "arity").collect()] == [("pairs#a0", "weights#a0", 2), ("pairs#a1", "weights#a1", 2)]
+    batch = query.Batch.of(spark, {"q": {"wanted": ["Weight"], "given": [{"value": "go"}]}})
+    weights = lambda s: sorted(r["value"] for r in query.wanted_values(s, batch, query.answer(s, batch).select("query_id", "table_id", "row_id")).collect())
+    assert weights(held) == ["11", "22"]
+    from dataclasses import replace
+
+    assert weights(replace(held, composites=None)) == ["11", "12", "21", "22"]
+
+
+def test_dependencies_of_noisy_tables(spark):
+    rows = [(i, i // 2, f"x{i // 4}") for i in range(40)]
+    noisy = [*rows[:39], (39, 19, "odd")]
+    held = small_store(spark, {"clean": [("A", "B", "C"), *rows], "noisy": [("A", "B", "C"), *noisy], "far": [("B",), *((i,) for i in range(19))]})
+    fds = lambda **o: {(r["table_id"], r["lhs_attr"][-1], r["rhs_attr"][-1]) for r in deps.find_fds_batch(held.cells, **o).where("n_lhs = 1").collect()}
+    assert ("clean", "1", "2") in fds() and ("noisy", "1", "2") not in fds() and ("noisy", "1", "2") in fds(eps=0.05)
+    inds = lambda **o: {(r["lhs_attr"], r["rhs_attr"]) for r in deps.unary_inclusions(held.cells, **o).collect()}
+    assert ("clean#a1", "far#a0") not in inds() and ("clean#a1", "far#a0") in inds(eps=0.05) and ("far#a0", "clean#a1") in inds()
+    twice = small_store(spark, {"t": [("K", "V"), *((min(i, 38), i % 2) for i in range(40))]})
+    keys = lambda **o: {r["attr_id"] for r in deps.minimal_keys_batch(twice.cells, **o).where("NOT is_composite").collect()}
+    assert keys() == set() and keys(eps=0.05) == {"t#a0"}
+
+
+def test_wide_tables_say_that_their_search_was_cut(spark, monkeypatch):
+    monkeypatch.setattr(deps, "MOST_SETS", 3)
+    held = small_store(spark, {"t": [tuple("ABCDE"), *((i & 1, i >> 1 & 1, i >> 2 & 1, i >> 3 & 1, 0) for i in range(16))]})
+    keys = deps.minimal_keys_batch(held.cells).collect()
+    assert {r["attr_id"] for r in keys} == {f"t#a{i}" for i in range(4)} and not keys[0]["is_complete"] and keys[0]["is_minimal"]
+
+
+def test_names_come_from_the_table_or_the_caption(spark, sf):
+    held = answers.ingested(spark, sf)
+    named = {}
+    for r in held.attrs.collect():
+        named.setdefault(r["table_id"].split("/")[-1], set()).add(r["label"])
+    assert named["limits#0"] == {"Size Code", "Code", "Min", "Nom", "Max"} and named["zones#0"] == {"Nation", "Zone"} and named["trade#0"] == {"Nation", "Year", "Quantity", "Value"}
+    assert {r["family"] for r in held.tables.collect()} == {"limit_matrix", "pair_matrix", "trade_matrix", "plain_listing"}
+
+
+def test_look_ups_read_the_index(spark, sf):
+    """A strict look-up's values reach the scan of the sorted postings."""
+    held = answers.book(spark, sf)
+    plan = query.hits(held, query.Batch.of(spark, {"q": {"given": [{"value": "c3"}]}}))._jdf.queryExecution().toString()
+    assert "EqualTo(val_norm,c3)" in plan or "In(val_norm, [c3])" in plan
