@@ -148,9 +148,12 @@ def train(labelled: DataFrame, per_language: int = PER_LANGUAGE, text_col: str =
     """
     rows = labelled.select(F.col(text_col).cast("string").alias("text"), F.col(label_col).cast("string").alias("lang")).where("lang IS NOT NULL").where(F.col("text").rlike(r"\p{L}"))
     rows = rows.withColumn("hash", F.xxhash64("text", F.lit(3)))
-    least = Window.partitionBy("lang").orderBy("hash")
-    chosen = rows.select("lang", "hash").distinct().withColumn("r", F.row_number().over(least)).where(F.col("r") <= per_language).select("lang", "hash")
-    # of a text's copies one is taken, already before the shuffle
+    # the least hashes of each language: first within slices of it, then of what the slices leave
+    sliced = rows.select("lang", "hash").distinct().withColumn("slice", F.pmod("hash", F.lit(32)))
+    for by in (["lang", "slice"], ["lang"]):
+        sliced = sliced.withColumn("r", F.row_number().over(Window.partitionBy(*by).orderBy("hash"))).where(F.col("r") <= per_language).drop("r")
+    # sent to all tasks: at most `per_language` hashes a language. Of a text's copies one is taken, already before the shuffle
+    chosen = F.broadcast(sliced.select("lang", "hash"))
     sample = rows.join(chosen, ["lang", "hash"], "left_semi").groupBy("lang", "hash").agg(F.min("text").alias("text")).select("text", "lang")
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
