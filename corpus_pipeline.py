@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from tabqa.llm import jaccard_join, line_dedup, packing, quality, suffix_dedup
 from tabqa.llm.common import unused
 from tabqa.llm.queries import vocabulary
-from tabqa.session import shared_folder, ship_package, written
+from tabqa.session import scratch_folder, ship_package, written
 
 #: No SQL expresses the packing and the tokens; tests hold the pipeline against a brute-force version.
 ORACLE_SQL = None
@@ -73,7 +73,7 @@ STAGES = [
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages; each is written as Parquet in the shared folder and read again."""
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    folder = f"{shared_folder(spark)}/tabqa/pipeline-{uuid.uuid4().hex}"
+    folder = f"{scratch_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")

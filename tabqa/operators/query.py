@@ -300,7 +300,7 @@ def tables_with_labels(store: Store, batch: Batch, mode: str = "any", found: Dat
     if found is None:
         reached = free.crossJoin(store.tables.select("table_id"))
     else:
-        reached = found.select("query_id", "table_id").distinct().join(free, "query_id", "left_semi")
+        reached = found.join(free, "query_id", "left_semi").select("query_id", "table_id").distinct()
         links = links_of(store.inds).join(store.attrs.select("attr_id", "table_id"), "attr_id").select("table_id", "link_table").distinct()
         for _ in range(hops):
             reached = reached.unionByName(reached.join(links.select(F.col("link_table").alias("table_id"), F.col("table_id").alias("to")), "table_id").select("query_id", F.col("to").alias("table_id"))).distinct()
@@ -366,7 +366,7 @@ def answer(store: Store, batch: Batch, stop: str = "all", direction: str = "both
     """
     from tabqa.session import written
 
-    found = written(hits(store, batch), "query-hits")
+    found = written(hits(store, batch).select("query_id", "cond", "n_conds", "table_id", "row_id", "attr_id", "attr_ok"), "query-hits")
     masks = written(row_masks(found), "query-masks")
     goal_tables = written(tables_with_labels(store, batch, found=found, hops=max_hops), "query-goals")
     direct = masks.where(f"mask = {_FULL}")

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from tabqa.operators import store
 from tabqa.plans import answers, methods
 from tabqa.plans.registry import plan
-from tabqa.session import shared_folder
+from tabqa.session import scratch_folder
 from tabqa.sources import corpus
 from tabqa.sources.grid_files import SCHEMA, read_grids
 
@@ -18,7 +18,7 @@ _SHAPES = methods.W + "SELECT 'zones' AS table_id, (SELECT count(*) + 1 FROM zon
 
 
 def _grid_files(spark: SparkSession, sf: str) -> str:
-    folder = f"{shared_folder(spark)}/tabqa/grids-{uuid.uuid4().hex}"
+    folder = f"{scratch_folder(spark)}/grids-{uuid.uuid4().hex}"
     corpus.handbook(spark, sf).where("table_id IN ('zones', 'pair_codes')").select("table_id", "family", "grid").write.json(folder)
     return folder
 
@@ -39,7 +39,7 @@ def scan_grid_source(spark: SparkSession, sf: str) -> DataFrame:
 def sink_bucketed(spark: SparkSession, sf: str) -> DataFrame:
     """Postings bucketed and sorted by value: a look-up reads one bucket."""
     name = f"tabqa_postings_{uuid.uuid4().hex}"
-    path = f"{shared_folder(spark)}/tabqa/{name}"
+    path = f"{scratch_folder(spark)}/{name}"
     store.value_postings(answers.book(spark, sf)).write.bucketBy(8, "val_norm").sortBy("val_norm").option("path", path).saveAsTable(name)
     return spark.table(name).where("val_norm = 'c3'").agg(F.count(F.lit(1)).alias("n"))
 

@@ -432,9 +432,9 @@ def udtf_letters(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _round_trip(spark: SparkSession, df: DataFrame, form: str, **options) -> DataFrame:
-    from tabqa.session import shared_folder
+    from tabqa.session import scratch_folder
 
-    path = f"{shared_folder(spark)}/tabqa/trip-{form}-{abs(hash((form, id(df))))}"
+    path = f"{scratch_folder(spark)}/trip-{form}-{abs(hash((form, id(df))))}"
     df.write.mode("overwrite").format(form).options(**options).save(path)
     return spark.read.schema(df.schema).format(form).options(**options).load(path)
 
@@ -457,8 +457,8 @@ def scan_orc_roundtrip(spark: SparkSession, sf: str) -> DataFrame:
 @plan("SELECT n_regionkey, count(*) AS n FROM nation WHERE n_regionkey < 3 GROUP BY ALL")
 def sink_partitioned(spark: SparkSession, sf: str) -> DataFrame:
     """Written by region; the filter reads three folders of five."""
-    from tabqa.session import shared_folder
+    from tabqa.session import scratch_folder
 
-    path = f"{shared_folder(spark)}/tabqa/nation-by-region"
+    path = f"{scratch_folder(spark)}/nation-by-region"
     t(spark, sf, "nation").write.mode("overwrite").partitionBy("n_regionkey").parquet(path)
     return spark.read.parquet(path).where("n_regionkey < 3").groupBy("n_regionkey").agg(F.count(F.lit(1)).alias("n"))

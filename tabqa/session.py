@@ -6,8 +6,11 @@ import gc
 import io
 import os
 import tempfile
+import threading
 import uuid
 import zipfile
+from collections.abc import Iterator
+from contextlib import contextmanager
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
@@ -77,16 +80,43 @@ def cut(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def written(df: DataFrame, name: str, compression: str = "snappy") -> DataFrame:
+def scratch_folder(spark: SparkSession) -> str:
+    """Where this application's intermediate files lie: a folder of its own in the shared one."""
+    return f"{shared_folder(spark)}/tabqa/{spark.sparkContext.applicationId}"
+
+
+_SCRATCH = threading.local()
+
+
+def written(df: DataFrame, name: str, compression: str = "snappy", keep: bool = False) -> DataFrame:
     """Writes a frame as Parquet in the shared folder and reads it back: smaller than a checkpoint."""
     spark = df.sparkSession
-    path = f"{shared_folder(spark)}/tabqa/{name}-{uuid.uuid4().hex}"
+    path = f"{scratch_folder(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.option("compression", compression).parquet(path)
     out = spark.read.parquet(path)
     out._tabqa_path = path
+    if len(held := _SCRATCH.__dict__.setdefault("held", [])) > keep:
+        held[-2 if keep else -1].append(out)
     return out
 
 
+@contextmanager
+def scratch() -> Iterator[None]:
+    """Frames written inside are deleted at the end; those written with `keep` with the scratch around it, if there is one."""
+    stack = _SCRATCH.__dict__.setdefault("held", [])
+    stack.append([])
+    try:
+        yield
+    finally:
+        for df in stack.pop():
+            discard(df)
+
+
+def clean_up(spark: SparkSession) -> None:
+    """Deletes all that this application wrote between steps; for its end, when no frame that was returned is needed any more."""
+    _delete(spark, scratch_folder(spark))
+
+
 def free_shuffles(spark: SparkSession) -> None:
     """Lets Spark's cleaner see which finished steps nothing refers to, so that their shuffle files go now and not at the driver's next collection."""
     gc.collect()
@@ -95,6 +125,9 @@ def free_shuffles(spark: SparkSession) -> None:
 
 def discard(df: DataFrame) -> None:
     """Deletes the files of a written frame that nothing will read again."""
-    spark = df.sparkSession
-    path = spark._jvm.org.apache.hadoop.fs.Path(df._tabqa_path)
+    _delete(df.sparkSession, df._tabqa_path)
+
+
+def _delete(spark: SparkSession, folder: str) -> None:
+    path = spark._jvm.org.apache.hadoop.fs.Path(folder)
     path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)

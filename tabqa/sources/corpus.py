@@ -5,13 +5,14 @@ The base relations are plain SQL over the given tables; folding compacts them, a
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from tabqa.operators.expand import FamilySpec, family_registry, fold
-from tabqa.session import table
+from tabqa.session import table, written
 
 
 def pair_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -123,8 +124,28 @@ def _as(df: DataFrame, name: str) -> DataFrame:
     return df.withColumn("t", F.lit(name))
 
 
+_PRINTED: dict[tuple[str, str, str], DataFrame] = {}
+
+
+def _printed(spark: SparkSession, sf_dir: str, name: str, make: Callable[[SparkSession, str], DataFrame]) -> DataFrame:
+    """Grids are documents, so they are made once in an application and read from then on."""
+    key = (spark.sparkContext.applicationId, sf_dir, name)
+    if key not in _PRINTED:
+        _PRINTED[key] = written(make(spark, sf_dir), name)
+    return _PRINTED[key]
+
+
 def handbook(spark: SparkSession, sf_dir: str) -> DataFrame:
     """table_id, doc_id, caption, page_begin, page_end, family, grid of the document the queries are about."""
+    return _printed(spark, sf_dir, "handbook", _handbook)
+
+
+def training_grids(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(table_id, family, grid): the 130 grids of seven families, sliced from the given tables by fixed rules."""
+    return _printed(spark, sf_dir, "training-grids", _training_grids)
+
+
+def _handbook(spark: SparkSession, sf_dir: str) -> DataFrame:
     r = {name: _as(make(spark, sf_dir), name) for name, make in RELATIONS.items()}
     grids = [
         ("pair_matrix", fold(r["pair_codes"], "t", ["brand"], ["nation"], ["code"])),
@@ -138,8 +159,7 @@ def handbook(spark: SparkSession, sf_dir: str) -> DataFrame:
     return whole.select("table_id", F.lit("handbook").alias("doc_id"), caption[F.col("table_id")].alias("caption"), F.lit(1).alias("page_begin"), F.lit(2).alias("page_end"), "family", "grid")
 
 
-def training_grids(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """(table_id, family, grid): the 130 grids of seven families, sliced from the given tables by fixed rules."""
+def _training_grids(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = []
 
     def add(family: str, grids: DataFrame) -> None:

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from tabqa.operators import expand, query, store
-from tabqa.session import shared_folder, table, written
+from tabqa.session import scratch_folder, table, written
 from tabqa.sources.html_tables import extract_tables
 
 
@@ -30,7 +30,7 @@ def events_of(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def place(spark: SparkSession, name: str) -> str:
-    return f"{shared_folder(spark)}/tabqa/stream-{name}-{uuid.uuid4().hex}"
+    return f"{scratch_folder(spark)}/stream-{name}-{uuid.uuid4().hex}"
 
 
 def settled(frame: DataFrame, name: str, mode: str = "append") -> DataFrame:
