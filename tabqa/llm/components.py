@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from tabqa.session import written
+from tabqa.session import discard, scratch, written
 
 
 #: Edges to a file of a round, about.
@@ -41,8 +41,10 @@ def connected(edges: DataFrame, rounds: int = 60) -> DataFrame:
     for _ in range(rounds):
         if not seen[0]:
             break
-        edges = written(_stars(_stars(edges, True, files), False, files).coalesce(files), "star-edges")
-        now = tuple(edges.agg(*print_of).first())
+        with scratch():
+            new = written(_stars(_stars(edges, True, files), False, files).coalesce(files), "star-edges", keep=True)
+        discard(edges)
+        edges, now = new, tuple(new.agg(*print_of).first())
         if now == seen:
             break
         seen = now

@@ -31,9 +31,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from tabqa.llm.anchors import Prints
 from tabqa.llm.common import ascii_lower, map_arrow, slices, utf8_rows
 from tabqa.llm.components import connected
-from tabqa.session import written
+from tabqa.session import free_shuffles, scratch, written
 
 NULL_ID = -(1 << 63)
 #: Counters of the frequency sketch, in bits.
@@ -42,49 +43,18 @@ SKETCH_BITS = 21
 BLOCK = 64
 #: Longest multi-match considered.
 MOST_MATCHES = 6
-_rng = np.random.default_rng(20240229)
-_BYTE = _rng.integers(1, 1 << 63, 256, dtype=np.uint64)
-_BASE = 0x9E3779B97F4A7C15 | 1
-_POWERS = [np.ones(1, np.uint64), np.ones(1, np.uint64)]
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse modulo 2**64, at least n of each."""
-    if len(_POWERS[0]) < n:
-        size = 1 << n.bit_length()
-        for k, base in enumerate((_BASE, pow(_BASE, -1, 1 << 64))):
-            out = np.ones(1, np.uint64)
-            with np.errstate(over="ignore"):
-                while len(out) < size:
-                    out = np.concatenate((out, out * np.uint64(pow(base, len(out), 1 << 64))))
-            _POWERS[k] = out
-    return _POWERS[0], _POWERS[1]
-
-
-def _mix(x: np.ndarray) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        x = (x ^ (x >> np.uint64(31))) * np.uint64(0xBF58476D1CE4E5B9)
-        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
-        return x ^ (x >> np.uint64(31))
-
-
 def shingle_set(raw: bytes, words: int) -> np.ndarray:
     """Sorted digests of a text's distinct shingles of so many words, A-Z lower-cased."""
     text = b" ".join(ascii_lower(raw).split())  # bytes split at exactly the contract's white space
     if not text:
         return np.zeros(0, np.uint64)
-    letters = np.frombuffer(text, np.uint8)
-    power, inverse = _powers(len(letters) + 1)
-    blanks = np.flatnonzero(letters == 32)
-    starts, ends = np.concatenate(([0], blanks + 1)), np.concatenate((blanks, [len(letters)]))
+    blanks = np.flatnonzero(np.frombuffer(text, np.uint8) == 32)
+    starts, ends = np.concatenate(([0], blanks + 1)), np.concatenate((blanks, [len(text)]))
     if len(starts) >= words:
         starts, ends = starts[: len(starts) - words + 1], ends[words - 1 :]
     else:
         starts, ends = starts[:1], ends[-1:]
-    with np.errstate(over="ignore"):
-        sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(_BYTE[letters] * power[: len(letters)], dtype=np.uint64)))
-        ranges = (sums[ends] - sums[starts]) * inverse[starts]
-        return np.unique(_mix(ranges + (ends - starts).astype(np.uint64)))
+    return np.unique(Prints(text).of(starts, ends))
 
 
 def set_id(tokens: np.ndarray) -> int:
@@ -477,8 +447,11 @@ def links(docs: DataFrame, table: DataFrame, words: int, percent: int) -> DataFr
     rest = f"greatest(({percent} * n + 99) div 100 - k, ({percent} * pivot_n + 99) div 100 - pivot_k)"
     met = shared.where("sid <> pivot").groupBy("pivot", "sid", "n", "k", "pivot_n", "pivot_k").agg(F.count(F.lit(1)).alias("shared"))
     near = met.where(f"2 * shared >= greatest(least(k, pivot_k), {overlap} - {rest}) AND 100 * least(n, pivot_n) >= {percent} * greatest(n, pivot_n)")
-    first = written(verify(stars(written(near.select(F.col("pivot").alias("a"), F.col("sid").alias("b")), "join-near")), docs, holders, words, percent, classes), "join-links")
-    labels = written(connected(first).select(F.col("node").alias("sid"), F.col("component").alias("label")), "join-first")
+    with scratch():
+        first = written(verify(stars(written(near.select(F.col("pivot").alias("a"), F.col("sid").alias("b")), "join-near")), docs, holders, words, percent, classes), "join-links", keep=True)
+    with scratch():
+        labels = written(connected(first).select(F.col("node").alias("sid"), F.col("component").alias("label")), "join-first", keep=True)
+    free_shuffles(docs.sparkSession)
     labelled = shared.select("token", "n", "sid", "k").join(labels, "sid", "left").withColumn("label", F.coalesce("label", "sid"))
     second = written(meetings(labelled, percent), "join-meetings")
     members = second.where("kind = 1").select(F.col("a").alias("pivot"), F.col("b").alias("sid"), "label").distinct()
@@ -490,12 +463,14 @@ def join_documents(docs: DataFrame, words: int = 5, percent: int = 80, id_col: s
     """doc_id, n_shingles and component_id (smallest doc_id reachable by links) of every row."""
     plain = docs.select(F.coalesce(F.col(id_col).cast("bigint"), F.lit(NULL_ID)).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     table = written(set_table(plain, words), "join-table")
-    found = written(connected(links(plain, table, words, percent)), "join-components")
     full = table.where("n > 0").select("doc_id", "sid")
-    least = written(full.groupBy("sid").agg(F.min("doc_id").alias("first_doc")), "join-least")
-    named = least.join(found, F.col("sid") == F.col("node"), "left").select("sid", "first_doc", F.coalesce("component", "sid").alias("component"))
-    smallest = named.groupBy("component").agg(F.min("first_doc").alias("component_id"))
-    by_set = written(named.join(smallest, "component").select("sid", "component_id"), "join-by-set")
+    with scratch():
+        with scratch():
+            found = written(connected(links(plain, table, words, percent)), "join-components", keep=True)
+        least = written(full.groupBy("sid").agg(F.min("doc_id").alias("first_doc")), "join-least")
+        named = least.join(found, F.col("sid") == F.col("node"), "left").select("sid", "first_doc", F.coalesce("component", "sid").alias("component"))
+        smallest = named.groupBy("component").agg(F.min("first_doc").alias("component_id"))
+        by_set = written(named.join(smallest, "component").select("sid", "component_id"), "join-by-set", keep=True)
     back = lambda c: F.nullif(c, F.lit(NULL_ID))
     out = table.join(by_set, "sid", "left")
     return out.select(back(F.col("doc_id")).alias("doc_id"), F.col("n").alias("n_shingles"), back(F.coalesce("component_id", "doc_id")).alias("component_id"))
