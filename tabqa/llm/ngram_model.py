@@ -35,7 +35,7 @@ from pyspark.sql.types import _parse_datatype_string
 from tabqa.llm.anchors import Prints
 from tabqa.llm.common import ascii_lower, map_arrow, slices, utf8_rows
 from tabqa.llm.elias_fano import EliasFano, bits_at, pack_bits
-from tabqa.session import discard, free_shuffles, shared_folder, written
+from tabqa.session import discard, free_shuffles, scratch_folder, written
 
 DISCOUNT = 0.75
 #: Keys of one file of a level, about.
@@ -564,7 +564,7 @@ def train_and_score(docs: DataFrame, training: str, keep: list[str], text_col: s
     with the places of their pairs, are written to the shared folder, so that each text is read twice and each pair searched once.
     """
     spark = docs.sparkSession
-    folder = f"{shared_folder(spark)}/tabqa/ngrams-{spark.sparkContext.applicationId}-{np.random.default_rng().integers(1 << 62)}"
+    folder = f"{scratch_folder(spark)}/ngrams-{np.random.default_rng().integers(1 << 62)}"
     learned = docs.where(training).select(F.col(text_col).cast("string").alias("text"))
     # about eight bytes a token, of which a range takes as many as a file has keys
     size = learned.agg(F.sum(F.octet_length("text"))).first()[0] or 0

@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 
 from tabqa.llm.anchors import Prints, anchors, signatures
 from tabqa.llm.common import Rewritten, as_rows, map_arrow, slices, utf8_rows
-from tabqa.session import written
+from tabqa.session import free_shuffles, scratch, written
 
 WINDOW = 200
 NULL_ID = -(1 << 63)
@@ -360,11 +360,13 @@ def removals(docs: DataFrame, window: int = WINDOW) -> DataFrame:
     """(doc_id, found): for every document its contexts with repeated windows; null runs: all of them."""
     spread = Window.partitionBy("g")
     counts = context_counts(docs, window).repartition("g").groupBy("g", "c").agg(F.sum("n").alias("n"), F.min("doc_id").alias("doc_id"))
-    counts = written(counts.withColumn("variants", F.count(F.lit(1)).over(spread)).where("n > 1 OR variants > 1"), "suffix-counts")
-    contexts = written(fetch_contexts(docs, counts.where("variants > 1"), window), "suffix-contexts")
-    runs = settle_blocks(contexts.where("NOT crowded"), window).unionByName(settle_crowded(contexts.where("crowded"), window))
-    whole = counts.where("n > 1").select("g", "c", F.lit(None).cast("array<int>").alias("runs"))
-    found = written(whole.unionByName(runs), "suffix-found")
+    with scratch():
+        counts = written(counts.withColumn("variants", F.count(F.lit(1)).over(spread)).where("n > 1 OR variants > 1"), "suffix-counts")
+        contexts = written(fetch_contexts(docs, counts.where("variants > 1"), window), "suffix-contexts")
+        runs = settle_blocks(contexts.where("NOT crowded"), window).unionByName(settle_crowded(contexts.where("crowded"), window))
+        whole = counts.where("n > 1").select("g", "c", F.lit(None).cast("array<int>").alias("runs"))
+        found = written(whole.unionByName(runs), "suffix-found", keep=True)
+    free_shuffles(docs.sparkSession)
     return document_contexts(docs, window).join(found, ["g", "c"]).groupBy("doc_id").agg(F.collect_list(F.struct("g", "c", "runs")).alias("found"))
 
 
