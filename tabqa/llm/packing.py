@@ -1,11 +1,12 @@
 """Packing token sequences: first-fit decreasing over a tournament tree of bin capacities.
 
 Documents become ids (with an end id) and are cut at the sequence length; full pieces are sequences of their own.
-The rest is dealt into groups by a hash of document and position, and every group is packed on its own: its pieces, longest
+The rest is dealt into groups at random (by a hash of document, position and the row's place in its input), and every group is packed on its own: its pieces, longest
 first, each go to the first bin with room, which the tree of greatest free capacities finds in logarithmic time.
 Groups hold about `group_rows` pieces whatever the size of the table, so no task grows with it.
 
-A null or empty text gives the end id alone. Repeated rows are packed each on its own. An empty table gives no rows.
+A null or empty text gives the end id alone. Repeated rows are packed each on its own. A null doc_id is kept as it is. Further columns take no part. An empty
+table gives no rows.
 """
 
 from __future__ import annotations
@@ -72,8 +73,9 @@ def first_fit_decreasing(lengths: np.ndarray, capacity: int = SEQUENCE) -> tuple
 
 
 def pieces(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The pieces of every document: doc_id, start, length, ids_crc32, doc_tokens."""
+    """The pieces of every document: doc_id, start, length, ids_crc32, doc_tokens, and place: which row of its task's input it comes from."""
     end = end_id.to_bytes(4, "little")
+    seen = [0]  # rows of a task so far
 
     def run(batch: pa.RecordBatch) -> pa.RecordBatch:
         coder = MergeQueueEncoder.load(vocabulary)
@@ -88,26 +90,32 @@ def pieces(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, end_id: i
                 lengths.append(len(part) // 4)
                 sums.append(zlib.crc32(part))
                 totals.append(n)
-        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int32())), *(pa.array(x, pa.int64()) for x in (starts, lengths, sums, totals))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens"])
+        places = [seen[0] + i for i in rows]
+        seen[0] += batch.num_rows
+        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(rows, pa.int32())), *(pa.array(x, pa.int64()) for x in (starts, lengths, sums, totals, places))], ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "place"])
 
     kind = dict(docs.dtypes)[id_col]
-    return map_arrow(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")), run, f"doc_id {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint", rows=384)
+    return map_arrow(docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text")), run, f"doc_id {kind}, start bigint, length bigint, ids_crc32 bigint, doc_tokens bigint, place bigint", rows=384)
 
 
 def pack(parts: DataFrame, groups: int, capacity: int = SEQUENCE) -> DataFrame:
-    """Adds sequence_id and offset to pieces; sequence ids are distinct over all groups."""
+    """Pieces with sequence_id and offset; sequence ids are distinct over all groups.
+
+    A piece's group is a hash of what it is and of its place, so rows repeated very often, or without an id, are spread like any others.
+    """
 
     def run(key: tuple, batches: Iterator[pd.DataFrame] | pd.DataFrame) -> pd.DataFrame:
         group = batches.sort_values(["doc_id", "start", "ids_crc32"], kind="stable", na_position="first").reset_index(drop=True)
         bins, offsets = first_fit_decreasing(group["length"].to_numpy(np.int64), capacity)
-        return group.drop(columns="part_group").assign(sequence_id=(np.int64(key[0]) << np.int64(32)) + bins, offset=offsets)
+        return group.drop(columns=["part_group", "place"]).assign(sequence_id=(np.int64(key[0]) << np.int64(32)) + bins, offset=offsets)
 
-    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in parts.schema.fields)
-    dealt = parts.withColumn("part_group", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", F.lit(77)), F.lit(groups)))
+    fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in parts.schema.fields if f.name != "place")
+    dealt = parts.withColumn("part_group", F.pmod(F.xxhash64("doc_id", "start", "ids_crc32", "place", F.lit(77)), F.lit(groups)))
     return dealt.groupBy("part_group").applyInPandas(run, f"{fields}, sequence_id bigint, offset bigint")
 
 
 def pack_documents(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, group_rows: int = GROUP_ROWS, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """All documents in sequences of at most `capacity` ids; a row for each piece."""
-    groups = max(1, -(-docs.count() // group_rows))
+    size = docs.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.octet_length(F.col(text_col).cast("string"))), F.lit(0)).alias("bytes")).first()
+    groups = max(1, -(-(size["n"] + size["bytes"] // (4 * capacity)) // group_rows))  # long documents are many pieces
     return pack(pieces(docs, vocabulary, capacity, end_id, id_col, text_col), groups, capacity)

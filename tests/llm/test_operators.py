@@ -123,6 +123,13 @@ def test_packing_holds_every_id_once(docs):
     assert sum(r["length"] for r in got) == sum(len(own.encode(t)) + 1 for _, t, *_ in rows())
 
 
+def test_rows_repeated_very_often_are_spread_over_groups(spark):
+    docs = spark.createDataFrame([(None, "the same few words")] * 600, "doc_id long, text string").coalesce(1)
+    parts = packing.pieces(docs, vocabulary())
+    groups = collections.Counter(r["sequence_id"] >> 32 for r in packing.pack(parts, 10).collect())
+    assert len(groups) == 10 and max(groups.values()) < 150 and sum(groups.values()) == 600
+
+
 @settings(max_examples=60, deadline=None)
 @given(st.lists(st.integers(1, 64), min_size=1, max_size=80))
 def test_first_fit_decreasing_is_first_fit(lengths):
