@@ -52,7 +52,7 @@ PASSES = 3
 GROUP = 1 << 16
 RECALL = 0.9
 #: Queries on which recall is measured.
-SAMPLE = 128
+SAMPLE = 512
 BLOCK = 256
 QUERY_BLOCK = 256
 
