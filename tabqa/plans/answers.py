@@ -547,6 +547,15 @@ def naive_join(spark: SparkSession, sf: str) -> DataFrame:
     return limits.join(corpus.pair_codes(spark, sf).select("code").distinct(), "code", "left_semi").agg(F.count(F.lit(1)).alias("n"))
 
 
+@plan("SELECT count(*) AS rows, count(*) AS seen, true AS timed FROM orders WHERE o_orderstatus = 'F'")
+def measured_scan(spark: SparkSession, sf: str) -> DataFrame:
+    """A plan's rows observed while it runs, and its time, cold and warm."""
+    watched, seen = measures.observed(t(spark, sf, "orders").where("o_orderstatus = 'F'"), "finished-orders")
+    rows = watched.count()
+    cold, warm, again = measures.timed(lambda: t(spark, sf, "orders").where("o_orderstatus = 'F'"))
+    return spark.createDataFrame([(rows, seen.get["rows"], cold > 0 and warm > 0 and again == rows)], "rows bigint, seen bigint, timed boolean")
+
+
 _WORDS = ("limits", "quantity", "class", "min", "nom", "max", "zone", "code", "pairs", "value", "year")
 
 

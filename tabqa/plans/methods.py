@@ -62,6 +62,16 @@ def unspan_grid(spark: SparkSession, sf: str) -> DataFrame:
     return flat.select(F.col("values")[0].alias("b"), F.col("values")[1].alias("n"), F.col("values")[2].alias("c")).where("c <> 'n/a'")
 
 
+@plan("SELECT 'split' AS nested, 2 * count(*) AS tables, count(*) + (SELECT count(*) FROM nation) AS n_rows FROM region UNION ALL SELECT 'text', count(*), count(*) FROM region")
+def nested_tables(spark: SparkSession, sf: str) -> DataFrame:
+    """Each region's page has a table with a table of its nations in a cell: read as tables of their own, or into the cell's text."""
+    rows = t(spark, sf, "nation").groupBy("n_regionkey").agg(F.concat_ws("", F.sort_array(F.collect_list(F.concat(F.lit("<tr><td>"), "n_name")))).alias("inner"))
+    html = F.concat(F.lit("<table><tr><td>"), "r_name", F.lit("<td>its nations:<table>"), F.coalesce("inner", F.lit("")), F.lit("</table></table>"))
+    pages = t(spark, sf, "region").join(rows, F.col("r_regionkey") == F.col("n_regionkey"), "left").select(F.col("r_name").alias("url"), html.alias("html"))
+    counted = [expand.unspan(extract_tables(pages, nested)).agg(F.count(F.lit(1)).alias("tables"), F.sum(F.size("grid")).alias("n_rows")).withColumn("nested", F.lit(nested)) for nested in ("split", "text")]
+    return reduce(DataFrame.unionByName, counted).select("nested", "tables", "n_rows")
+
+
 _MASKED = "SELECT 'customer' AS what, c_name AS txt FROM customer UNION ALL SELECT 'priority', o_orderpriority FROM orders UNION ALL SELECT 'time', strftime(ts, '%Y-%m-%d %H:%M:%S') FROM events UNION ALL SELECT 'example', 'Eng FNU-52X'"
 
 

@@ -76,6 +76,15 @@ def stream_query_lookup(spark: SparkSession, sf: str) -> DataFrame:
     return streams.answer_stream(asked, answers.book(spark, sf)).groupBy("query_id", "stage").agg(F.count(F.lit(1)).alias("n"))
 
 
+@plan("SELECT event_type, count(*) AS n FROM events GROUP BY 1")
+def stream_memory(spark: SparkSession, sf: str) -> DataFrame:
+    """Results of a few rows in a table in the driver's memory."""
+    name = f"tabqa_counts_{abs(hash(streams.place(spark, 'memory')))}"
+    counts = streams.events_of(spark, sf).groupBy("event_type").agg(F.count(F.lit(1)).alias("n"))
+    counts.writeStream.outputMode("complete").format("memory").queryName(name).option("checkpointLocation", streams.place(spark, "memory")).trigger(availableNow=True).start().awaitTermination()
+    return spark.table(name)
+
+
 @plan("SELECT strftime(ts, '%Y-%m-%d') AS day, count(*) AS n FROM events WHERE ts::DATE = (SELECT max(ts)::DATE FROM events) GROUP BY 1")
 def stream_late(spark: SparkSession, sf: str) -> DataFrame:
     """Rows that come after their window has closed are dropped: the last day arrives first, then the first one, of which nothing is seen."""
