@@ -3,7 +3,7 @@
 Documents become ids (with an end id) and are cut at the sequence length; full pieces are sequences of their own.
 The rest is dealt into groups at random (by a hash of document, position and the row's place in its input), and every group is packed on its own: its pieces, longest
 first, each go to the first bin with room, which the tree of greatest free capacities finds in logarithmic time.
-Groups hold about `group_rows` pieces whatever the size of the table, so no task grows with it.
+Groups hold the pieces of about `group_rows` documents whatever the size of the table, so no task grows with it; a long document's pieces are spread over all groups.
 
 A null or empty text gives the end id alone. Repeated rows are packed each on its own. A null doc_id is kept as it is. Further columns take no part. An empty
 table gives no rows.
@@ -116,6 +116,5 @@ def pack(parts: DataFrame, groups: int, capacity: int = SEQUENCE) -> DataFrame:
 
 def pack_documents(docs: DataFrame, vocabulary: str, capacity: int = SEQUENCE, group_rows: int = GROUP_ROWS, end_id: int = END_ID, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """All documents in sequences of at most `capacity` ids; a row for each piece."""
-    size = docs.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum(F.octet_length(F.col(text_col).cast("string"))), F.lit(0)).alias("bytes")).first()
-    groups = max(1, -(-(size["n"] + size["bytes"] // (4 * capacity)) // group_rows))  # long documents are many pieces
+    groups = max(1, -(-docs.count() // group_rows))
     return pack(pieces(docs, vocabulary, capacity, end_id, id_col, text_col), groups, capacity)
