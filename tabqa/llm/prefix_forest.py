@@ -339,8 +339,9 @@ def nearest(
         if level:
             prefix = F.expr(f"string div {forest.scale(level)}L").alias("prefix")
             at = lambda df: df.select("vec_id", "vector", F.posexplode("strings").alias("tree", "string")).select("vec_id", "vector", "tree", "string", prefix)  # noqa: B023, E731
-            p = at(points).join(at(own).select("tree", "prefix").distinct(), ["tree", "prefix"], "left_semi")  # deep down most subtrees are nobody's
-            q = at(own)
+            p, q = at(points), at(own)
+            if level > 1:  # deep down most subtrees are nobody's; just below the root all are asked for
+                p = p.join(q.select("tree", "prefix").distinct(), ["tree", "prefix"], "left_semi")
         else:  # at the root all vectors stand, in groups that all its queries meet
             groups = max(1, min(-(-total // GROUP), 1 << 20), min(total // BLOCK, 32))
             dealt = lambda df, group: df.select("vec_id", "vector", F.lit(0).alias("tree"), F.lit(0).cast("bigint").alias("string"), group.cast("bigint").alias("prefix"))
