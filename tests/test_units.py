@@ -100,6 +100,36 @@ def test_minimal_keys_against_brute_force(spark, sf):
         assert sorted(deps.minimal_keys(df, 3, approx=True)) == sorted(want)
 
 
+def stage_totals(spark, measure):
+    """A measure of all stages so far, summed."""
+    held = spark.sparkContext._jsc.sc().statusStore()
+    stages = held.stageList(None, False, False, spark.sparkContext._gateway.new_array(spark._jvm.double, 0), None).iterator()
+    total = 0
+    while stages.hasNext():
+        total += getattr(stages.next(), measure)()
+    return total
+
+
+@pytest.mark.parametrize("wished,most", [(2_000_000, 12_000_000), (300, 900), (300, 10)])
+def test_keys_of_many_rows_are_found_in_buckets(spark, monkeypatch, wished, most):
+    """Nulls, repeated rows and hot values; several buckets, and none that is small enough."""
+    monkeypatch.setattr(deps, "BUCKET_VALUES", wished)
+    monkeypatch.setattr(deps, "MOST_BUCKET_VALUES", most)
+    rows = [(i % 40, i // 40 if i % 3 else None, i % 7, None if i < 90 else i, (i * i) % 11) for i in range(120)]
+    df = spark.createDataFrame(rows + rows[:30], "a int, b int, `c c` int, d int, e int")
+    told = lambda c: len({tuple(r[i] for i in c) for r in rows}) == len(rows)
+    want = [c for size in range(1, 6) for c in combinations(range(5), size) if told(c) and not any(told(x) for n in range(1, size) for x in combinations(c, n))]
+    assert deps.minimal_keys_large(df) == [tuple(df.columns[i] for i in c) for c in want]
+    assert deps.minimal_keys_large(df, 2) == [tuple(df.columns[i] for i in c) for c in want if len(c) <= 2]
+    assert deps.minimal_keys_large(df.where("a < 0")) == [(a,) for a in df.columns]
+
+
+def test_keys_of_lineitem_do_not_shuffle_rows_for_each_set(spark, sf):
+    before = stage_totals(spark, "shuffleWriteRecords")
+    assert answers.PLANS["keys_lineitem"](spark, sf).count() > 0
+    assert stage_totals(spark, "shuffleWriteRecords") - before < 20 * table(spark, sf, "lineitem").count()
+
+
 def test_keys_of_tables_with_one_row(spark):
     assert deps.minimal_keys(spark.createDataFrame([(1, 2)], "a int, b int")) == [("a",), ("b",)]
 
