@@ -47,12 +47,19 @@ def names_of(grids: DataFrame, registry: DataFrame) -> DataFrame:
 
 
 def attributes_of(grids: DataFrame, flat: DataFrame, registry: DataFrame, names: DataFrame | None = None) -> DataFrame:
-    """(table_id, ord, label, parent_label): a row for each column of the flat rows that isn't constant.
+    """(table_id, ord, label, parent_label): a row for each column of the flat rows that isn't a label's.
 
-    Its label is the given name for tables of that caption (caption, ord, label[, parent_label]), else what the table itself calls it, else column_k.
+    Key places that hold one value throughout are label rows and sub-headers, unless a name is given for them; what stands in a pivot's cells is data, though
+    all of it may be equal. A column's label is the given name for tables of that caption (caption, ord, label[, parent_label]), else what the table itself calls it, else column_k.
     """
     places = flat.groupBy("table_id").agg(F.max(F.size("values")).alias("n")).select("table_id", F.explode(F.sequence(F.lit(0), F.col("n") - 1)).alias("ord"))
-    places = places.join(stores.constant_columns(flat), ["table_id", "ord"], "left_anti")
+    width = F.expr("if(pivot_w = 0, greatest(aggregate(grid, 0, (w, r) -> greatest(w, size(r))) - data_col - foot_cols, 1), pivot_w)")
+    n_keys = F.size("side_cols") + F.size("band_rows") * F.when(F.col("band_width") == "all", width).otherwise(1)
+    keys = grids.select("table_id", "family", "grid").join(F.broadcast(registry), "family").where(n_keys > 0).select("table_id", F.explode(F.sequence(F.lit(0), n_keys - 1)).alias("ord"))
+    labels = stores.constant_columns(flat).join(keys, ["table_id", "ord"], "left_semi")
+    if names is not None:
+        labels = labels.join(grids.select("table_id", "caption").join(names.select("caption", "ord"), "caption").select("table_id", "ord"), ["table_id", "ord"], "left_anti")
+    places = places.join(labels, ["table_id", "ord"], "left_anti")
     out = places.join(names_of(grids, registry).withColumnRenamed("label", "own"), ["table_id", "ord"], "left")
     plain = F.concat(F.lit("column_"), (F.col("ord") + 1).cast("string"))
     if names is None:

@@ -358,3 +358,17 @@ def test_look_ups_read_the_index(spark, sf):
     held = answers.book(spark, sf)
     plan = query.hits(held, query.Batch.of(spark, {"q": {"given": [{"value": "c3"}]}}))._jdf.queryExecution().toString()
     assert "EqualTo(val_norm,c3)" in plan or "In(val_norm, [c3])" in plan
+
+
+def test_equal_values_are_data_and_label_rows_are_not(spark):
+    """Limits whose least and greatest are the same everywhere, and a single class, which its caption's names tell from a label row."""
+    head = [["", *["Limits"] * 3], ["", *["Class"] * 3], ["", *["C3"] * 3], ["", "Min", "Nom", "Max"]]
+    body = [[f"{i:02}", "1", str(20 + i), "50"] for i in range(1, 5)]
+    grids = spark.createDataFrame([("limits", "Quantity limits", "limit_matrix", [*head, *body]), ("zones", "Zones", "plain_listing", [["Nation", "Zone"], ["a", "z"], ["b", "z"]])], "table_id string, caption string, family string, grid array<array<string>>")
+    registry = corpus.registry(spark)
+    flat = expand.unfold(grids, registry)
+    names = spark.createDataFrame([("Quantity limits", 0, "Size Code"), ("Quantity limits", 3, "Code")], "caption string, ord int, label string")
+    places = lambda given: sorted((r["table_id"], r["ord"], r["label"]) for r in ingest.attributes_of(grids, flat, registry, given).collect())
+    data = [("limits", 5, "Min"), ("limits", 6, "Nom"), ("limits", 7, "Max"), ("zones", 0, "Nation"), ("zones", 1, "Zone")]
+    assert places(names) == [("limits", 0, "Size Code"), ("limits", 3, "Code"), *data]
+    assert places(None) == [("limits", 0, "column_1"), *data]
