@@ -47,6 +47,18 @@ def test_filters_reach_the_scan(spark, sf):
     assert "PushedFilters: [IsNotNull(o_orderstatus)" in text and "ReadSchema: struct<o_orderkey:bigint,o_custkey:bigint,o_orderstatus:string>" in text
 
 
+@pytest.mark.parametrize("name,of", [("class_closure", "customer"), ("corpus_stats", "lineitem"), ("cte_recursive", "lineitem"), ("dependency_catalog", "lineitem"), ("header_boundary", "lineitem"), ("header_boundary_majority", "lineitem"), ("header_boundary_reversed", "lineitem"), ("header_columns", "lineitem"), ("index_values", "lineitem")])
+def test_plans_read_their_tables_in_every_call(spark, sf, name, of):
+    """Also where the application has printed the handbook and filed its catalog before."""
+    from tabqa.plans import answers
+    from tests.test_units import last_stage, stage_totals
+
+    answers.book(spark, sf)
+    before = last_stage(spark)
+    PLANS[name](spark, sf).collect()
+    assert stage_totals(spark, "inputRecords", before) >= spark.read.parquet(f"{sf}/{of}.parquet").count()
+
+
 def test_unfolding_does_not_shuffle(spark):
     from tabqa.operators.expand import unfold
     from tabqa.sources.corpus import registry
