@@ -586,7 +586,7 @@ _FAMILY_OF = {"pair_codes": "pair_matrix", "limits": "limit_matrix", "trade": "t
 def corpus_stats(spark: SparkSession, sf: str) -> DataFrame:
     """The handbook by families: tables and cells."""
     cells = F.aggregate("grid", F.lit(0).cast("bigint"), lambda s, r: s + F.size(r))
-    return corpus.handbook(spark, sf).groupBy("family").agg(F.count(F.lit(1)).alias("tables"), F.sum(cells).alias("cells"))
+    return corpus.printed_anew(spark, sf).groupBy("family").agg(F.count(F.lit(1)).alias("tables"), F.sum(cells).alias("cells"))
 
 
 @plan(W + ", a AS (SELECT brand, nation, size_code, l.code FROM pair_codes p JOIN limits l ON true), r AS (SELECT brand, nation, size_code, code FROM pair_codes JOIN limits USING (code)) SELECT (SELECT count(*) FROM r) / count(*) AS precision, CAST((SELECT count(*) FROM r) / (SELECT count(*) FROM r) AS DOUBLE) AS recall FROM a")
