@@ -351,6 +351,14 @@ def test_wide_tables_say_that_their_search_was_cut(spark, monkeypatch):
     assert {r["attr_id"] for r in keys} == {f"t#a{i}" for i in range(4)} and not keys[0]["is_complete"] and keys[0]["is_minimal"]
 
 
+def test_classes_and_circles_of_classes(spark):
+    """The store's own classes, and a circle, on which a recursive query wouldn't end."""
+    own = {tuple(r) for r in store.class_closure(spark).collect()}
+    assert own == {("CompositeKey", "Key"), ("CompositeKey", "Dependency"), ("Key", "Dependency"), ("InclusionDependency", "Dependency"), *((c, c) for c in ("CompositeKey", "Key", "Dependency", "InclusionDependency"))}
+    circle = spark.createDataFrame([("a", "b"), ("b", "c"), ("c", "a"), ("d", "a")], "sub string, super string")
+    assert {tuple(r) for r in store.class_closure(spark, circle).collect()} == {(x, y) for x in "abcd" for y in "abc"} | {("d", "d")}
+
+
 def test_names_come_from_the_table_or_the_caption(spark, sf):
     held = answers.ingested(spark, sf)
     named = {}
